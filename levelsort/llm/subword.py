@@ -248,13 +248,23 @@ class Transducer:
         return s[1:] if self.model.dummy_prefix and s.startswith(" ") else s
 
 
+#: One compiled transducer, with its memos, per Python worker and model file.
+_MACHINES: dict[str, Transducer] = {}
+
+
+def _machine(model_path: str) -> Transducer:
+    if model_path not in _MACHINES:
+        _MACHINES[model_path] = Transducer(PieceModel.load(model_path))
+    return _MACHINES[model_path]
+
+
 def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, ids (binary, little-endian 32-bit), n_ids, ids_crc32, decoded (the round trip)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import array
 
-        machine = Transducer(PieceModel.load(model_path))
+        machine = _machine(model_path)
         for b in batches:
             for at in range(0, b.num_rows, 128):
                 part = b.slice(at, 128)
@@ -274,7 +284,7 @@ def decode_documents(encoded: DataFrame, model_path: str, id_col: str = "doc_id"
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import array
 
-        machine = Transducer(PieceModel.load(model_path))
+        machine = _machine(model_path)
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array([machine.decode(array.array("I", x or b"")) for x in b.column("ids").to_pylist()])], ["doc_id", "text"])
 
