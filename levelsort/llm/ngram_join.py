@@ -10,7 +10,8 @@ n - ceil(t n) + k hashes share at least k. That is used three times:
    whose Jaccard was checked. Copies of one set are one set from the start.
 3. *Index* under the order (dead, document frequency, hash), where a token is dead if all its documents lie in
    one cluster. Prefixes are extended by one, so two linked documents of different clusters share two live
-   tokens there: either a rare one, indexed alone, or two frequent ones, indexed as a 2-combination.
+   tokens there: either a rare one, indexed alone, or two frequent ones, indexed as a 2-combination of their classes
+   (tokens whose posting lists have the same min-hash document).
    Posting lists are compared in blocks of bounded size; pairs already known to be connected are skipped.
 
 Links join clusters by rounds of minimum-label contraction. No step has a cap that drops work: large key
@@ -180,11 +181,25 @@ def _compare(percent: int):
     return run
 
 
-def _clustered(sets: DataFrame, key: str, percent: int) -> DataFrame:
-    """sid, label for sets that share ``key`` with another; large key groups are dealt into blocks."""
-    sizes = sets.groupBy(key).agg(F.count("*").alias("m")).where("m > 1")
-    dealt = sets.select("sid", key, "hashes").join(sizes, key).withColumn("block", F.pmod(F.xxhash64("sid"), F.ceil(F.col("m") / BLOCK)).cast("int"))
-    return dealt.groupBy(key, "block").applyInArrow(_cluster(percent), "sid long, label long")
+def _check_pairs(percent: int):
+    """Pairs (hashes, other_hashes, a, b) -> the label pairs a, b whose sets are linked."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 256):
+                t = pa.Table.from_batches([batch.slice(at, 256)])
+                ok = [linked(x, y, percent) for x, y in zip(_split(t, "hashes"), _split(t, "other_hashes"), strict=True)]
+                yield from t.select(["a", "b"]).filter(pa.array(ok, pa.bool_())).to_batches()
+
+    return run
+
+
+def _clustered(sets: Stage, rows: DataFrame, key: str, percent: int) -> DataFrame:
+    """sid, label for sets (``rows``: sid, key) that share ``key`` with another; large key groups are dealt into blocks."""
+    sizes = rows.groupBy(key).agg(F.count("*").alias("m")).where("m > 1")
+    shared = Stage(rows.join(sizes, key).select("sid", F.col(key).alias("key"), F.pmod(F.xxhash64("sid"), F.ceil(F.col("m") / BLOCK)).cast("int").alias("block")), "key-groups")
+    dealt = sets.df.select("sid", "hashes").join(small(shared.df, shared.df.count(), BROADCAST_ROWS), "sid")
+    return dealt.groupBy("key", "block").applyInArrow(_cluster(percent), "sid long, label long")
 
 
 def contract(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -223,19 +238,82 @@ def contract(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     return root
 
 
+def _supported(sketch: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """sid, rep of the sets with enough prefix hashes that occur in another row's prefix.
+
+    Only here hashes and set ids are cut (48 and 40 bits) to move fewer bytes: a collision lets a set through that
+    the later steps drop, it never removes one. Copies of a set all send their hashes, so hits count per copy.
+    """
+    short = lambda c: F.shiftrightunsigned(c, 24)
+    tokens = sketch.where("n > 0 and doc_id is not null").select(short(F.col("sid")).alias("s"), F.explode("prefix").alias("h")).select("s", F.shiftrightunsigned("h", 16).alias("h"))
+    shared = tokens.groupBy("h").agg(F.count("*").alias("rows")).where("rows > 1").select("h")
+    hits = tokens.join(shared, "h").groupBy("s").agg(F.count("*").alias("hits"))
+    need = (F.lit(1) + F.floor(F.floor(F.col("n") * percent / 100) / 10)) * F.col("copies")
+    return classes.withColumn("s", short(F.col("sid"))).join(hits, "s").where(F.col("hits") >= need).select("sid", "rep")
+
+
+def _labels(sets: Stage, percent: int) -> DataFrame:
+    """sid, label: clusters found by two min-hashes; every step of a cluster is a checked link."""
+    first = Stage(_clustered(sets, sets.df.select("sid", "low1"), "low1", percent).groupBy("sid").agg(F.min("label").alias("l1")), "clusters-1")
+    tops = sets.df.select("sid", "low2").join(first.df.where("l1 <> sid").select("sid"), "sid", "left_anti")
+    second = Stage(_clustered(sets, tops, "low2", percent).groupBy(F.col("sid").alias("l1")).agg(F.min("label").alias("l2")), "clusters-2")
+    once = sets.df.select("sid").join(first.df, "sid", "left").withColumn("l1", F.coalesce("l1", "sid"))
+    return once.join(second.df, "l1", "left").select("sid", F.coalesce("l2", "l1").alias("label"))
+
+
+def _index(sets: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
+    """sid, label, n, key, rare: live prefix tokens alone (rare ones) or in twos (frequent ones)."""
+    grams = sets.select("sid", "hashes").join(labels, "sid").select("sid", "label", F.explode("hashes").alias("h"))
+    seen = grams.groupBy("h").agg(F.count("*").alias("df"), F.min("label").alias("l0"), F.max("label").alias("l1"), F.min(F.xxhash64("sid")).alias("kin")).where("l0 < l1").select("h", "df", "kin")
+    alive = grams.select("sid", "h").join(seen, "h").groupBy("sid").agg(F.array_sort(F.collect_list(F.struct("df", "h", "kin"))).alias("alive"))
+    sized = alive.join(sets.select("sid", F.size("hashes").alias("n")), "sid").join(labels, "sid")
+    budget = F.col("n") - F.ceil(F.col("n") * percent / 100) + 2 - (F.col("n") - F.size("alive"))
+    prefix = sized.withColumn("take", F.greatest(F.lit(0), F.least(budget, F.size("alive"))).cast("int")).where("take > 0").withColumn("alive", F.slice("alive", 1, F.col("take")))
+    rare = prefix.select("sid", "label", "n", F.explode(F.expr(f"transform(filter(alive, x -> x.df <= {RARE}), x -> x.h)")).alias("t")).select("sid", "label", "n", F.xxhash64("t").alias("key"), F.lit(True).alias("rare"))
+    # frequent tokens whose posting lists have the same min-hash document are one class; 2-combinations are of classes,
+    # a class with itself where two of its tokens are there, so near-equal lists do not multiply the combinations
+    often = prefix.select("sid", "label", "n", F.expr(f"transform(filter(alive, x -> x.df > {RARE}), x -> x.kin)").alias("f")).where("size(f) > 1")
+    kinds = often.select("sid", "label", "n", F.array_distinct("f").alias("d"), "f")
+    firsts = kinds.select("sid", "label", "n", "d", F.expr("transform(d, c -> size(filter(f, y -> y = c)) > 1)").alias("twice"), F.posexplode("d").alias("i", "t"))
+    partners = F.concat(F.slice("d", F.col("i") + 2, F.size("d")), F.when(F.get("twice", F.col("i")), F.array("t")).otherwise(F.array().cast("array<bigint>")))
+    twos = firsts.select("sid", "label", "n", "t", F.explode(partners).alias("u")).select("sid", "label", "n", F.xxhash64(F.least("t", "u"), F.greatest("t", "u")).alias("key"), F.lit(False).alias("rare"))
+    return rare.unionByName(twos)
+
+
+def _links(index: Stage, sets: Stage, percent: int) -> DataFrame:
+    """a, b: linked labels. Rare lists (at most RARE rows) give distinct pairs, frequent ones pairs of blocks."""
+    lists = index.df.groupBy("key", "rare").agg(
+        F.count("*").alias("m"), F.min("label").alias("l0"), F.max("label").alias("l1"), F.sum(F.pmod(F.xxhash64("sid"), F.lit(1 << 40))).alias("g1"), F.sum(F.pmod(F.xxhash64(F.lit(1), "sid"), F.lit(1 << 40))).alias("g2")
+    ).where("l0 < l1")
+    lists = Stage(lists.groupBy("rare", "m", "g1", "g2").agg(F.min("key").alias("key")), "lists")  # equal lists are compared once
+    listed = index.df.join(lists.df.select("key", "rare", "m"), ["key", "rare"])
+
+    left = listed.where("rare").select("key", F.col("sid").alias("x"), F.col("label").alias("lx"), F.col("n").alias("nx"))
+    right = listed.where("rare").select("key", F.col("sid").alias("y"), F.col("label").alias("ly"), F.col("n").alias("ny"))
+    near = (F.col("x") < F.col("y")) & (F.col("lx") != F.col("ly")) & (100 * F.least("nx", "ny") >= percent * F.greatest("nx", "ny"))
+    pairs = Stage(left.join(right, "key").where(near).select("x", "y", F.least("lx", "ly").alias("a"), F.greatest("lx", "ly").alias("b")).distinct(), "pairs")
+    members = Stage(pairs.df.select(F.col("x").alias("sid")).union(pairs.df.select("y")).distinct(), "pair-members")
+    used = Stage(sets.df.select("sid", "hashes").join(small(members.df, members.df.count(), BROADCAST_ROWS), "sid"), "pair-sets")
+    both = pairs.df.join(used.df.select(F.col("sid").alias("x"), "hashes"), "x").join(used.df.select(F.col("sid").alias("y"), F.col("hashes").alias("other_hashes")), "y")
+    found = both.select("a", "b", "hashes", "other_hashes").mapInArrow(_check_pairs(percent), "a long, b long")
+
+    dealt = listed.where("not rare").withColumn("blocks", F.ceil(F.col("m") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("sid", "key"), F.col("blocks")).cast("int"))
+    tasks = Stage(dealt.select("key", "sid", "label", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")).select(
+        "key", "sid", "label", "block", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi")
+    ), "block-tasks")
+    boxed = sets.df.select("sid", "hashes").join(small(tasks.df, tasks.df.count(), BROADCAST_ROWS), "sid")
+    return found.union(boxed.groupBy("key", "lo", "hi").applyInArrow(_compare(percent), "a long, b long")).distinct()
+
+
 def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75, width: int = 5) -> DataFrame:
     """One row per input row: doc_id, n_shingles, component_id (smallest doc_id reachable by links)."""
     spark = docs.sparkSession
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    base = Stage(texts.mapInArrow(_sketch(percent, width), "doc_id long, sid long, n long, prefix array<long>"), "sketch")
-    usable = base.df.where("n > 0 and doc_id is not null")
-
-    tokens = usable.select("sid", F.explode("prefix").alias("h"))
-    shared = tokens.groupBy("h").agg(F.min("sid").alias("s0"), F.max("sid").alias("s1")).where("s0 < s1").select("h")
-    support = tokens.join(shared, "h").groupBy("sid").agg(F.count("*").alias("hits"))
-    classes = usable.groupBy("sid").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.min("n").alias("n"))
-    need = (F.lit(1) + F.floor(F.floor(F.col("n") * percent / 100) / 10)) * F.col("copies")
-    chosen = Stage(support.join(classes, "sid").where(F.col("hits") >= need).select("sid", "rep"), "survivors")
+    sketch = Stage(texts.mapInArrow(_sketch(percent, width), "doc_id long, sid long, n long, prefix array<long>"), "sketch")
+    base = Stage(sketch.df.select("doc_id", "sid", "n"), "set-ids")
+    classes = Stage(base.df.where("n > 0 and doc_id is not null").groupBy("sid").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.min("n").alias("n")), "classes")
+    chosen = Stage(_supported(sketch.df, classes.df, percent), "survivors")
+    sketch.drop()
     n_chosen = chosen.df.count()
     release(spark)
 
@@ -244,45 +322,15 @@ def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     sets = Stage(full.where("same").drop("same"), "sets")
     if sets.df.count() > n_chosen:  # repeated rows of a representative
         sets = Stage(sets.df.dropDuplicates(["sid"]), "sets-once")
-    first = Stage(_clustered(sets.df, "low1", percent), "clusters-1")
-    tops = sets.df.join(first.df.where("label <> sid").select("sid"), "sid", "left_anti")
-    second = Stage(_clustered(tops, "low2", percent), "clusters-2")
-    label = (
-        sets.df.select("sid").distinct().join(first.df.groupBy("sid").agg(F.min("label").alias("l1")), "sid", "left").withColumn("l1", F.coalesce("l1", "sid"))
-        .join(second.df.groupBy(F.col("sid").alias("l1")).agg(F.min("label").alias("l2")), "l1", "left").select("sid", F.coalesce("l2", "l1").alias("label"))
-    )
-    labels = Stage(label, "labels")
+    labels = Stage(_labels(sets, percent), "labels")
     release(spark)
 
-    live_sets = sets.df.select("sid", "hashes").join(labels.df, "sid")
-    grams = live_sets.select("sid", "label", F.explode("hashes").alias("h"))
-    seen = grams.groupBy("h").agg(F.count("*").alias("df"), F.min("label").alias("l0"), F.max("label").alias("l1")).where("l0 < l1").select("h", "df")
-    alive = grams.join(seen, "h").groupBy("sid", "label").agg(F.array_sort(F.collect_list(F.struct("df", "h"))).alias("alive"))
-    sized = alive.join(sets.df.select("sid", F.size("hashes").alias("n")), "sid")
-    budget = F.col("n") - F.ceil(F.col("n") * percent / 100) + 2 - (F.col("n") - F.size("alive"))
-    prefix = sized.withColumn("take", F.greatest(F.lit(0), F.least(budget, F.size("alive"))).cast("int")).where("take > 0").withColumn("alive", F.slice("alive", 1, F.col("take")))
-    rare = prefix.select("sid", "label", F.explode(F.expr(f"filter(alive, x -> x.df <= {RARE})")).alias("x")).select("sid", "label", F.xxhash64(F.col("x.h")).alias("key"))
-    often = prefix.select("sid", "label", "n", F.expr(f"transform(filter(alive, x -> x.df > {RARE}), x -> x.h)").alias("f"))
-    pairs = often.where("size(f) > 1").select("sid", "label", "f", F.posexplode("f").alias("i", "t")).where("i + 1 < size(f)").select(
-        "sid", "label", "t", F.explode(F.expr("slice(f, i + 2, size(f))")).alias("u")
-    ).select("sid", "label", F.xxhash64("t", "u").alias("key"))
-    # a set shorter than two hashes shares one token only: all of its tokens are indexed alone
-    single = often.where("n < 2 and size(f) > 0").select("sid", "label", F.explode("f").alias("t")).select("sid", "label", F.xxhash64("t").alias("key"))
-    index = Stage(rare.unionByName(pairs).unionByName(single), "index")
+    index = Stage(_index(sets.df, labels.df, percent), "index")
     release(spark)
-
-    lists = index.df.groupBy("key").agg(
-        F.count("*").alias("m"), F.min("label").alias("l0"), F.max("label").alias("l1"), F.sum(F.pmod(F.xxhash64("sid"), F.lit(1 << 40))).alias("g1"), F.sum(F.pmod(F.xxhash64(F.lit(1), "sid"), F.lit(1 << 40))).alias("g2")
-    ).where("l0 < l1")
-    lists = lists.groupBy("m", "g1", "g2").agg(F.min("key").alias("key"))  # equal posting lists are compared once
-    dealt = index.df.join(lists.select("key", "m"), "key").withColumn("blocks", F.ceil(F.col("m") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("sid", "key"), F.col("blocks")).cast("int"))
-    tasks = dealt.select("key", "sid", "label", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")).select(
-        "key", "sid", "label", "block", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi")
-    )
-    links = Stage(tasks.join(sets.df.select("sid", "hashes"), "sid").groupBy("key", "lo", "hi").applyInArrow(_compare(percent), "a long, b long").distinct(), "links")
+    links = Stage(_links(index, sets, percent), "links")
     roots = contract(links.df)
     comp = labels.df.join(roots.withColumnRenamed("node", "label"), "label", "left").select("sid", F.coalesce("root", "label").alias("comp"))
-    known = Stage(classes.select("sid", "rep").join(comp, "sid", "left").select("sid", "rep", F.coalesce("comp", "sid").alias("comp")), "members")
+    known = Stage(classes.df.select("sid", "rep").join(comp, "sid", "left").select("sid", "rep", F.coalesce("comp", "sid").alias("comp")), "members")
     lowest = known.df.groupBy("comp").agg(F.min("rep").alias("component_id"))
     final = known.df.join(lowest, "comp").select("sid", "component_id")
     out = base.df.select("doc_id", "sid", F.col("n").alias("n_shingles")).join(final, "sid", "left")
