@@ -16,9 +16,11 @@ carried as they are; an empty table gives no pieces; other columns are ignored.
 
 from __future__ import annotations
 
+import os
 import zlib
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -26,73 +28,83 @@ from pyspark.sql import functions as F
 from levelsort.llm.common import Stage
 
 WINDOW, END_ID, SALTS = 4096, 2, 256
-MEMO_ENTRIES = 700_000
-_SEPARATOR = 49407
+MEMO_ENTRIES = 1_400_000
 
 
 class WordIds(dict):
-    """White-space-separated lower-case word (UTF-8) -> its ids as little-endian bytes, bounded."""
+    """White-space-separated lower-case word (UTF-8) -> its ids as little-endian bytes, bounded.
+
+    Ids are the library's own: unseen words go to it many at a time, a mark that is two ids no other word starts
+    with between them, and the ids are cut at the marks.
+    """
 
     def __init__(self, path: str):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # tasks are the parallelism; threads of the library only contend
         from tokenizers import Tokenizer
 
         super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.no_padding()
         self.tokenizer.no_truncation()
+        self.mark = np.array(self._library("§"), "<u4")
 
-    def learn(self, words: list[bytes]) -> None:
-        """Ids of unseen words, many words per call: a reserved id between them shows where each ends."""
-        import numpy as np
+    def _library(self, text: str) -> list[int]:
+        return self.tokenizer.encode(text, add_special_tokens=False).ids
 
+    def learn(self, words: list[bytes]) -> None:
         if len(self) + len(words) > MEMO_ENTRIES:
             self.clear()
-        for at in range(0, len(words), 2000):
-            part = words[at : at + 2000]
-            ids = np.array(self.tokenizer.encode(" <|endoftext|> ".join(w.decode("utf-8") for w in part), add_special_tokens=False).ids, "<u4")
-            ends = np.nonzero(ids == _SEPARATOR)[0]
-            if len(ends) != len(part) - 1:
-                raise ValueError("reserved id inside a word")
-            lo = 0
-            for w, hi in zip(part, [*ends.tolist(), len(ids)], strict=True):
-                self[w] = ids[lo:hi].tobytes()
-                lo = hi + 1
-
-    def encode(self, text: str) -> bytes:
-        """All ids of a text, equal to the library's on the whole text."""
-        if "<|" in text:  # may hold a reserved token: the library decides on the whole text
-            return pa.array(self.tokenizer.encode(text, add_special_tokens=False).ids, pa.uint32()).to_numpy().astype("<u4").tobytes()
-        words = text.encode("utf-8").lower().split()
-        out = []
-        for at in range(0, len(words), 200_000):
-            part = words[at : at + 200_000]
-            try:
-                out.append(b"".join(map(self.__getitem__, part)))
-            except KeyError:
-                unseen = [w for w in dict.fromkeys(part) if w not in self]
-                self.learn(unseen)
-                try:
-                    out.append(b"".join(map(self.__getitem__, part)))
-                except KeyError:  # the memo was emptied meanwhile
-                    self.learn([w for w in dict.fromkeys(part) if w not in self])
-                    out.append(b"".join(map(self.__getitem__, part)))
-        return b"".join(out)
+        mark, odd = "§".encode(), []
+        plain = []
+        for w in words:
+            (odd if mark in w else plain).append(w)
+        groups = [plain[at : at + 200] for at in range(0, len(plain), 200)]
+        texts = [" § ".join(w.decode("utf-8") for w in g) for g in groups]
+        for g, e in zip(groups, self.tokenizer.encode_batch_fast(texts, add_special_tokens=False), strict=True):
+            ids = np.array(e.ids, "<u4")
+            at = np.nonzero((ids[:-1] == self.mark[0]) & (ids[1:] == self.mark[1]))[0] if len(self.mark) == 2 else np.nonzero(ids == self.mark[0])[0]
+            if len(at) != len(g) - 1:
+                odd += g
+                continue
+            raw, lo = ids.tobytes(), 0
+            for w, hi in zip(g, [*at.tolist(), len(ids)], strict=True):
+                self[w] = raw[4 * lo : 4 * hi]
+                lo = hi + len(self.mark)
+        for w in odd:
+            self[w] = np.array(self._library(w.decode("utf-8")), "<u4").tobytes()
+
+    def encode_all(self, texts: list[str]) -> list[bytes]:
+        """All ids of each text, equal to the library's on the whole text."""
+        # a reserved token may be in a text with its first two characters: the library decides on such a text as a whole
+        words = [None if "<|" in t else t.encode("utf-8").lower().split() for t in texts]
+        unseen: set[bytes] = set()
+        for w in words:
+            unseen.update(w or ())
+        unseen = {w for w in unseen if w not in self}
+        if len(self) + len(unseen) > MEMO_ENTRIES:
+            self.clear()
+            unseen = set().union(*(w for w in words if w))
+        self.learn(list(unseen))
+        return [np.array(self._library(t), "<u4").tobytes() if w is None else b"".join(map(self.__getitem__, w)) for t, w in zip(texts, words, strict=True)]
+
+
+#: One memo per Python worker and tokenizer file; tasks of the same worker share it.
+_MEMOS: dict[str, WordIds] = {}
 
 
 def _pieces(path: str, window: int, end_id: int, with_ids: bool):
     end = end_id.to_bytes(4, "little")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        memo = WordIds(path)
+        if path not in _MEMOS:
+            _MEMOS[path] = WordIds(path)
+        memo = _MEMOS[path]
         for b in batches:
-            for at in range(0, b.num_rows, 256):
-                part, cols = b.slice(at, 256), ([], [], [], [], [], [])
-                texts = part.column("text").to_pylist()
-                unseen = {w for t in texts if t and "<|" not in t for w in t.encode("utf-8").lower().split() if w not in memo}
-                if unseen:
-                    memo.learn(list(unseen))
-                for doc, text in zip(part.column("doc_id").to_pylist(), texts, strict=True):
-                    ids = memo.encode(text or "") + end
+            for at in range(0, b.num_rows, 128):
+                part, cols = b.slice(at, 128), ([], [], [], [], [], [])
+                coded = memo.encode_all([t or "" for t in part.column("text").to_pylist()])
+                for doc, raw in zip(part.column("doc_id").to_pylist(), coded, strict=True):
+                    ids = raw + end
                     n = len(ids) // 4
                     for lo in range(0, n, window):
                         cut = ids[4 * lo : 4 * (lo + window)]
