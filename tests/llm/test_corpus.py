@@ -1,0 +1,179 @@
+import hashlib
+import random
+import zlib
+
+import pytest
+
+from levelsort.llm import chat, exact_dedup, licences, line_dedup, media, ngram_join, packing, queries, secrets, subword, toxicity
+
+ODD = [(1, "a  b"), (2, "a b"), (3, None), (4, ""), (5, "x\ny\nx"), (5, "x\ny\nx"), (None, "a\tb"), (6, "word " * 3000), (7, "é € 😀")]
+
+
+def frame(spark, rows=ODD):
+    return spark.createDataFrame([(i, t, "extra", i) for i, t in rows], "doc_id bigint, text string, norm string, sid bigint")
+
+
+def test_exact_copies(spark):
+    out = exact_dedup.copy_classes(frame(spark), hot_rows=1)
+    rows = sorted(((r["doc_id"], r["keep_id"], r["group_size"], r["kept"]) for r in out.collect()), key=str)
+    assert rows == sorted([(1, 1, 3, True), (2, 1, 3, False), (None, 1, 3, False), (3, 3, 2, True), (4, 3, 2, False), (5, 5, 2, True), (5, 5, 2, False), (6, 6, 1, True), (7, 7, 1, True)], key=str)
+    assert sorted(r["doc_id"] for r in exact_dedup.drop_copies(frame(spark)).collect()) == [1, 3, 5, 6, 7]
+    assert exact_dedup.copy_classes(frame(spark, [])).count() == 0
+
+
+def test_equal_digests_do_not_merge_texts(spark):
+    from pyspark.sql import functions as F
+
+    weak = lambda c: F.unhex(F.lpad(F.hex(F.length(c) % 2), 2, "0"))
+    for hot in (1, 100):
+        out = exact_dedup.copy_classes(frame(spark), hot_rows=hot, digest=weak)
+        assert {(r["doc_id"], r["keep_id"]) for r in out.collect()} == {(1, 1), (2, 1), (None, 1), (3, 3), (4, 3), (5, 5), (6, 6), (7, 7)}
+
+
+def near_brute(rows):
+    sets = {i: set(ngram_join.shingle_hashes(t).tolist()) for i, t in rows}
+    up = {i: i for i in sets}
+
+    def top(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    ids = sorted(sets)
+    for a in ids:
+        for b in ids:
+            if a < b and sets[a] and sets[b] and 100 * len(sets[a] & sets[b]) >= 75 * len(sets[a] | sets[b]):
+                x, y = sorted((top(a), top(b)))
+                up[y] = x
+    return {(i, len(sets[i]), top(i)) for i in ids}
+
+
+def test_near_components_match_brute_force(spark):
+    rnd = random.Random(11)
+    words = [f"w{i}" for i in range(4000)]
+    rows, passage = [], " ".join(words[:60])
+    for g in range(14):
+        base = [rnd.choice(words) for _ in range(rnd.randint(8, 160))]
+        for _ in range(rnd.randint(1, 12)):
+            w = list(base)
+            for _ in range(rnd.randint(0, max(1, len(w) // 18))):
+                w[rnd.randrange(len(w))] = rnd.choice(words)
+            rows.append((len(rows), " ".join(w) + (" " + passage if g % 3 == 0 else "")))
+    rows += [(1000, passage), (1001, passage + " tail"), (1002, ""), (1003, "one two"), (1004, "ONE  two"), (1005, None)]
+    got = {(r["doc_id"], r["n_shingles"], r["component_id"]) for r in ngram_join.near_components(frame(spark, rows)).collect()}
+    assert got == near_brute(rows)
+
+
+def test_near_components_with_frequent_tokens(spark, monkeypatch):
+    monkeypatch.setattr(ngram_join, "RARE", 2)
+    monkeypatch.setattr(ngram_join, "BLOCK", 3)
+    test_near_components_match_brute_force(spark)
+
+
+def test_contract_long_chain(spark):
+    edges = spark.createDataFrame([(i, i + 1) for i in range(60)] + [(100, 101), (200, 200)], "a long, b long")
+    roots = {r["node"]: r["root"] for r in ngram_join.contract(edges).collect()}
+    assert len({roots[i] for i in range(61)}) == 1 and roots[100] == roots[101] != roots[0]
+
+
+def test_secrets_match_python(spark):
+    import re
+
+    key = hashlib.sha256(b"k").hexdigest()
+    texts = [None, "", f'token = "{key[:20]}" and AKIA{"Q7" * 8} {key}', "password: short", "secret=token=abcdefghij api_key: 'abcdefgh'", "x kJ8s0Zq1LmXv93TtYw2B y interesting_identifier_name_of_things", f"{key} " * 600]
+    rows = {r["doc_id"]: r for r in secrets.scan(frame(spark, list(enumerate(texts)))).collect()}
+    model = secrets.default_model()
+    for i, t in enumerate(texts):
+        base = [(m.start(), k, m.end()) for k, (p, g, n) in enumerate(((secrets.ASSIGN, 2, 8), (secrets.ACCESS, 0, 16), (secrets.HEX, 0, 32))) for m in re.finditer(p, t or "") if len(m.group(g)) >= n]
+        free = [(m.start(), 3, m.end()) for m in re.finditer(secrets.TOKEN, t or "") if not any(a < m.end() and m.start() < z for a, _, z in base) and secrets.ratio(m.group(), model) >= secrets.THRESHOLD]
+        assert rows[i]["spans"] == ",".join(f"{secrets.KINDS[k]}:{a}:{z}" for a, k, z in sorted(base + free))
+    clean = {r["doc_id"]: r["text"] for r in secrets.redact(frame(spark, list(enumerate(texts)))).collect()}
+    assert clean[2] == "[SECRET]\" and [SECRET] [SECRET]" and clean[3] == texts[3] and clean[0] is None
+
+
+def test_placements_fill_windows():
+    rnd = random.Random(2)
+    hist = {rnd.randint(1, 63): rnd.randint(1, 40) for _ in range(30)}
+    bins = {}
+    for length, lo, hi, first, offset in packing.placements(hist, 64):
+        for k in range(hi - lo):
+            bins.setdefault(first + k, []).append((offset, length))
+    assert sum(len(v) for v in bins.values()) == sum(hist.values())
+    for v in bins.values():
+        at = 0
+        for offset, length in sorted(v):
+            assert offset == at
+            at += length
+        assert at <= 64
+
+
+def test_packing_ids_are_the_library_s(spark):
+    path = queries.tokenizer_path(queries.WORD_BPE)
+    got = packing.packed_documents(frame(spark), path, window=64).collect()
+    memo = packing.WordIds(path)
+    for i, t in [(7, ODD[-1][1]), (4, ""), (6, ODD[7][1])]:
+        import numpy as np
+
+        ids = np.array([*memo._library(t), 2], "<u4")
+        pieces = sorted((r["start"], r["length"], r["ids_crc32"]) for r in got if r["doc_id"] == i)
+        assert [p[0] for p in pieces] == list(range(0, len(ids), 64))
+        assert all(zlib.crc32(ids[a : a + n].tobytes()) == c for a, n, c in pieces)
+
+
+def test_subword_equals_library(spark):
+    sp = pytest.importorskip("sentencepiece").SentencePieceProcessor(model_file=queries.tokenizer_path(queries.PIECE_BPE))
+    machine = subword.Transducer(subword.PieceModel.load(queries.tokenizer_path(queries.PIECE_BPE)))
+    rnd = random.Random(4)
+    texts = [t or "" for _, t in ODD] + ["".join(rnd.choice("abeT ▁.,é—😀\n  12") for _ in range(40)) for _ in range(200)]
+    import array
+
+    for t in texts:
+        ids = list(array.array("I", machine.encode(t)))
+        assert ids == sp.encode(t) and machine.decode(ids) == sp.decode(ids)
+
+
+def test_media_round_trip_and_filters(spark):
+    import numpy as np
+
+    rows = {r["doc_id"]: r for r in media.media_table(frame(spark, [(1, None), (2, "abc"), (3, "é" * 900)])).collect()}
+    assert (rows[1]["n_bytes"], rows[1]["payload_bytes"], rows[3]["payload_bytes"]) == (0, 64, 1856)
+    assert media.from_wave(bytes(rows[2]["media"]))[1] == b"abc" + bytes(61)
+    x = np.random.default_rng(0).normal(size=101).astype("f4")
+    for up, down in ((1, 2), (3, 4)):
+        w = max(up, down)
+        n = np.arange(-4 * w, 4 * w + 1)
+        z = np.zeros(len(x) * up)
+        z[::up] = x
+        want = np.convolve(z, np.sinc(n / w) / w * np.hamming(len(n)) * up)[4 * w :][::down][: -(-len(x) * up // down)]
+        assert np.abs(media.resample(x, up, down) - want).max() < 1e-5
+
+
+def test_common_lines(spark):
+    rows = [(i, f"Top Line\nown {i}\n\n top line ") for i in range(12)] + [(99, None)]
+    out = {r["doc_id"]: r for r in line_dedup.common_line_dedup(frame(spark, rows), batches=6, fanout=2).collect()}
+    assert out[3]["kept_text"] == "own 3\n" and (out[3]["n_lines"], out[3]["n_dropped"]) == (4, 2)
+    assert (out[99]["n_lines"], out[99]["n_dropped"], out[99]["kept_text"]) == (1, 0, "")
+    first, second = line_dedup.incremental_line_dedup([frame(spark, rows[:2]), frame(spark, rows[2:4])])
+    assert second.count() == 2 and first.count() == 6
+
+
+def test_chat_collapse(spark):
+    turns = [(1, 0, "user", "hi"), (2, 0, "user", "hi"), (2, 1, "assistant", "yo"), (3, 0, "user", "hi"), (3, 1, "assistant", "yo"), (4, 0, "user", None), (4, 0, "user", None), (None, 0, "user", "hi")]
+    out = chat.render(spark.createDataFrame(turns, "conv_id long, turn long, role string, text string"), part_turns=1)
+    assert sorted((r["conv_id"], r["part"], r["n_turns"]) for r in out.collect()) == [(2, 0, 2), (2, 1, 2), (4, 0, 1)]
+
+
+def test_licences(spark):
+    rows = [(1, "Some prose.\nReleased under the MIT License."), (2, "He lost his license in the accident."), (3, None), (4, "Licensed under CC BY-NC 4.0.\nLicensed under the Apache License, Version 2.0.")]
+    got = {r["doc_id"]: r["licences"] for r in licences.document_licences(frame(spark, rows)).collect()}
+    assert got == {1: "mit", 2: "", 3: "", 4: "apache-2.0,cc-by-nc"}
+
+
+def test_toxicity_channels():
+    lex, g = toxicity.Lexicon({}, {}), toxicity.Grammar()
+    score = lambda t: dict(zip((*toxicity.CHANNELS, "clauses"), toxicity.channels(t, lex, g), strict=True))
+    assert score("you idiot.")["targeted"] > 0 and score("you are not an idiot")["negated"] > 0
+    assert score("he said idiot")["reported"] > 0 and score("I will kill you")["threat"] > 0
+    assert score(None)["clauses"] == 0
+    model = toxicity.Model({}, {}, *toxicity.UNFITTED)
+    assert model.scores([toxicity.channels("you idiot, you moron!", lex, g)])[0] > 0.5 > model.scores([toxicity.channels("fine weather", lex, g)])[0]
