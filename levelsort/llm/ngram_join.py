@@ -269,22 +269,24 @@ def _index(sets: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
     sized = alive.join(sets.select("sid", F.size("hashes").alias("n")), "sid").join(labels, "sid")
     budget = F.col("n") - F.ceil(F.col("n") * percent / 100) + 2 - (F.col("n") - F.size("alive"))
     prefix = sized.withColumn("take", F.greatest(F.lit(0), F.least(budget, F.size("alive"))).cast("int")).where("take > 0").withColumn("alive", F.slice("alive", 1, F.col("take")))
-    rare = prefix.select("sid", "label", "n", F.explode(F.expr(f"transform(filter(alive, x -> x.df <= {RARE}), x -> x.h)")).alias("t")).select("sid", "label", "n", F.xxhash64("t").alias("key"), F.lit(True).alias("rare"))
+    rare = prefix.select("sid", "label", "n", F.explode(F.expr(f"transform(filter(alive, x -> x.df <= {RARE}), x -> x.h)")).alias("t")).select("sid", "label", "n", F.xxhash64("t").alias("key"), F.lit(True).alias("rare"), F.lit(False).alias("in_lo"), F.lit(False).alias("in_hi"))
     # frequent tokens whose posting lists have the same min-hash document are one class; 2-combinations are of classes,
     # a class with itself where two of its tokens are there, so near-equal lists do not multiply the combinations
     often = prefix.select("sid", "label", "n", F.expr(f"transform(filter(alive, x -> x.df > {RARE}), x -> x.kin)").alias("f")).where("size(f) > 1")
     kinds = often.select("sid", "label", "n", F.array_distinct("f").alias("d"), "f")
     firsts = kinds.select("sid", "label", "n", "d", F.expr("transform(d, c -> size(filter(f, y -> y = c)) > 1)").alias("twice"), F.posexplode("d").alias("i", "t"))
+    twice = lambda at: F.get("twice", F.array_position("d", at).cast("int") - 1)
     partners = F.concat(F.slice("d", F.col("i") + 2, F.size("d")), F.when(F.get("twice", F.col("i")), F.array("t")).otherwise(F.array().cast("array<bigint>")))
-    twos = firsts.select("sid", "label", "n", "t", F.explode(partners).alias("u")).select("sid", "label", "n", F.xxhash64(F.least("t", "u"), F.greatest("t", "u")).alias("key"), F.lit(False).alias("rare"))
+    made = firsts.select("sid", "label", "n", "d", "twice", "t", F.explode(partners).alias("u")).withColumns({"lo": F.least("t", "u"), "hi": F.greatest("t", "u")})
+    twos = made.select("sid", "label", "n", F.xxhash64("lo", "hi").alias("key"), F.lit(False).alias("rare"), (twice(F.col("lo")) & (F.col("lo") != F.col("hi"))).alias("in_lo"), (twice(F.col("hi")) & (F.col("lo") != F.col("hi"))).alias("in_hi"))
     return rare.unionByName(twos)
 
 
 def _links(index: Stage, sets: Stage, percent: int) -> DataFrame:
     """a, b: linked labels. Rare lists (at most RARE rows) give distinct pairs, frequent ones pairs of blocks."""
     lists = index.df.groupBy("key", "rare").agg(
-        F.count("*").alias("m"), F.min("label").alias("l0"), F.max("label").alias("l1"), F.sum(F.pmod(F.xxhash64("sid"), F.lit(1 << 40))).alias("g1"), F.sum(F.pmod(F.xxhash64(F.lit(1), "sid"), F.lit(1 << 40))).alias("g2")
-    ).where("l0 < l1")
+        F.count("*").alias("m"), F.min("label").alias("l0"), F.max("label").alias("l1"), F.sum(F.pmod(F.xxhash64("sid"), F.lit(1 << 40))).alias("g1"), F.sum(F.pmod(F.xxhash64(F.lit(1), "sid"), F.lit(1 << 40))).alias("g2"), F.bool_and("in_lo").alias("in_lo"), F.bool_and("in_hi").alias("in_hi")
+    ).where("l0 < l1 and not in_lo and not in_hi")  # if all members hold one of the classes twice, that class's own list has them all
     lists = Stage(lists.groupBy("rare", "m", "g1", "g2").agg(F.min("key").alias("key")), "lists")  # equal lists are compared once
     listed = index.df.join(lists.df.select("key", "rare", "m"), ["key", "rare"])
 
