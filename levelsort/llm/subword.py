@@ -30,7 +30,7 @@ MARK = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, MERGES = 1, 2
 #: Memo entries per worker; frequent parts come early, so a full memo is left as it is.
-PARTS, WORDS = 400_000, 200_000
+PARTS, WORDS = 900_000, 500_000
 
 
 def _fields(data: bytes) -> Iterator[tuple[int, int | bytes]]:
