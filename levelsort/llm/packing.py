@@ -22,70 +22,111 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levelsort.llm.common import Stage
 
 WINDOW, END_ID, SALTS = 4096, 2, 256
-MEMO_ENTRIES = 1_400_000
+MEMO_ENTRIES, SLICE = 1_400_000, 2048
+CLOSING = ".,;:!?"
 
 
-class WordIds(dict):
-    """White-space-separated lower-case word (UTF-8) -> its ids as little-endian bytes, bounded.
+class WordIds:
+    """White-space-separated lower-case word -> its ids as little-endian bytes, in a bounded memo.
 
-    Ids are the library's own: unseen words go to it many at a time, a mark that is two ids no other word starts
-    with between them, and the ids are cut at the marks.
+    Ids are the library's own: unseen words go to it many at a time, and the ids are cut at word ends or at marks set
+    between words. A slice of texts is split, and its distinct words found, by
+    Arrow kernels; Python touches each distinct word of a slice once, and one take lays out the ids of all its texts.
     """
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # tasks are the parallelism; threads of the library only contend
         from tokenizers import Tokenizer
 
-        super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.no_padding()
         self.tokenizer.no_truncation()
         self.mark = np.array(self._library("§"), "<u4")
+        vocabulary = self.tokenizer.get_vocab()
+        self.ends_word = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.ends_word[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
+        self.known = {"": b""}
 
     def _library(self, text: str) -> list[int]:
         return self.tokenizer.encode(text, add_special_tokens=False).ids
 
-    def learn(self, words: list[bytes]) -> None:
-        if len(self) + len(words) > MEMO_ENTRIES:
-            self.clear()
-        mark, odd = "§".encode(), []
-        plain = []
-        for w in words:
-            (odd if mark in w else plain).append(w)
-        groups = [plain[at : at + 200] for at in range(0, len(plain), 200)]
-        texts = [" § ".join(w.decode("utf-8") for w in g) for g in groups]
-        for g, e in zip(groups, self.tokenizer.encode_batch_fast(texts, add_special_tokens=False), strict=True):
+    def _cut(self, words: list[str], glue: str, ends_of) -> None:
+        """Library ids of words joined by ``glue``; ``ends_of`` gives each word's (start, stop), or None where the
+        count of words does not fit - those words then go to the library alone."""
+        groups = [words[at : at + 200] for at in range(0, len(words), 200)]
+        for g, e in zip(groups, self.tokenizer.encode_batch_fast([glue.join(g) for g in groups], add_special_tokens=False), strict=True):
             ids = np.array(e.ids, "<u4")
-            at = np.nonzero((ids[:-1] == self.mark[0]) & (ids[1:] == self.mark[1]))[0] if len(self.mark) == 2 else np.nonzero(ids == self.mark[0])[0]
-            if len(at) != len(g) - 1:
-                odd += g
+            starts, stops = ends_of(ids)
+            if len(stops) != len(g):
+                self.known.update((w, np.array(self._library(w), "<u4").tobytes()) for w in g)
                 continue
-            raw, lo = ids.tobytes(), 0
-            for w, hi in zip(g, [*at.tolist(), len(ids)], strict=True):
-                self[w] = raw[4 * lo : 4 * hi]
-                lo = hi + len(self.mark)
-        for w in odd:
-            self[w] = np.array(self._library(w.decode("utf-8")), "<u4").tobytes()
-
-    def encode_all(self, texts: list[str]) -> list[bytes]:
-        """All ids of each text, equal to the library's on the whole text."""
-        # a reserved token may be in a text with its first two characters: the library decides on such a text as a whole
-        words = [None if "<|" in t else t.encode("utf-8").lower().split() for t in texts]
-        unseen: set[bytes] = set()
+            raw = ids.tobytes()
+            self.known.update((w, raw[a:z]) for w, a, z in zip(g, (4 * starts).tolist(), (4 * stops).tolist(), strict=True))
+
+    def _at_word_ends(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        stops = np.flatnonzero(self.ends_word[ids]) + 1
+        return np.concatenate(([0], stops[:-1])), stops
+
+    def _at_marks(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        n = len(self.mark)
+        at = np.flatnonzero((ids[:-1] == self.mark[0]) & (ids[1:] == self.mark[1]) if n == 2 else ids == self.mark[0])
+        return np.concatenate(([0], at + n)), np.concatenate((at, [len(ids)]))
+
+    def learn(self, words: list[str]) -> None:
+        """A word of letters is one unit to the library, and has at least one word end: as many ends as words in a
+        group means one each. Letters before closing punctuation are a unit of their own as well. All else is marked."""
+        letters, tailed, other, alone = set(), [], set(), []
         for w in words:
-            unseen.update(w or ())
-        unseen = {w for w in unseen if w not in self}
-        if len(self) + len(unseen) > MEMO_ENTRIES:
-            self.clear()
-            unseen = set().union(*(w for w in words if w))
-        self.learn(list(unseen))
-        return [np.array(self._library(t), "<u4").tobytes() if w is None else b"".join(map(self.__getitem__, w)) for t, w in zip(texts, words, strict=True)]
+            if w.isalpha():
+                letters.add(w)
+                continue
+            stem = w.rstrip(CLOSING)
+            if stem.isalpha():
+                tail = w[len(stem) :]
+                tailed.append((w, stem, tail))
+                if stem not in self.known:
+                    letters.add(stem)
+                if tail not in self.known:
+                    other.add(tail)
+            elif "§" in w:
+                alone.append(w)
+            else:
+                other.add(w)
+        self._cut(list(letters), " ", self._at_word_ends)
+        self._cut(list(other), " § ", self._at_marks)
+        self.known.update((w, np.array(self._library(w), "<u4").tobytes()) for w in alone)
+        self.known.update((w, self.known[stem] + self.known[tail]) for w, stem, tail in tailed)
+
+    def encode_all(self, texts: pa.Array) -> list[bytes]:
+        """All ids of each text (null: none), equal to the library's on the whole text."""
+        texts = pc.fill_null(texts, "")
+        # a reserved token may be in a text with its first two characters: the library decides on such a text as a whole
+        whole = pc.match_substring(texts, "<|")
+        words = pc.ascii_split_whitespace(pc.ascii_lower(pc.if_else(whole, "", texts)))
+        coded = words.flatten().dictionary_encode()
+        distinct = coded.dictionary.to_numpy(zero_copy_only=False).tolist()
+        unseen = [w for w in distinct if w not in self.known]
+        if len(self.known) + len(unseen) > MEMO_ENTRIES:
+            self.known, unseen = {"": b""}, [w for w in distinct if w]
+        self.learn(unseen)
+        ids = pa.array(list(map(self.known.__getitem__, distinct)), pa.large_binary()).take(coded.indices)
+        if not len(ids):
+            out = [b""] * len(texts)
+        else:
+            at = np.frombuffer(ids.buffers()[1], "<i8", len(ids) + 1, 8 * ids.offset)
+            ends = at[words.offsets.to_numpy() - words.offsets[0].as_py()].tolist()
+            data = memoryview(ids.buffers()[2])
+            out = [bytes(data[a:z]) for a, z in zip(ends, ends[1:])]
+        for i in np.flatnonzero(whole.to_numpy(zero_copy_only=False)).tolist():
+            out[i] = np.array(self._library(texts[i].as_py()), "<u4").tobytes()
+        return out
 
 
 #: One memo per Python worker and tokenizer file; tasks of the same worker share it.
@@ -100,9 +141,9 @@ def _pieces(path: str, window: int, end_id: int, with_ids: bool):
             _MEMOS[path] = WordIds(path)
         memo = _MEMOS[path]
         for b in batches:
-            for at in range(0, b.num_rows, 128):
-                part, cols = b.slice(at, 128), ([], [], [], [], [], [])
-                coded = memo.encode_all([t or "" for t in part.column("text").to_pylist()])
+            for at in range(0, b.num_rows, SLICE):
+                part, cols = b.slice(at, SLICE), ([], [], [], [], [], [])
+                coded = memo.encode_all(part.column("text"))
                 for doc, raw in zip(part.column("doc_id").to_pylist(), coded, strict=True):
                     ids = raw + end
                     n = len(ids) // 4
