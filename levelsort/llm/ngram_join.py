@@ -25,6 +25,7 @@ Set identity is a 64-bit hash of the set (two different sets among d coincide wi
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -36,6 +37,7 @@ from levelsort.llm.common import Stage, release, small
 
 BLOCK = 256
 RARE = 64
+ROUNDS = 4
 BROADCAST_ROWS = 500_000
 _FACTOR, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
 
@@ -243,11 +245,17 @@ def _supported(sketch: DataFrame, classes: DataFrame, percent: int) -> DataFrame
 
     Only here hashes and set ids are cut (48 and 40 bits) to move fewer bytes: a collision lets a set through that
     the later steps drop, it never removes one. Copies of a set all send their hashes, so hits count per copy.
+    The hashes are counted in ``ROUNDS`` disjoint rounds, which bounds the disk that their shuffles hold at once.
     """
     short = lambda c: F.shiftrightunsigned(c, 24)
-    tokens = sketch.where("n > 0 and doc_id is not null").select(short(F.col("sid")).alias("s"), F.explode("prefix").alias("h")).select("s", F.shiftrightunsigned("h", 16).alias("h"))
-    shared = tokens.groupBy("h").agg(F.count("*").alias("rows")).where("rows > 1").select("h")
-    hits = tokens.join(shared, "h").groupBy("s").agg(F.count("*").alias("hits"))
+    wanted, counted = sketch.where("n > 0 and doc_id is not null"), []
+    for part in range(ROUNDS):  # a hash is in one round: a round's shuffles are gone from the disks before the next one
+        tokens = wanted.select(short(F.col("sid")).alias("s"), F.explode("prefix").alias("h")).select("s", F.shiftrightunsigned("h", 16).alias("h")).where(F.pmod("h", F.lit(ROUNDS)) == part)
+        shared = tokens.groupBy("h").agg(F.count("*").alias("rows")).where("rows > 1").select("h")
+        counted.append(Stage(tokens.join(shared, "h").groupBy("s").agg(F.count("*").alias("hits")), "hits"))
+        del tokens, shared
+        release(sketch.sparkSession)
+    hits = reduce(DataFrame.unionByName, [c.df for c in counted]).groupBy("s").agg(F.sum("hits").alias("hits"))
     need = (F.lit(1) + F.floor(F.floor(F.col("n") * percent / 100) / 10)) * F.col("copies")
     return classes.withColumn("s", short(F.col("sid"))).join(hits, "s").where(F.col("hits") >= need).select("sid", "rep")
 
