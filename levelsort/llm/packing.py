@@ -29,13 +29,16 @@ from pyspark.sql import functions as F
 from levelsort.llm.common import Stage
 
 WINDOW, END_ID, SALTS = 4096, 2, 256
-MEMO_ENTRIES, SLICE = 1_400_000, 2048
+MEMO_ENTRIES, SLICE = 300_000, 1024
 CLOSING = ".,;:!?"
 
 
 class WordIds:
     """White-space-separated lower-case word -> its ids as little-endian bytes, in a bounded memo.
 
+    The memo has two generations: a full one becomes the former one, and its words come back as they are met again, so
+    frequent words are never learnt twice and rare ones do not pile up.
+
     Ids are the library's own: unseen words go to it many at a time, and the ids are cut at word ends or at marks set
     between words. A slice of texts is split, and its distinct words found, by
     Arrow kernels; Python touches each distinct word of a slice once, and one take lays out the ids of all its texts.
@@ -52,7 +55,7 @@ class WordIds:
         vocabulary = self.tokenizer.get_vocab()
         self.ends_word = np.zeros(max(vocabulary.values()) + 1, bool)
         self.ends_word[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
-        self.known = {"": b""}
+        self.known, self.former = {"": b""}, {}
 
     def _library(self, text: str) -> list[int]:
         return self.tokenizer.encode(text, add_special_tokens=False).ids
@@ -112,9 +115,15 @@ class WordIds:
         words = pc.ascii_split_whitespace(pc.ascii_lower(pc.if_else(whole, "", texts)))
         coded = words.flatten().dictionary_encode()
         distinct = coded.dictionary.to_numpy(zero_copy_only=False).tolist()
-        unseen = [w for w in distinct if w not in self.known]
-        if len(self.known) + len(unseen) > MEMO_ENTRIES:
-            self.known, unseen = {"": b""}, [w for w in distinct if w]
+        if len(self.known) > MEMO_ENTRIES:
+            self.former, self.known = self.known, {"": b""}
+        unseen = []
+        for w in distinct:
+            if w not in self.known:
+                if (ids := self.former.get(w)) is None:
+                    unseen.append(w)
+                else:
+                    self.known[w] = ids
         self.learn(unseen)
         ids = pa.array(list(map(self.known.__getitem__, distinct)), pa.large_binary()).take(coded.indices)
         if not len(ids):
@@ -152,6 +161,7 @@ def _pieces(path: str, window: int, end_id: int, with_ids: bool):
                         for c, v in zip(cols, (doc, lo, len(cut) // 4, zlib.crc32(cut), n, cut if with_ids else None), strict=True):
                             c.append(v)
                 yield pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in cols[:5]), pa.array(cols[5], pa.binary())], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "ids"])
+            pa.default_memory_pool().release_unused()
 
     return run
 
