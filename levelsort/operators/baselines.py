@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from levelsort.operators.merge import merge_lanes
 from levelsort.operators.mergesort import ORDER, dense_index, global_rank
 from levelsort.staging import cut
 
@@ -30,13 +33,39 @@ def hypercube_round(state: DataFrame, bit: int, lanes: int) -> DataFrame:
     return state.withColumn("cube", F.shiftright("lane", bit + 1)).join(F.broadcast(pivots), "cube").withColumn("lane", (base + above * (1 << bit)).cast("int")).drop("cube", "pivot")
 
 
-def hypercube_sort(s: DataFrame, p: int) -> DataFrame:
-    """Ranked result; d rounds, each moves every string at most once."""
+def hypercube_moves(s: DataFrame, p: int) -> Iterator[DataFrame]:
+    """State after each of the d rounds: run (the lane a string came from), lane, src_id, pos, s."""
     d = p.bit_length() - 1
     state = s.select(fold_hash(p).alias("lane"), "src_id", "pos", "s")
     for bit in reversed(range(d)):
-        state = cut(hypercube_round(state, bit, 1 << d).repartitionById(1 << d, F.col("lane")))
-    return global_rank(state)
+        split = hypercube_round(state.withColumn("run", F.col("lane")), bit, 1 << d)
+        moved = cut(split.select("run", "lane", "src_id", "pos", "s").repartitionById(1 << d, F.col("lane")))
+        yield moved
+        state = moved.drop("run")
+
+
+def hypercube_sort(s: DataFrame, p: int, with_lcp: bool = False) -> DataFrame:
+    """Ranked result; d rounds, each moves every string at most once. ``with_lcp`` ends with the prefix-aware merge of the
+    runs that meet in a lane, otherwise lanes are sorted."""
+    if p < 2:
+        return global_rank(s.select(F.lit(0).alias("lane"), "src_id", "pos", "s"))
+    *_, last = hypercube_moves(s, p)
+    if not with_lcp:
+        return global_rank(last.drop("run"))
+    before = F.coalesce(F.sum("n").over(W.orderBy("lane").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    offsets = last.groupBy("lane").agg(F.count("*").alias("n")).select("lane", before.alias("base"))  # one row per lane
+    merged = merge_lanes(last).join(F.broadcast(offsets), "lane").select((F.col("base") + F.col("lpos")).cast("bigint").alias("rank"), "src_id", "pos")
+    return merged.join(last.select("src_id", "pos", "s"), ["src_id", "pos"]).select("rank", "src_id", "pos", "s")
+
+
+def hypercube_merge_work(s: DataFrame, p: int) -> DataFrame:
+    """round, with_lcp, plain: characters that merging looks at in each round, summed over the lanes."""
+    out = None
+    for i, moved in enumerate(hypercube_moves(s, p), 1):
+        total = lambda kind: merge_lanes(moved, kind).groupBy("lane").agg(F.max("looked").alias("x")).agg(F.sum("x").alias("with_lcp" if kind else "plain"))  # noqa: E731, B023
+        one = total(True).crossJoin(total(False)).select(F.lit(i).alias("round"), "with_lcp", "plain")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def single_node_sort(s: DataFrame) -> DataFrame:

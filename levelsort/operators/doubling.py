@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levelsort.functions.text import FINGERPRINT_SPACE, fingerprint
-from levelsort.operators.mergesort import level_merge_sort, place_blocks
+from levelsort.operators.mergesort import Sorted, level_merge_sort, place_blocks
 from levelsort.plans.levels import LevelPlan
 from levelsort.staging import cut
 
@@ -80,12 +80,21 @@ def approx_dist(s: DataFrame, d0: int = 4, growth: int = 2, m: int = FINGERPRINT
     return out, trace
 
 
+def prefixes(s: DataFrame, **options) -> DataFrame:
+    """src_id, pos, s: each string cut to its approximate distinguishing prefix."""
+    dist, _ = approx_dist(s, **options)
+    return s.join(dist.select("src_id", "pos", "dist_approx"), ["src_id", "pos"]).select("src_id", "pos", F.left("s", F.col("dist_approx")).alias("s"))
+
+
+def sort_prefixes(s: DataFrame, plan: LevelPlan, **options) -> Sorted:
+    """The level sort of the prefixes, with its moves."""
+    sort_options = {k: options.pop(k) for k in ("sampling", "v", "assign") if k in options}
+    return level_merge_sort(place_blocks(prefixes(s, **options), plan.lanes), plan, **sort_options)
+
+
 def prefix_doubling_sort(s: DataFrame, plan: LevelPlan, **options) -> DataFrame:
     """rank, src_id, pos: where to find the string of each rank; only prefixes are sorted and moved."""
-    sort_options = {k: options.pop(k) for k in ("sampling", "v", "assign") if k in options}
-    dist, _ = approx_dist(s, **options)
-    prefixes = s.join(dist.select("src_id", "pos", "dist_approx"), ["src_id", "pos"]).select("src_id", "pos", F.left("s", F.col("dist_approx")).alias("s"))
-    return level_merge_sort(place_blocks(prefixes, plan.lanes), plan, **sort_options).ranked().select("rank", "src_id", "pos")
+    return sort_prefixes(s, plan, **options).ranked().select("rank", "src_id", "pos")
 
 
 def materialize(permutation: DataFrame, s: DataFrame) -> DataFrame:
