@@ -3,10 +3,10 @@
 Documents are tokenised once; overlong ones are first cut into full windows, what is left over is one piece of
 1 to window-1 tokens. Best-fit decreasing only looks at lengths, so it is solved exactly on the histogram of
 lengths (at most ``window`` numbers, whatever the corpus): pieces are taken from long to short, and a segment
-tree over remaining capacities finds the tightest open window class; as many pieces of the length as that class
-has windows are placed at once. The outcome is a table of placements - for a length, ranks lo to hi go to windows
-from a start number at one offset - which is joined back to the pieces by (length, rank). Its size depends on
-``window`` alone: a step either finishes a length or empties a capacity class.
+tree over remaining capacities finds the tightest open window class; the windows of that class are filled with the
+length at once, each with as many pieces as it holds. The outcome is a table of fills - for a length, ranks lo to hi
+go to windows from a start number, so many to a window from one offset on - which is joined back to the pieces by
+(length, rank). Its size depends on ``window`` alone: a step either finishes a length or fills a run of equal windows.
 
 Ranks come from counts per (length, salt), so a length that a third of all documents share is no hot task.
 
@@ -201,30 +201,52 @@ class TightestFit:
         return None
 
 
-def placements(histogram: dict[int, int], window: int = WINDOW) -> list[tuple[int, int, int, int, int]]:
-    """(length, lo, hi, first window, offset): pieces of that length with rank lo <= r < hi go to window first + r - lo."""
+def fills(histogram: dict[int, int], window: int = WINDOW) -> list[tuple[int, int, int, int, int, int]]:
+    """(length, lo, hi, first window, offset, per): pieces of that length with rank lo <= r < hi go to the windows from
+    first on, ``per`` to a window, one behind the other from offset on.
+
+    After a piece of a length, its window is the tightest one for the next piece of that length while it has room for
+    it, so best-fit fills a window with the length before it turns to the next; equal windows are filled at once.
+    """
     tree, open_runs, out, windows = TightestFit(window + 1), {}, [], 0
+
+    def leave(capacity: int, first: int, size: int) -> None:
+        if capacity and size:
+            open_runs.setdefault(capacity, []).append((first, size))
+            tree.put(capacity, True)
+
     for length in sorted(histogram, reverse=True):
         left, rank = histogram[length], 0
         while left:
             capacity = tree.at_least(length)
             if capacity is None:
-                first, take, capacity = windows, left, window
-                windows += left
+                capacity = window
+                first, size = windows, -(-left // (window // length))
+                windows += size
             else:
                 runs = open_runs[capacity]
                 first, size = runs.pop()
-                take = min(size, left)
-                if take < size:
-                    runs.append((first + take, size - take))
                 if not runs:
                     tree.put(capacity, False)
-            out.append((length, rank, rank + take, first, window - capacity))
-            if capacity > length:
-                runs = open_runs.setdefault(capacity - length, [])
-                runs.append((first, take))
-                tree.put(capacity - length, True)
-            rank, left = rank + take, left - take
+            per = capacity // length
+            full = min(size, left // per)
+            rest = left - full * per if full < size else 0  # fewer than ``per``, in one more window
+            for at, n, k in ((first, full, per), (first + full, 1, rest)):
+                if n * k:
+                    out.append((length, rank, rank + n * k, at, window - capacity, k))
+                    leave(capacity - k * length, at, n)
+                    rank, left = rank + n * k, left - n * k
+            used = full + (rest > 0)
+            leave(capacity, first + used, size - used)
+    return out
+
+
+def placements(histogram: dict[int, int], window: int = WINDOW) -> list[tuple[int, int, int, int, int]]:
+    """``fills`` by single offsets, (length, lo, hi, first window, offset): rank lo <= r < hi goes to window first + r - lo."""
+    out = []
+    for length, lo, hi, first, offset, per in fills(histogram, window):
+        size = (hi - lo) // per
+        out += [(length, lo + k * size, lo + (k + 1) * size, first, offset + k * length) for k in range(per)]
     return out
 
 
@@ -234,8 +256,8 @@ def pack(cut: DataFrame, window: int = WINDOW, salts: int = SALTS) -> DataFrame:
     stage = Stage(cut.withColumn("salt", F.pmod(F.xxhash64("doc_id", "start"), F.lit(salts)).cast("int")), "pieces")
     counts = Stage(stage.df.groupBy("length", "salt").agg(F.count("*").alias("n")), "length-counts")
     histogram = {r["length"]: r["n"] for r in counts.df.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # at most `window` rows
-    table = placements(histogram, window)
-    plan = spark.createDataFrame(pa.table({k: pa.array([x[i] for x in table], pa.int64()) for i, k in enumerate(("length", "lo", "hi", "first", "offset"))}))
+    table = fills(histogram, window)
+    plan = spark.createDataFrame(pa.table({k: pa.array([x[i] for x in table], pa.int64()) for i, k in enumerate(("length", "lo", "hi", "first", "offset", "per"))}))
     from pyspark.sql import Window as W
 
     before = F.coalesce(F.sum("n").over(W.partitionBy("length").orderBy("salt").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
@@ -243,7 +265,7 @@ def pack(cut: DataFrame, window: int = WINDOW, salts: int = SALTS) -> DataFrame:
     local = F.row_number().over(W.partitionBy("length", "salt").orderBy("doc_id", "start", "ids_crc32")) - 1
     ranked = stage.df.withColumn("local", local).join(bases, ["length", "salt"]).withColumn("rank", F.col("base") + F.col("local"))
     placed = ranked.join(F.broadcast(plan), "length").where("rank >= lo and rank < hi")
-    return placed.select(*[c for c in cut.columns], (F.col("first") + F.col("rank") - F.col("lo")).alias("sequence_id"), F.col("offset"))
+    return placed.select(*[c for c in cut.columns], F.expr("first + (rank - lo) div per").alias("sequence_id"), F.expr("offset + (rank - lo) % per * length").alias("offset"))
 
 
 def padding(packed: DataFrame, window: int = WINDOW) -> DataFrame:

@@ -107,6 +107,49 @@ def test_placements_fill_windows():
         assert at <= 64
 
 
+def best_fit_one_by_one(hist, window):
+    room = []
+    for length in sorted((n for n, c in hist.items() for _ in range(c)), reverse=True):
+        fit = min((r for r in room if r >= length), default=None)
+        if fit is None:
+            room.append(window - length)
+        else:
+            room[room.index(fit)] -= length
+    return len(room)
+
+
+def test_placements_need_as_many_windows_as_plain_best_fit():
+    rnd = random.Random(5)
+    skewed = [{1: 1000}, {1000: 3000}, {700: 2500, 300: 900, 1: 50}]
+    for window in (64, 100, 4096):
+        skewed += [{rnd.randint(1, window): rnd.choice((1, 2, 7, 200)) for _ in range(rnd.randint(1, 12))} for _ in range(20)]
+    for hist in skewed:
+        window = max(64, 4096 if max(hist) > 100 else 100)
+        got, used = packing.placements(hist, window), {}
+        for length, lo, hi, first, offset in got:
+            for k in range(hi - lo):
+                used.setdefault(first + k, []).append((offset, length))
+        assert sorted(used) == list(range(best_fit_one_by_one(hist, window)))
+        for v in used.values():
+            v.sort()
+            assert [o for o, _ in v] == [sum(n for _, n in v[:i]) for i in range(len(v))] and sum(n for _, n in v) <= window
+        for length, n in hist.items():
+            assert sorted(r for x, lo, hi, *_ in got if x == length for r in range(lo, hi)) == list(range(n))
+
+
+def test_packed_equal_pieces_share_windows(spark):
+    from pyspark.sql import functions as F
+
+    cut = spark.range(103).select(F.col("id").alias("doc_id"), F.lit(0).cast("long").alias("start"), F.when(F.col("id") < 100, 10).otherwise(23).cast("long").alias("length"), F.col("id").alias("ids_crc32"), F.lit(10).cast("long").alias("doc_tokens"))
+    used = {}
+    for r in packing.pack(cut, 64, salts=4).collect():
+        used.setdefault(r["sequence_id"], []).append((r["offset"], r["length"]))
+    assert len(used) == best_fit_one_by_one({10: 100, 23: 3}, 64) == 18
+    for v in used.values():
+        v.sort()
+        assert [o for o, _ in v] == [sum(n for _, n in v[:i]) for i in range(len(v))] and sum(n for _, n in v) <= 64
+
+
 def test_packing_ids_are_the_library_s(spark):
     path = queries.tokenizer_path(queries.WORD_BPE)
     got = packing.packed_documents(frame(spark), path, window=64).collect()
