@@ -9,8 +9,8 @@ each covers, as Arrow fixed-shape-tensor columns where asked for.
 Work on a clip goes in blocks of ``BLOCK`` samples, so memory is bounded whatever its length, and each clip is
 computed on its own, so equal clips have equal features.
 
-Defined results: null text is an empty payload, padded to 64 zero bytes; a clip shorter than a frame has one frame
-of zero-padded samples; repeated rows get equal results; an empty table gives no rows; other columns are ignored.
+Defined results: null text is an empty payload, padded to 64 zero bytes; the last frame of a clip is
+zero-padded where samples run out; repeated rows get equal results; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from levelsort.llm.common import Stage
+
 UNIT, RATE = 64, 16000
 BLOCK = 720 * 360  # a multiple of the usual down factors
 
@@ -116,8 +118,8 @@ class Features:
         x = np.frombuffer(samples, np.uint8).astype(np.float32)
         x = (x - 128) / 128
         y = np.concatenate([self._block(x, i) for i in range(0, len(x), BLOCK)])
-        if len(y) < self.frame:
-            y = np.concatenate([y, np.zeros(self.frame - len(y), np.float32)])
+        steps = max(0, -(-(len(y) - self.frame) // self.hop))  # the last frame holds the last sample
+        y = np.concatenate([y, np.zeros(self.frame + steps * self.hop - len(y), np.float32)])
         bank = mel_bank(self.mels, self.frame, rate * self.up // self.down)
         frames = np.lib.stride_tricks.sliding_window_view(y, self.frame)[:: self.hop]
         mel, energy = [], []
@@ -152,63 +154,77 @@ class Features:
 
 
 def feature_digest(mel: np.ndarray, spans: list[tuple[int, int]]) -> str:
-    mean = ",".join(f"{v:.1f}" for v in mel.mean(axis=0)[::8] + 0.0)
+    mean = ",".join(f"{v:.1f}" for v in mel.mean(axis=0) + 0.0)
     return f"frames={len(mel)};segments={len(spans)};active={sum(b - a for a, b in spans)};mel={mean}"
 
 
-def media_table(docs: DataFrame, settings: dict | None = None, id_col: str = "doc_id", text_col: str = "text", keep_media: bool = True) -> DataFrame:
-    """doc_id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, feature, segments, media.
+def stored_media(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, n_bytes, media: the text as a clip."""
 
-    ``segments``: array of struct(start_s, end_s). ``media``: the stored bytes, null unless ``keep_media``.
-    """
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for at in range(0, b.num_rows, 64):
+                part = b.slice(at, 64)
+                texts = part.column("text").to_pylist()
+                sizes, clips = [len((t or "").encode("utf-8")) for t in texts], [to_wave(payload(t)) for t in texts]
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(sizes, pa.int64()), pa.array(clips, pa.binary())], ["doc_id", "n_bytes", "media"])
+
+    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    return texts.mapInArrow(run, "doc_id long, n_bytes long, media binary")
+
+
+def described(stored: DataFrame, settings: dict | None = None) -> DataFrame:
+    """What the stored clips (doc_id, n_bytes, media) hold: the columns of ``media_table``; null media gives no row."""
     options = dict(settings or {})
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f = Features(**options)
-        kind = pa.list_(pa.struct([("start_s", pa.float64()), ("end_s", pa.float64())]))
+        span = pa.list_(pa.struct([("start_s", pa.float64()), ("end_s", pa.float64())]))
         for b in batches:
             for at in range(0, b.num_rows, 64):
                 part = b.slice(at, 64)
-                rows = []
-                for doc, text in zip(part.column("doc_id").to_pylist(), part.column("text").to_pylist(), strict=True):
-                    media = to_wave(payload(text))
-                    rate, back = from_wave(media)
+                rows, blocks, times, first = [], [], [], [0]
+                for doc, n_bytes, data in zip(*(part.column(k).to_pylist() for k in ("doc_id", "n_bytes", "media")), strict=True):
+                    rate, back = from_wave(data)
                     mel, energy = f.log_mel(back, rate)
                     spans = f.segments(energy)
-                    rows.append((doc, len((text or "").encode("utf-8")), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-UNIT:]), len(media), hashlib.sha256(media).hexdigest(), feature_digest(mel, spans), [{"start_s": f.seconds(a, rate), "end_s": f.seconds(z, rate)} for a, z in spans], media if keep_media else None))
+                    seconds = lambda k, mel=mel, rate=rate, back=back: len(back) / rate if k == len(mel) else f.seconds(k, rate)
+                    for k in range(0, len(mel), f.tensor_frames):
+                        n = min(f.tensor_frames, len(mel) - k)
+                        times.append((seconds(k), seconds(k + n), n))
+                        blocks.append(np.zeros((f.tensor_frames, f.mels), np.float32))
+                        blocks[-1][:n] = mel[k : k + n]
+                    first.append(len(blocks))
+                    rows.append((doc, n_bytes, len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-UNIT:]), len(data), hashlib.sha256(data).hexdigest(), feature_digest(mel, spans), [{"start_s": seconds(a), "end_s": seconds(z)} for a, z in spans], data))
                 cols = list(zip(*rows, strict=True))
-                types = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), kind, pa.binary()]
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], list(_MEDIA))
+                types = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), span, pa.binary()]
+                cells = pa.ListArray.from_arrays(pa.array(np.arange(len(blocks) + 1, dtype=np.int32) * (f.tensor_frames * f.mels)), pa.array(np.concatenate(blocks).ravel()))
+                starts, ends, counts = zip(*times, strict=True)
+                windows = pa.StructArray.from_arrays([pa.array(starts, pa.float64()), pa.array(ends, pa.float64()), pa.array(counts, pa.int64()), cells], ["start_s", "end_s", "n_frames", "tensor"])
+                yield pa.RecordBatch.from_arrays([*(pa.array(c, t) for c, t in zip(cols, types, strict=True)), pa.ListArray.from_arrays(pa.array(first, pa.int32()), windows)], list(_MEDIA))
 
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    return texts.mapInArrow(run, ", ".join(f"{k} {v}" for k, v in _MEDIA.items()))
+    return stored.where("media is not null").select("doc_id", "n_bytes", "media").mapInArrow(run, ", ".join(f"{k} {v}" for k, v in _MEDIA.items()))
 
 
-_MEDIA = {"doc_id": "long", "n_bytes": "long", "payload_bytes": "long", "payload_sha256": "string", "tail_crc32": "long", "media_bytes": "long", "media_sha256": "string", "feature": "string", "segments": "array<struct<start_s: double, end_s: double>>", "media": "binary"}
+def media_table(docs: DataFrame, settings: dict | None = None, id_col: str = "doc_id", text_col: str = "text", keep_media: bool = True) -> DataFrame:
+    """doc_id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, feature, segments, media, tensors.
 
+    The clips are written as a table; all else comes from what is read back. ``segments``: array of struct(start_s,
+    end_s). ``media``: the stored bytes, null unless ``keep_media``. ``tensors``: array of struct(start_s, end_s,
+    n_frames, tensor), log-mel windows of one fixed shape, zero-padded at the end; the last ends with the clip.
+    """
+    out = described(Stage(stored_media(docs, id_col, text_col), "media").df, settings)
+    return out if keep_media else out.withColumn("media", F.lit(None).cast("binary"))
 
-def tensor_table(media: DataFrame, settings: dict | None = None, id_col: str = "doc_id", media_col: str = "media") -> DataFrame:
-    """doc_id, part, start_s, end_s, n_frames, tensor: log-mel windows of one fixed shape, zero-padded at the end."""
-    options = dict(settings or {})
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        f = Features(**options)
-        for b in batches:
-            for doc, data in zip(b.column("doc_id").to_pylist(), b.column("media").to_pylist(), strict=True):
-                if data is None:
-                    continue
-                rate, samples = from_wave(data)
-                mel, _ = f.log_mel(samples, rate)
-                out = []
-                for k in range(0, len(mel), f.tensor_frames):
-                    block = np.zeros((f.tensor_frames, f.mels), np.float32)
-                    block[: len(mel[k : k + f.tensor_frames])] = mel[k : k + f.tensor_frames]
-                    n = min(f.tensor_frames, len(mel) - k)
-                    out.append((doc, k // f.tensor_frames, f.seconds(k, rate), f.seconds(k + n, rate), n, block.ravel()))
-                cols = list(zip(*out, strict=True))
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.int64(), pa.list_(pa.float32())), strict=True)], ["doc_id", "part", "start_s", "end_s", "n_frames", "tensor"])
-
-    return media.select(F.col(id_col).cast("long").alias("doc_id"), F.col(media_col).alias("media")).mapInArrow(run, "doc_id long, part long, start_s double, end_s double, n_frames long, tensor array<float>")
+_MEDIA = {"doc_id": "long", "n_bytes": "long", "payload_bytes": "long", "payload_sha256": "string", "tail_crc32": "long", "media_bytes": "long", "media_sha256": "string", "feature": "string", "segments": "array<struct<start_s: double, end_s: double>>", "media": "binary", "tensors": "array<struct<start_s: double, end_s: double, n_frames: long, tensor: array<float>>>"}
+
+
+def tensor_table(media: DataFrame, settings: dict | None = None, id_col: str = "doc_id", media_col: str = "media") -> DataFrame:
+    """doc_id, part, start_s, end_s, n_frames, tensor: the ``tensors`` of stored clips, one a row."""
+    stored = media.select(F.col(id_col).cast("long").alias("doc_id"), F.lit(None).cast("long").alias("n_bytes"), F.col(media_col).alias("media"))
+    out = described(stored, settings).select("doc_id", F.posexplode("tensors").alias("part", "x"))
+    return out.select("doc_id", F.col("part").cast("long").alias("part"), "x.start_s", "x.end_s", "x.n_frames", "x.tensor")
 
 
 def as_tensor_column(table: pa.Table, shape: tuple[int, int] = (64, 32)) -> pa.Table:

@@ -191,6 +191,41 @@ def test_media_round_trip_and_filters(spark):
         assert np.abs(media.resample(x, up, down) - want).max() < 1e-5
 
 
+def test_media_query_keeps_clips_spans_and_tensors(spark, tmp_path):
+    import numpy as np
+
+    text = "ab~ " * 5000
+    frame(spark, [(1, None), (2, text), (2, text), (None, "x")]).write.parquet(f"{tmp_path}/documents.parquet")
+    rows = queries.op9_media(spark, str(tmp_path)).collect()
+    assert len(rows) == 4
+    f = media.Features()
+    for r in rows:
+        rate, back = media.from_wave(bytes(r["media"]))
+        assert hashlib.sha256(back).hexdigest() == r["payload_sha256"] and len(back) == r["payload_bytes"]
+        mel, energy = f.log_mel(back, rate)
+        assert r["feature"] == media.feature_digest(mel, f.segments(energy)) and len(r["feature"].split("mel=")[1].split(",")) == f.mels
+        assert len(r["segments"]) == len(f.segments(energy))
+        parts = r["tensors"]
+        assert {len(t["tensor"]) for t in parts} == {f.tensor_frames * f.mels} and sum(t["n_frames"] for t in parts) == len(mel)
+        assert np.array_equal(np.concatenate([np.array(t["tensor"], "f4").reshape(-1, f.mels)[: t["n_frames"]] for t in parts]), mel)
+        assert parts[0]["start_s"] == 0 and parts[-1]["end_s"] == len(back) / rate
+        assert all(a["end_s"] == b["start_s"] for a, b in zip(parts, parts[1:]))
+
+
+def test_media_frames_reach_the_end_of_a_clip():
+    f = media.Features()
+    for n in (64, 512, 576, 704, 768, 4096):
+        quiet, loud = bytes([128]) * n, bytes([128]) * (n - 64) + b"\0\xff" * 16 + b"\0" * 32
+        a, b = f.log_mel(quiet)[0], f.log_mel(loud)[0]
+        assert len(a) == 1 + max(0, -(-(n // 2 - f.frame) // f.hop)) and abs(a[-1] - b[-1]).max() > 1
+
+
+def test_tensor_table_has_one_shape(spark):
+    table = media.as_tensor_column(media.tensor_table(media.media_table(frame(spark, [(1, "a"), (2, "word " * 9000)]))).toArrow())
+    assert table.schema.field("tensor").type.shape == [64, 32] and table.column("part").to_pylist().count(0) == 2
+    assert table.num_rows == 1 + -(-(1 + -(-(22528 - 256) // 128)) // 64)
+
+
 def test_common_lines(spark):
     rows = [(i, f"Top Line\nown {i}\n\n top line ") for i in range(12)] + [(99, None)]
     out = {r["doc_id"]: r for r in line_dedup.common_line_dedup(frame(spark, rows), batches=6, fanout=2).collect()}
