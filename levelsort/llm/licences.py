@@ -7,6 +7,9 @@ skipping paragraphs without licence words changes no result. A class probability
 the class ``unknown``; a prediction is confirmed only if the paragraph holds enough of the words of one of the
 family's templates.
 
+Paragraphs end at blank lines. What is scored in one are its lines with licence words and, as notices are often wrapped,
+all spans of up to ``span_lines`` consecutive lines that hold one.
+
 The weights are one small table (at most ``len(FAMILIES) * max_features`` numbers, whatever the corpus) and are
 broadcast. Paragraph n-grams are summed per paragraph after a map-side combine.
 
@@ -22,6 +25,7 @@ import re
 from collections import Counter
 
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from levelsort.llm.common import ascii_lower
@@ -119,40 +123,69 @@ def train(families: dict[str, list[str]] | None = None, ordinary: list[str] | No
     return Classifier({g: {k: round(v, 5) for k, v in x.items()} for g, x in w.items()}, bias, round(min(0.9, max(0.5, (low + max(loose)) / 2)), 4))
 
 
-def paragraph_scan(docs: DataFrame, model: Classifier | None = None, id_col: str = "doc_id", text_col: str = "text", paragraph_break: str = "\n+", confirm: float = 0.6) -> DataFrame:
-    """One row per paragraph with licence words: doc_id, para, family, probability, overlap, confirmed."""
+def paragraph_scan(docs: DataFrame, model: Classifier | None = None, id_col: str = "doc_id", text_col: str = "text", paragraph_break: str = r"\n[ \t\r]*\n", confirm: float = 0.6, span_lines: int = 8) -> DataFrame:
+    """One row per notice, and per line with licence words outside any: doc_id, para, line, lines, family, probability,
+    overlap, confirmed, copies (equal rows of the document)."""
     spark = docs.sparkSession
     model = model or train()
     classes = sorted(model.bias)
     anchor = r"(?i)(?<![A-Za-z0-9])(?:" + "|".join(sorted(ANCHORS)) + r")(?![A-Za-z0-9])"
+    anchors = F.array(*[F.lit(a) for a in sorted(ANCHORS)])
+    wordings = F.array(*[F.array(*[F.lit(w) for w in sorted(set(words(t)))]) for ts in FAMILIES.values() for t in ts])
     hits = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).where(F.col("text").rlike(anchor))
     # paragraphs of one document keep their number; rows that repeat a doc_id are told apart by their text
     paras = hits.select("doc_id", F.xxhash64("text").alias("row"), F.posexplode(F.split("text", paragraph_break)).alias("para", "body")).where(F.col("body").rlike(anchor))
-    toks = paras.select("doc_id", "row", "para", F.regexp_extract_all(ascii_lower(F.col("body")), F.lit(WORD), F.lit(0)).alias("t"))
-
-    def run_of(n: int) -> Column:
-        return F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size("t") - (n - 1))), lambda i: F.array_join(F.slice("t", i, n), " "))
-
-    gram_rows = toks.select("doc_id", "row", "para", F.explode(F.array_distinct(F.concat(*[run_of(n) for n in range(1, ORDER + 1)]))).alias("g"))
+    lined = paras.select("doc_id", "row", "para", F.transform(F.split("body", "\n"), lambda x: F.regexp_extract_all(ascii_lower(x), F.lit(WORD), F.lit(0))).alias("lt"))
+    # a line with licence words, and the lines around it that a span of it can reach
+    first = lambda i: F.greatest(i - (span_lines - 1), F.lit(0))
+    near = F.transform("lt", lambda x, i: F.when(F.arrays_overlap(x, anchors), F.struct(i.alias("at"), F.slice("lt", first(i) + 1, i - first(i) + span_lines).alias("ctx"))))
+    around = lined.select("doc_id", "row", "para", F.explode(F.array_compact(near)).alias("x")).select("doc_id", "row", "para", "x.*").withColumn("off", F.col("at") - first(F.col("at")))
+    # overlap only grows with a span: where all lines around hold too few words of every template, no longer span is confirmed
+    around = around.withColumn("flat", F.array_distinct(F.flatten("ctx")))
+    reach = F.exists(wordings, lambda t: F.size(F.array_intersect(t, F.col("flat"))) >= confirm * F.size(t))
+    line = F.array(F.struct(F.col("off").alias("a"), F.col("off").alias("z")))
+    starts = F.filter(F.sequence(F.lit(0), "off"), lambda a: ~F.arrays_overlap(F.flatten(F.slice("ctx", a + 1, F.col("off") - a)), anchors))  # a span is named by its first such line
+    spans = F.flatten(F.transform(starts, lambda a: F.transform(F.sequence(F.col("off"), F.least(a + (span_lines - 1), F.size("ctx") - 1)), lambda z: F.struct(a.alias("a"), z.alias("z")))))
+    cut = around.select("doc_id", "row", "para", "at", "off", "ctx", F.explode(F.when(reach, spans).otherwise(line)).alias("p"))
+    toks = cut.select("doc_id", "row", "para", (F.col("at") - F.col("off") + F.col("p.a")).alias("lo"), (F.col("at") - F.col("off") + F.col("p.z")).alias("hi"), F.flatten(F.slice("ctx", F.col("p.a") + 1, F.col("p.z") - F.col("p.a") + 1)).alias("t"))
+    key = ["doc_id", "row", "para", "lo", "hi"]
+
+    def grams_at(i: Column) -> Column:
+        fits = lambda n, d: (i - d >= 1) & (i - d + n - 1 <= F.size("t"))
+        return F.array(*[F.when(fits(n, d), F.array_join(F.slice("t", i - d, n), " ")) for n in range(1, ORDER + 1) for d in range(n)])
+
+    # every feature holds a licence word, so only n-grams around one are looked up
+    at = F.array_compact(F.transform("t", lambda x, i: F.when(F.array_contains(anchors, x), i + 1)))
+    gram_rows = toks.select(*key, F.explode(F.array_distinct(F.array_compact(F.flatten(F.transform(at, grams_at))))).alias("g"))
     table = spark.createDataFrame([(g, [float(x.get(k, 0.0)) for k in classes]) for g, x in sorted(model.weights.items())], "g string, w array<double>")
-    sums = gram_rows.join(F.broadcast(table), "g").groupBy("doc_id", "row", "para").agg(*[F.sum(F.get("w", F.lit(i))).alias(f"s{i}") for i in range(len(classes))])
+    sums = gram_rows.join(F.broadcast(table), "g").groupBy(*key).agg(*[F.sum(F.get("w", F.lit(i))).alias(f"s{i}") for i in range(len(classes))])
     score = [F.col(f"s{i}") + F.lit(float(model.bias[k])) for i, k in enumerate(classes)]
     top = F.greatest(*score)
-    scored = sums.select("doc_id", "row", "para", top.alias("top"), F.array(*score).alias("s"))
+    scored = sums.select(*key, top.alias("top"), F.array(*score).alias("s"))
     scored = scored.withColumn("probability", 1 / F.aggregate("s", F.lit(0.0), lambda a, x: a + F.exp(x - F.col("top"))))
     scored = scored.withColumn("label", F.get(F.array(*[F.lit(k) for k in classes]), F.array_position("s", F.col("top")).cast("int") - 1))
     named = scored.withColumn("family", F.when((F.col("label") == UNKNOWN) | (F.col("probability") < model.threshold), F.lit(UNKNOWN)).otherwise(F.col("label")))
     templates = spark.createDataFrame([(k, sorted(set(words(t)))) for k, ts in sorted(FAMILIES.items()) for t in ts], "family string, tw array<string>").groupBy("family").agg(F.collect_list("tw").alias("templates"))
-    both = named.join(toks, ["doc_id", "row", "para"]).join(F.broadcast(templates), "family", "left")
+    both = named.join(toks, key).join(F.broadcast(templates), "family", "left")
     overlap = F.coalesce(F.array_max(F.transform("templates", lambda t: F.size(F.array_intersect(t, "t")) / F.size(t))), F.lit(0.0))
-    return both.select("doc_id", "para", "family", F.round("probability", 6).alias("probability"), F.round(overlap, 6).alias("overlap"), ((F.col("family") != UNKNOWN) & (overlap >= confirm)).alias("confirmed"))
+    found = both.select(*key, "family", F.round("probability", 6).alias("probability"), F.round(overlap, 6).alias("overlap"), ((F.col("family") != UNKNOWN) & (overlap >= confirm)).alias("confirmed"))
+    found = found.where("confirmed or lo = hi").groupBy(*key).agg(*[F.max(c).alias(c) for c in ("family", "probability", "overlap", "confirmed")], F.count("*").alias("copies"))
+    # a notice is a confirmed span with none inside it; overlapping ones of a family are one, and cover their lines
+    place = W.partitionBy("doc_id", "row", "para")
+    end = F.when(F.col("confirmed"), F.col("hi"))
+    inner = F.min(end).over(place.orderBy(F.desc("lo"), "hi").rowsBetween(W.unboundedPreceding, -1))
+    found = found.withColumn("inner", inner).where("not confirmed or inner is null or inner > hi")
+    cover = F.max(end).over(place.orderBy("lo").rangeBetween(W.unboundedPreceding, 0))
+    before = F.max("hi").over(W.partitionBy("doc_id", "row", "para", "family", "confirmed").orderBy("lo").rowsBetween(W.unboundedPreceding, -1))
+    found = found.withColumn("seen", F.when(F.col("confirmed"), before).otherwise(cover)).where("seen is null or seen < lo")
+    return found.select("doc_id", "para", F.col("lo").alias("line"), (F.col("hi") - F.col("lo") + 1).alias("lines"), "family", "probability", "overlap", "confirmed", "copies")
 
 
 def document_licences(docs: DataFrame, model: Classifier | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per doc_id: licences (confirmed families, comma-joined, by name; empty: none), n_confirmed, n_unknown."""
     found = paragraph_scan(docs, model, id_col, text_col).groupBy("doc_id").agg(
         F.array_join(F.array_sort(F.collect_set(F.when(F.col("confirmed"), F.col("family")))), ",").alias("licences"),
-        F.sum(F.col("confirmed").cast("long")).alias("n_confirmed"), F.sum((~F.col("confirmed")).cast("long")).alias("n_unknown"),
+        F.sum(F.when(F.col("confirmed"), F.col("copies")).otherwise(0)).alias("n_confirmed"), F.sum(F.when(F.col("confirmed"), 0).otherwise(F.col("copies"))).alias("n_unknown"),
     ).withColumnRenamed("doc_id", "_id")
     ids = docs.select(F.col(id_col).alias("doc_id")).distinct()
     return ids.join(found, ids["doc_id"].eqNullSafe(found["_id"]), "left").select("doc_id", F.coalesce("licences", F.lit("")).alias("licences"), F.coalesce("n_confirmed", F.lit(0)).alias("n_confirmed"), F.coalesce("n_unknown", F.lit(0)).alias("n_unknown"))

@@ -247,6 +247,16 @@ def test_licences(spark):
     assert got == {1: "mit", 2: "", 3: "", 4: "apache-2.0,cc-by-nc"}
 
 
+def test_wrapped_licences(spark):
+    import textwrap
+
+    mit, bsd, gpl = licences.FAMILIES["mit"][1], licences.FAMILIES["bsd"][0], licences.FAMILIES["gpl-3.0"][1]
+    wrap = lambda t, n: "\n".join(textwrap.wrap(t, n))
+    rows = [(1, wrap(mit, 72)), (2, "Copyright text\n\n" + wrap(bsd, 70) + "\nand more."), (3, f"{wrap(mit, 78)}\n\n{wrap(bsd, 78)}"), (4, wrap(gpl, 75)), (5, "He lost his license\nin the accident, under\nthe new law."), (6, "Released under the MIT License.\nThe license of the driver."), (7, "# " + wrap(bsd, 70).replace("\n", "\n# "))]
+    got = {r["doc_id"]: (r["licences"], r["n_confirmed"]) for r in licences.document_licences(frame(spark, rows)).collect()}
+    assert got == {1: ("mit", 1), 2: ("bsd", 1), 3: ("bsd,mit", 2), 4: ("gpl-3.0", 1), 5: ("", 0), 6: ("mit", 1), 7: ("bsd", 1)}
+
+
 def test_toxicity_channels():
     lex, g = toxicity.Lexicon({}, {}), toxicity.Grammar()
     score = lambda t: dict(zip((*toxicity.CHANNELS, "clauses"), toxicity.channels(t, lex, g), strict=True))
