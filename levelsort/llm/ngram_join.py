@@ -1,21 +1,25 @@
 """Jaccard self-join over word shingles by token-combination prefixes.
 
-Every document is the set of 64-bit hashes of its distinct word 5-grams. Two sets x, y with J(x, y) >= t
-overlap in at least ceil(t n_x) and ceil(t n_y) hashes, so under any global token order their prefixes of
-n - ceil(t n) + k hashes share at least k. That is used three times:
+Every document is the set of 64-bit hashes of its distinct word 5-grams; copies of one set are one set from the
+start. Two different sets x, y with J(x, y) >= t overlap in at least ceil(t n_x) and ceil(t n_y) hashes, and in
+at least two, so under any global token order their prefixes of n - ceil(t n) + k hashes share at least k (or
+their whole overlap, if that is less). That is used four times:
 
-1. *Support filter* under plain hash order with prefixes extended by k = 1 + n // 10: a document stays only
-   if enough of its prefix hashes occur in another document's prefix. About a third of the hashes move, once.
+1. *Support filter* under plain hash order with prefixes extended by k = 2 + n // 10 (``reach``): a set stays only
+   if enough (``needed``) of its prefix hashes occur in another set's prefix. About a third of the hashes move, once.
 2. *Clusters first*: sets that share a min-hash are compared inside bounded blocks; this only joins documents
-   whose Jaccard was checked. Copies of one set are one set from the start.
-3. *Index* under the order (dead, document frequency, hash), where a token is dead if all its documents lie in
+   whose Jaccard was checked.
+3. *Support across clusters*: the same count over the same prefixes, of hashes that a set of another cluster has too.
+   Sets below it can only be linked inside their cluster, so only the few others are indexed with all their hashes.
+4. *Index* under the order (dead, document frequency, hash), where a token is dead if all its documents lie in
    one cluster. Prefixes are extended by one, so two linked documents of different clusters share two live
    tokens there: either a rare one, indexed alone, or two frequent ones, indexed as a 2-combination of their classes
    (tokens whose posting lists have the same min-hash document).
    Posting lists are compared in blocks of bounded size; pairs already known to be connected are skipped.
 
-Links join clusters by rounds of minimum-label contraction. No step has a cap that drops work: large key
-groups are cut into blocks and every pair of blocks is visited.
+Links join clusters by rounds of minimum-label contraction, until no edge is left. No step has a cap that drops
+work: large key groups are cut into blocks and every pair of blocks is visited. Joins back from clusters and sets
+to their members salt the keys that have more than ``HOT_ROWS`` of them.
 
 Defined results: null or empty text has an empty set, n_shingles 0, and is linked with nothing; a null
 doc_id is never linked and has a null component; repeated rows get equal results; other columns are ignored.
@@ -24,13 +28,14 @@ Set identity is a 64-bit hash of the set (two different sets among d coincide wi
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import reduce
+from itertools import count
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from levelsort.llm.common import Stage, release, small
@@ -38,6 +43,7 @@ from levelsort.llm.common import Stage, release, small
 BLOCK = 256
 RARE = 64
 ROUNDS = 4
+HOT_ROWS = 2000
 BROADCAST_ROWS = 500_000
 _FACTOR, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
 
@@ -77,6 +83,16 @@ def lost(n: int, percent: int) -> int:
     return n + (-percent * n // 100)
 
 
+def reach(n: int, percent: int) -> int:
+    """Length of the prefix in hash order that a set of n sends to the support filters."""
+    return min(n, lost(n, percent) + 2 + n // 10)
+
+
+def _needed(percent: int) -> Column:
+    """Hashes that the prefixes of two linked, different sets share at least; ``n`` is the size of either."""
+    return F.lit(2) + F.floor(F.floor(F.col("n") * percent / 100) / 10)
+
+
 def linked(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
     """a, b sorted and distinct."""
     if len(a) > len(b):
@@ -103,14 +119,14 @@ def _sketch(percent: int, width: int):
                 sets = [shingle_hashes(t, width) for t in part.column("text").to_pylist()]
                 n = [len(s) for s in sets]
                 yield pa.RecordBatch.from_arrays(
-                    [part.column("doc_id"), pa.array(map(set_id, sets), pa.int64()), pa.array(n, pa.int64()), _lists([s[: lost(k, percent) + 1 + k // 10] for s, k in zip(sets, n, strict=True)])],
+                    [part.column("doc_id"), pa.array(map(set_id, sets), pa.int64()), pa.array(n, pa.int64()), _lists([s[: reach(k, percent)] for s, k in zip(sets, n, strict=True)])],
                     ["doc_id", "sid", "n", "prefix"],
                 )
 
     return run
 
 
-def _full_sets(width: int):
+def _full_sets(percent: int, width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for at in range(0, b.num_rows, 256):
@@ -120,8 +136,8 @@ def _full_sets(width: int):
                 with np.errstate(over="ignore"):
                     second = [int(_mix(s.view(np.uint64) * _FACTOR).view(np.int64).min()) if len(s) else 0 for s in sets]
                 yield pa.RecordBatch.from_arrays(
-                    [part.column("sid"), pa.array([i == j for i, j in zip(ids, part.column("sid").to_pylist(), strict=True)]), pa.array([int(s[0]) if len(s) else 0 for s in sets], pa.int64()), pa.array(second, pa.int64()), _lists(sets)],
-                    ["sid", "same", "low1", "low2", "hashes"],
+                    [part.column("sid"), pa.array([reach(len(s), percent) for s in sets], pa.int32()), pa.array([i == j for i, j in zip(ids, part.column("sid").to_pylist(), strict=True)]), pa.array([int(s[0]) if len(s) else 0 for s in sets], pa.int64()), pa.array(second, pa.int64()), _lists(sets)],
+                    ["sid", "reach", "same", "low1", "low2", "hashes"],
                 )
 
     return run
@@ -204,7 +220,7 @@ def _clustered(sets: Stage, rows: DataFrame, key: str, percent: int) -> DataFram
     return dealt.groupBy("key", "block").applyInArrow(_cluster(percent), "sid long, label long")
 
 
-def contract(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+def contract(edges: DataFrame) -> DataFrame:
     """node, root for every node of ``edges`` (a, b); nodes of one component, and no others, share a root.
 
     Each round every node hooks onto the neighbour (or itself) of lowest priority, a hash that changes with the
@@ -214,7 +230,7 @@ def contract(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     spark = edges.sparkSession
     live = Stage(edges.where("a <> b").select("a", "b").distinct(), "edges")
     maps: list[Stage] = []
-    for r in range(max_rounds):
+    for r in count():
         if live.df.isEmpty():
             break
         both = live.df.select("a", "b").union(live.df.select("b", "a"))
@@ -240,24 +256,46 @@ def contract(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     return root
 
 
+def _shared_hits(tokens: DataFrame, owner: str, label: str, rounds: int) -> DataFrame:
+    """owner, hits: how many of its tokens (owner, mark, h) occur under another mark as well.
+
+    Counted in disjoint rounds of tokens, which bounds the disk that their shuffles hold at once. The shared tokens
+    grow with the corpus, so they are never broadcast, not even where they are still few.
+    """
+    counted = []
+    for part in range(rounds):  # a token is in one round: a round's shuffles are gone from the disks before the next one
+        rows = tokens.where(F.pmod("h", F.lit(rounds)) == part) if rounds > 1 else tokens
+        shared = rows.groupBy("h").agg(F.min("mark").alias("m0"), F.max("mark").alias("m1")).where("m0 < m1").select("h")
+        counted.append(Stage(rows.select(owner, "h").join(shared.hint("merge"), "h").groupBy(owner).agg(F.count("*").alias("hits")), label))
+        del rows, shared
+        release(counted[-1].spark)
+    return reduce(DataFrame.unionByName, [c.df for c in counted]).groupBy(owner).agg(F.sum("hits").alias("hits"))
+
+
 def _supported(sketch: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
-    """sid, rep of the sets with enough prefix hashes that occur in another row's prefix.
+    """sid, rep of the sets with enough prefix hashes that occur in another set's prefix.
 
-    Only here hashes and set ids are cut (48 and 40 bits) to move fewer bytes: a collision lets a set through that
-    the later steps drop, it never removes one. Copies of a set all send their hashes, so hits count per copy.
-    The hashes are counted in ``ROUNDS`` disjoint rounds, which bounds the disk that their shuffles hold at once.
+    Only here hashes and set ids are cut (48 and 40 bits) to move fewer bytes: a hash that meets another by its cut
+    lets a set through that the later steps drop. Two sets with one cut id (about d / 2^40 of d sets) would hide
+    the hashes that only they share, so a set that shares its cut id passes without a count.
     """
     short = lambda c: F.shiftrightunsigned(c, 24)
-    wanted, counted = sketch.where("n > 0 and doc_id is not null"), []
-    for part in range(ROUNDS):  # a hash is in one round: a round's shuffles are gone from the disks before the next one
-        tokens = wanted.select(short(F.col("sid")).alias("s"), F.explode("prefix").alias("h")).select("s", F.shiftrightunsigned("h", 16).alias("h")).where(F.pmod("h", F.lit(ROUNDS)) == part)
-        shared = tokens.groupBy("h").agg(F.count("*").alias("rows")).where("rows > 1").select("h")
-        counted.append(Stage(tokens.join(shared, "h").groupBy("s").agg(F.count("*").alias("hits")), "hits"))
-        del tokens, shared
-        release(sketch.sparkSession)
-    hits = reduce(DataFrame.unionByName, [c.df for c in counted]).groupBy("s").agg(F.sum("hits").alias("hits"))
-    need = (F.lit(1) + F.floor(F.floor(F.col("n") * percent / 100) / 10)) * F.col("copies")
-    return classes.withColumn("s", short(F.col("sid"))).join(hits, "s").where(F.col("hits") >= need).select("sid", "rep")
+    reps = classes.select("sid", F.col("rep").alias("doc_id"))
+    once = sketch.where("n > 1 and doc_id is not null").join(small(reps, classes.count(), BROADCAST_ROWS), ["sid", "doc_id"], "left_semi")
+    tokens = once.select(short(F.col("sid")).alias("s"), F.explode("prefix").alias("h")).select("s", F.col("s").alias("mark"), F.shiftrightunsigned("h", 16).alias("h"))
+    hits = _shared_hits(tokens, "s", "hits", ROUNDS)
+    cut = classes.withColumn("s", short(F.col("sid"))).where("n > 1")
+    alike = cut.groupBy("s").agg(F.count("*").alias("sets"))
+    judged = cut.join(alike, "s").join(hits, "s", "left")
+    return judged.where((F.col("hits") >= _needed(percent)) | (F.col("sets") > 1)).select("sid", "rep")
+
+
+def _across(sets: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
+    """sid of the sets that may be linked with a set of another cluster."""
+    prefix = sets.select("sid", F.slice("hashes", F.lit(1), F.col("reach")).alias("p")).join(labels, "sid")
+    tokens = prefix.select("sid", F.col("label").alias("mark"), F.explode("p").alias("h"))
+    hits = _shared_hits(tokens, "sid", "cross-hits", 1)
+    return sets.select("sid", F.size("hashes").alias("n")).join(hits, "sid").where(F.col("hits") >= _needed(percent)).select("sid")
 
 
 def _labels(sets: Stage, percent: int) -> DataFrame:
@@ -273,7 +311,7 @@ def _index(sets: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
     """sid, label, n, key, rare: live prefix tokens alone (rare ones) or in twos (frequent ones)."""
     grams = sets.select("sid", "hashes").join(labels, "sid").select("sid", "label", F.explode("hashes").alias("h"))
     seen = grams.groupBy("h").agg(F.count("*").alias("df"), F.min("label").alias("l0"), F.max("label").alias("l1"), F.min(F.xxhash64("sid")).alias("kin")).where("l0 < l1").select("h", "df", "kin")
-    alive = grams.select("sid", "h").join(seen, "h").groupBy("sid").agg(F.array_sort(F.collect_list(F.struct("df", "h", "kin"))).alias("alive"))
+    alive = grams.select("sid", "h").join(seen.hint("merge"), "h").groupBy("sid").agg(F.array_sort(F.collect_list(F.struct("df", "h", "kin"))).alias("alive"))
     sized = alive.join(sets.select("sid", F.size("hashes").alias("n")), "sid").join(labels, "sid")
     budget = F.col("n") - F.ceil(F.col("n") * percent / 100) + 2 - (F.col("n") - F.size("alive"))
     prefix = sized.withColumn("take", F.greatest(F.lit(0), F.least(budget, F.size("alive"))).cast("int")).where("take > 0").withColumn("alive", F.slice("alive", 1, F.col("take")))
@@ -315,35 +353,61 @@ def _links(index: Stage, sets: Stage, percent: int) -> DataFrame:
     return found.union(boxed.groupBy("key", "lo", "hi").applyInArrow(_compare(percent), "a long, b long")).distinct()
 
 
+def _spread_join(left: DataFrame, right: DataFrame, key: str, by: str, sizes: DataFrame) -> DataFrame:
+    """Left join on ``key``, unique in ``right``; ``sizes`` (key, m) counts its rows in ``left``.
+
+    Keys of more than ``HOT_ROWS`` rows are dealt by ``by`` over one salt per ``HOT_ROWS`` rows, the right row being repeated.
+    """
+    hot = Stage(sizes.where(F.col("m") > HOT_ROWS).select(key, F.ceil(F.col("m") / HOT_ROWS).cast("int").alias("salts")), "hot-keys")
+    n_hot = hot.df.count()
+    if n_hot == 0:
+        return left.join(right, key, "left")
+    salts = small(hot.df, n_hot, BROADCAST_ROWS)
+    dealt = left.join(salts, key, "left").withColumn("salt", F.coalesce(F.pmod(F.xxhash64(by), F.col("salts")).cast("int"), F.lit(0))).drop("salts")
+    spread = right.join(salts, key, "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce(F.col("salts") - 1, F.lit(0))))).drop("salts")
+    return dealt.join(spread, [key, "salt"], "left").drop("salt")
+
+
 def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75, width: int = 5) -> DataFrame:
     """One row per input row: doc_id, n_shingles, component_id (smallest doc_id reachable by links)."""
     spark = docs.sparkSession
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     sketch = Stage(texts.mapInArrow(_sketch(percent, width), "doc_id long, sid long, n long, prefix array<long>"), "sketch")
     base = Stage(sketch.df.select("doc_id", "sid", "n"), "set-ids")
-    classes = Stage(base.df.where("n > 0 and doc_id is not null").groupBy("sid").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.min("n").alias("n")), "classes")
+    classes = Stage(base.df.where("n > 0 and doc_id is not null").groupBy("sid").agg(F.min("doc_id").alias("rep"), F.count("*").alias("m"), F.min("n").alias("n")), "classes")
     chosen = Stage(_supported(sketch.df, classes.df, percent), "survivors")
     sketch.drop()
     n_chosen = chosen.df.count()
     release(spark)
 
     wanted = small(chosen.df.withColumnRenamed("rep", "doc_id"), n_chosen, BROADCAST_ROWS)
-    full = texts.join(wanted, "doc_id").select("sid", "text").mapInArrow(_full_sets(width), "sid long, same boolean, low1 long, low2 long, hashes array<long>")
+    full = texts.join(wanted, "doc_id").select("sid", "text").mapInArrow(_full_sets(percent, width), "sid long, reach int, same boolean, low1 long, low2 long, hashes array<long>")
     sets = Stage(full.where("same").drop("same"), "sets")
+    chosen.drop()
     if sets.df.count() > n_chosen:  # repeated rows of a representative
         sets = Stage(sets.df.dropDuplicates(["sid"]), "sets-once")
     labels = Stage(_labels(sets, percent), "labels")
     release(spark)
 
-    index = Stage(_index(sets.df, labels.df, percent), "index")
+    across = Stage(_across(sets.df, labels.df, percent), "across")
+    n_across = across.df.count()
+    open_sets = Stage(sets.df.select("sid", "hashes").join(small(across.df, n_across, BROADCAST_ROWS), "sid", "left_semi"), "open-sets")
+    sets.drop()
+    open_labels = labels.df.join(small(across.df, n_across, BROADCAST_ROWS), "sid", "left_semi")
+    index = Stage(_index(open_sets.df, open_labels, percent), "index")
     release(spark)
-    links = Stage(_links(index, sets, percent), "links")
-    roots = contract(links.df)
-    comp = labels.df.join(roots.withColumnRenamed("node", "label"), "label", "left").select("sid", F.coalesce("root", "label").alias("comp"))
-    known = Stage(classes.df.select("sid", "rep").join(comp, "sid", "left").select("sid", "rep", F.coalesce("comp", "sid").alias("comp")), "members")
-    lowest = known.df.groupBy("comp").agg(F.min("rep").alias("component_id"))
-    final = known.df.join(lowest, "comp").select("sid", "component_id")
-    out = base.df.select("doc_id", "sid", F.col("n").alias("n_shingles")).join(final, "sid", "left")
+    links = Stage(_links(index, open_sets, percent), "links")
+    for spent in (index, open_sets, across):
+        spent.drop()
+
+    # cluster -> component on the (distinct) labels, then cluster -> set, then set -> row
+    lows = labels.df.join(classes.df.select("sid", "rep"), "sid").groupBy("label").agg(F.min("rep").alias("low"), F.count("*").alias("m"))
+    rooted = Stage(lows.join(contract(links.df).withColumnRenamed("node", "label"), "label", "left").withColumn("root", F.coalesce("root", "label")), "rooted")
+    tops = rooted.df.groupBy("root").agg(F.min("low").alias("component_id"), F.count("*").alias("m"))
+    of_label = _spread_join(rooted.df.select("label", "root"), tops.select("root", "component_id"), "root", "label", tops.select("root", "m"))
+    of_set = _spread_join(labels.df.select("sid", "label"), of_label.select("label", "component_id"), "label", "sid", rooted.df.select("label", "m"))
+    known = Stage(classes.df.select("sid", "rep", "m").join(of_set.select("sid", "component_id"), "sid", "left").select("sid", "m", F.coalesce("component_id", "rep").alias("component_id")), "members")
+    out = _spread_join(base.df.select("doc_id", "sid", F.col("n").alias("n_shingles")), known.df.select("sid", "component_id"), "sid", "doc_id", known.df.select("sid", "m"))
     alone = (F.col("n_shingles") == 0) | F.col("doc_id").isNull()
     return out.select("doc_id", "n_shingles", F.when(alone, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
