@@ -19,7 +19,7 @@ ALPHA, BETA = 1e-5, 1e-9
 # --- volumes: every level moves every character once; prefix doubling moves only the prefixes -------------------------
 def _run(spark, d, name: str, method: str, plan: LevelPlan) -> ms.Sorted:
     s = string_set(spark, d, name)
-    return ms.level_merge_sort(ms.place_blocks(s, plan.lanes), plan) if method == "lms" else doubling.sort_prefixes(s, plan)
+    return ms.level_merge_sort(ms.place_blocks(s, plan.lanes), plan) if method == "lms" else doubling.sort_prefixes(s, plan, d0=4, growth=2, finish=False)
 
 
 def _volumes(name: str, method: str, k: int):

@@ -41,7 +41,7 @@ add("filter_prefix", lambda spark, d: op.filter_prefix(load(spark, d, "pages", [
 add("filter_range_strings", lambda spark, d: op.filter_range(load(spark, d, "pages", ["page_id", "url"]), "url", "http://a", "http://n"), "SELECT page_id, url FROM pages WHERE url >= 'http://a' AND url < 'http://n'")
 both("filter_lang", "SELECT doc_id FROM documents WHERE lang IN ('de', 'fr') AND n_chars > 1000")
 both("filter_rlike", "SELECT doc_id FROM documents WHERE regexp_matches(text, 'Licen[sc]ed')", "SELECT doc_id FROM documents WHERE text RLIKE 'Licen[sc]ed'")
-add("src_composite_key", lambda spark, d: (lambda e: e.select("event_id", as_key(e, ["user_id", "ts"]).alias("key")))(load(spark, d, "events")), "SELECT event_id, lpad(CAST(user_id AS VARCHAR), 12, '0') || '|' || strftime(ts, '%Y-%m-%d %H:%M:%S.%f') AS key FROM events")
+add("src_composite_key", lambda spark, d: (lambda e: e.select("event_id", as_key(e, ["user_id", "ts"]).alias("key")))(load(spark, d, "events")), "SELECT event_id, lpad(CAST(CAST(user_id AS HUGEINT) + 9223372036854775808 AS VARCHAR), 20, '0') || '|' || strftime(ts, '%Y-%m-%d %H:%M:%S.%f') AS key FROM events")
 
 # joins
 both("join_docs_labels", "SELECT d.doc_id, lang, quality, toxic FROM documents d JOIN labels l ON d.doc_id = l.doc_id")
@@ -83,8 +83,9 @@ both("win_range_frame_events", "SELECT event_id, count(*) OVER (PARTITION BY use
 # order, limits, sets, duplicates
 add("topk_longest_lines", lambda spark, d: string_set(spark, d, "lines").orderBy(F.length("s").desc(), "src_id", "pos").limit(20).select("src_id", "pos"), f"SELECT src_id, pos FROM {LINES} ORDER BY length(s) DESC, src_id, pos LIMIT 20")
 both("topk_per_lang", "SELECT lang, doc_id FROM (SELECT lang, doc_id, row_number() OVER (PARTITION BY lang ORDER BY n_chars DESC, doc_id) AS r FROM documents) WHERE r <= 3")
+add("select_median_string", lambda spark, d: op.median_string(string_set(spark, d, "lines")), f"SELECT src_id, pos, s FROM (SELECT *, row_number() OVER (ORDER BY s, src_id, pos) AS r, count(*) OVER () AS n FROM {LINES}) WHERE r = (n + 1) // 2")
 add("select_ith_string", lambda spark, d: op.ith_string(string_set(spark, d, "lines"), 500), f"SELECT src_id, pos, s FROM {LINES} ORDER BY s, src_id, pos LIMIT 1 OFFSET 500")
-both("order_desc_nulls", "SELECT doc_id, toxic FROM (SELECT d.doc_id, toxic FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id) ORDER BY toxic DESC NULLS LAST, doc_id LIMIT 50")
+both("order_desc_nulls", "SELECT doc_id, toxic FROM (SELECT d.doc_id, toxic FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id) ORDER BY toxic DESC NULLS LAST, doc_id")
 for _name, _kw, _all in (("union", "UNION", False), ("intersect", "INTERSECT", False), ("except", "EXCEPT", False), ("except_all", "EXCEPT ALL", True)):
     add(f"set_{_name}_lines", lambda spark, d, k=_name: op.set_op(op.lines_of(spark, d, "en"), op.lines_of(spark, d, "fr"), k), f"SELECT s FROM {LINES} JOIN documents ON src_id = doc_id WHERE lang = 'en' {_kw} SELECT s FROM {LINES} JOIN documents ON src_id = doc_id WHERE lang = 'fr'")
 add("dedup_lines", lambda spark, d: op.dedup(string_set(spark, d, "lines"), "s"), f"SELECT s, min(src_id) AS src_id FROM {LINES} GROUP BY s")
@@ -94,7 +95,7 @@ add("op_regular_sample", lambda spark, d: op.regular_sample(load(spark, d, "part
 both("fn_string_basic", "SELECT page_id, upper(left(url, 10)) AS a, reverse(url) AS b, CAST(length(url) AS INT) AS n, replace(url, 'http', 'x') AS c, lpad(CAST(page_id AS VARCHAR), 6, '0') AS e FROM pages", "SELECT page_id, upper(left(url, 10)) AS a, reverse(url) AS b, length(url) AS n, replace(url, 'http', 'x') AS c, lpad(CAST(page_id AS STRING), 6, '0') AS e FROM pages")
 both("fn_string_regex", "SELECT page_id, regexp_extract(url, '/([a-z]+)/', 1) AS lang FROM pages")
 both("fn_hash_md5", "SELECT doc_id, md5(text) AS h FROM documents")
-both("fn_levenshtein_names", "SELECT a.p_name AS a, b.p_name AS b, CAST(levenshtein(a.p_name, b.p_name) AS INT) AS n FROM (SELECT DISTINCT p_name FROM part) a CROSS JOIN (SELECT DISTINCT p_name FROM part WHERE p_partkey < 5) b")
+both("fn_levenshtein_names", "SELECT a AS a, b AS b, CAST(levenshtein(a, b) AS INT) AS n, rows FROM (SELECT p_name AS a, p_brand AS b, count(*) AS rows FROM part GROUP BY p_name, p_brand) x")
 both("fn_date_orders", "SELECT CAST(year(o_orderdate) AS INT) AS y, CAST(month(o_orderdate) AS INT) AS m, count(*) AS n FROM orders GROUP BY 1, 2")
 both("fn_math_plan", "SELECT CAST(i AS INT) AS p, CAST(floor(log2(i)) AS BIGINT) AS d, CAST(ceil(sqrt(i)) AS BIGINT) AS side FROM (SELECT unnest([8, 12, 64, 200]) AS i)", "SELECT i AS p, floor(log2(i)) AS d, ceil(sqrt(i)) AS side FROM (SELECT explode(array(8, 12, 64, 200)) AS i)")
 both("fn_array_splitters", "SELECT doc_id, CAST(len(list_filter(string_split(text, ' '), lambda x: length(x) > 12)) AS INT) AS n FROM documents", "SELECT doc_id, size(filter(split(text, ' '), x -> length(x) > 12)) AS n FROM documents")

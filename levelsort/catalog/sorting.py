@@ -25,7 +25,7 @@ def ranked_sql(name: str, text: bool = True) -> str:
 
 # --- whole sorts: every method and plan gives the one exact order -------------------------------------------------
 def _lms(name: str, k: int, **options):
-    return lambda spark, d: ms.level_merge_sort(ms.place_blocks(string_set(spark, d, name), P), PLANS[k], **options).ranked()
+    return lambda spark, d: ms.level_merge_sort(string_set(spark, d, name), PLANS[k], **options).ranked()
 
 
 def _pds(name: str, k: int, **options):
@@ -49,14 +49,30 @@ add("hc_fold", lambda spark, d: baselines.hypercube_sort(string_set(spark, d, "u
 add("single_node_url", lambda spark, d: baselines.single_node_sort(string_set(spark, d, "url")), ranked_sql("url"))
 add("spark_sort_lines", lambda spark, d: baselines.spark_sort(string_set(spark, d, "lines")), ranked_sql("lines"))
 add("rank_lines", lambda spark, d: baselines.spark_sort(string_set(spark, d, "lines")), ranked_sql("lines"))
+def _hypercube(name: str, with_lcp: bool):
+    return lambda spark, d: baselines.hypercube_sort(string_set(spark, d, name), P, with_lcp)
+
+
+def _single(name: str):
+    return lambda spark, d: baselines.single_box_sort(string_set(spark, d, name))
+
+
+# W1: strings per lane in three sizes, D/N 0.5, every method; W2: every D/N, the methods that its plots compare
+for _size in ("dn050_hundredth", "dn050_tenth", "dn050"):
+    for _k in (1, 2, 3):
+        add(f"w1_{_size}_lms{_k}", _lms(_size, _k), ranked_sql(_size))
+        add(f"w1_{_size}_pds{_k}", _pds(_size, _k), ranked_sql(_size, False))
+    add(f"w1_{_size}_hc_plain", _hypercube(_size, False), ranked_sql(_size))
+    add(f"w1_{_size}_hc_lcp", _hypercube(_size, True), ranked_sql(_size))
 for _r in ("dn000", "dn025", "dn050", "dn075", "dn100"):
-    add(f"w2_{_r}", _pds(_r, 2), ranked_sql(_r, False))
-    add(f"w2_{_r}_lms", _lms(_r, 2), ranked_sql(_r))
-add("w1_dn050_lms1", _lms("dn050", 1), ranked_sql("dn050"))
-add("w1_dn050_lms3", _lms("dn050", 3), ranked_sql("dn050"))
-add("w1_dn050_pds1", _pds("dn050", 1), ranked_sql("dn050", False))
-add("w1_dn050_pds3", _pds("dn050", 3), ranked_sql("dn050", False))
-add("w1_dn050_hypercube", lambda spark, d: baselines.hypercube_sort(string_set(spark, d, "dn050"), P), ranked_sql("dn050"))
+    for _k in (1, 2):
+        if _r != "dn050":
+            add(f"w2_{_r}_lms{_k}", _lms(_r, _k), ranked_sql(_r))
+            add(f"w2_{_r}_pds{_k}", _pds(_r, _k), ranked_sql(_r, False))
+    if _r != "dn050":
+        add(f"w2_{_r}_hc_plain", _hypercube(_r, False), ranked_sql(_r))
+        add(f"w2_{_r}_hc_lcp", _hypercube(_r, True), ranked_sql(_r))
+    add(f"w2_{_r}_single_box", _single(_r), ranked_sql(_r))
 for _w, _n in {"w3_crawl_lines": "lines", "w4_markup": "markup", "w5_plain": "plain"}.items():
     add(f"{_w}_lms2", _lms(_n, 2), ranked_sql(_n)) if _n != "lines" else None
     add(f"{_w}_pds2", _pds(_n, 2), ranked_sql(_n, False))
@@ -67,16 +83,32 @@ for _n in ("lines", "markup", "plain", "page_lines"):
 
 
 # --- level plans --------------------------------------------------------------------------------------------------
+PLAN_GRID = [(p, k) for p in (8, 16, 64, 192, 256) for k in (1, 2, 3)]
+
+
 def _plans(kind: str):
-    grid = [(p, k) for p in (8, 16, 64, 192, 256) for k in (1, 2, 3)]
     make = (lambda p, k: levels.plan_equal(p, k)) if kind == "equal" else (lambda p, k: levels.plan_node_aligned(p, k, 48 if p == 192 else 4))
-    rows = [(p, k, ",".join(map(str, make(p, k).factors))) for p, k in grid]
-    values = ", ".join(f"({p}, {k}, '{f}')" for p, k, f in rows)
-    return (lambda spark, d: spark.createDataFrame(rows, "p int, k int, factors string")), f"SELECT * FROM (VALUES {values}) t(p, k, factors)"
+    return lambda spark, d: spark.createDataFrame([(p, k, ",".join(map(str, make(p, k).factors))) for p, k in PLAN_GRID], "p int, k int, factors string")
+
+
+def plans_sql(kind: str) -> str:
+    """Plans worked out by search: near-equal divisors of p; or of p / c with c last, on as many levels as p allows."""
+    grid = f"(VALUES {', '.join(f'({p}, {k}, {48 if p == 192 else 4})' for p, k in PLAN_GRID)}) t(p, k, c)"
+    divisor = lambda of, root: f"(SELECT max(d) FROM range(1, 257) x(d) WHERE d <= round({of} ** (1.0 / {root}), 9) AND {of} % d = 0)"
+    if kind == "equal":
+        levels_of = f"SELECT p, k, p AS body, k AS parts, '' AS tail FROM {grid}"
+    else:
+        fit = f"SELECT p, k, c, CASE WHEN k = 3 AND p >= 4 * c THEN 3 WHEN k >= 2 AND p >= 2 * c THEN 2 ELSE 1 END AS used FROM {grid}"
+        levels_of = f"SELECT p, k, CASE WHEN used = 1 OR p % c <> 0 THEN p ELSE p // c END AS body, CASE WHEN used = 1 OR p % c <> 0 THEN 1 ELSE used - 1 END AS parts, CASE WHEN used = 1 OR p % c <> 0 THEN '' ELSE ',' || c END AS tail FROM ({fit})"
+    first = f"SELECT *, CASE WHEN parts = 1 THEN body ELSE {divisor('body', 'parts')} END AS a FROM ({levels_of})"
+    second = f"SELECT *, CASE WHEN parts = 1 THEN 1 WHEN parts = 2 THEN body // a ELSE {divisor('(body // a)', '2')} END AS b FROM ({first})"
+    third = f"SELECT *, CASE WHEN parts < 3 THEN 1 ELSE body // a // b END AS e FROM ({second})"
+    listed = "array_to_string(list_sort(CASE parts WHEN 1 THEN [a] WHEN 2 THEN [a, b] ELSE [a, b, e] END), ',')"
+    return f"SELECT CAST(p AS INT) AS p, CAST(k AS INT) AS k, {listed} || tail AS factors FROM ({third})"
 
 
 for _kind in ("equal", "node_aligned"):
-    add(f"plan_{_kind}_grid", *_plans(_kind))
+    add(f"plan_{_kind}_grid", _plans(_kind), plans_sql(_kind))
 
 
 # --- first level in SQL: lanes, sizes, samples, splitters, buckets, targets -----------------------------------------
@@ -105,6 +137,30 @@ def level_one_sql(name: str, r: int, by: str = "strings", p: int = P, v: int = V
         grid AS MATERIALIZED (SELECT lane, bucket, CAST(bucket * {p // r} + lane % {p // r} AS INT) AS target, n, chars FROM pieces) """
 
 
+def levels_sql(name: str, factors: tuple[int, ...], p: int = P, v: int = V) -> str:
+    """All levels of a run by string sampling and grid assignment: per level i ranked{i}, v{i}, f{i}, bucketed{i}, grid{i}."""
+    ctes = [f"""base AS (SELECT *, row_number() OVER (ORDER BY src_id, pos) - 1 AS idx, count(*) OVER () AS n_all FROM ({SETS[name][1]}))""",
+        f"placed1 AS MATERIALIZED (SELECT 0 AS grp, CAST(idx * {p} // n_all AS INT) AS lane, src_id, pos, s FROM base)"]
+    p1 = p
+    for i, r in enumerate(factors, 1):
+        p2, total = p1 // r, p1 * (v + 1)
+        ctes += [
+            f"ranked{i} AS MATERIALIZED (SELECT *, row_number() OVER (PARTITION BY lane ORDER BY s, src_id, pos) AS lpos FROM placed{i})",
+            f"sizes{i} AS (SELECT CAST(l // {p1} AS INT) AS grp, CAST(l AS INT) AS lane, count(s) AS n FROM range({p}) t(l) LEFT JOIN placed{i} ON lane = l GROUP BY l)",
+            f"drawn{i} AS (SELECT *, greatest(0, (n * {total} + sum(n) OVER g - 1) // greatest(1, sum(n) OVER g) - 1) AS m0 FROM sizes{i} WINDOW g AS (PARTITION BY grp))",
+            f"counts{i} AS (SELECT grp, lane, n, CAST(least(n, m0 + CASE WHEN lane - grp * {p1} < {total} - sum(m0) OVER (PARTITION BY grp) THEN 1 ELSE 0 END) AS BIGINT) AS m FROM drawn{i})",
+            f"want{i} AS (SELECT lane, greatest(1, t * n // (m + 1)) AS lpos, count(*) AS mult FROM (SELECT lane, n, m, unnest(range(1, m + 1)) AS t FROM counts{i} WHERE m > 0) GROUP BY 1, 2)",
+            f"v{i} AS MATERIALIZED (SELECT grp, r.lane, s, src_id, pos, CAST(mult AS BIGINT) AS mult FROM ranked{i} r JOIN want{i} USING (lane, lpos))",
+            f"spread{i} AS (SELECT grp, s, mult, sum(mult) OVER (PARTITION BY grp ORDER BY s, src_id, pos) AS stop, sum(mult) OVER (PARTITION BY grp) AS size FROM v{i})",
+            f"f{i} AS MATERIALIZED (SELECT grp, CAST(j AS INT) AS j, s FROM (SELECT *, unnest(range(1, {r})) AS j FROM spread{i}) WHERE greatest(0, j * size // {r} - 1) >= stop - mult AND greatest(0, j * size // {r} - 1) < stop)",
+            f"bucketed{i} AS MATERIALIZED (SELECT x.*, CAST((SELECT count(*) FROM f{i} WHERE f{i}.grp = x.grp AND f{i}.s < x.s) AS INT) AS bucket FROM placed{i} x)",
+            f"grid{i} AS MATERIALIZED (SELECT grp, lane, bucket, CAST(grp * {p1} + bucket * {p2} + (lane - grp * {p1}) % {p2} AS INT) AS target, count(*) AS n, CAST(sum(length(s)) AS BIGINT) AS chars FROM bucketed{i} GROUP BY ALL)",
+            f"placed{i + 1} AS MATERIALIZED (SELECT CAST(target // {p2} AS INT) AS grp, target AS lane, src_id, pos, s FROM (SELECT *, CAST(grp * {p1} + bucket * {p2} + (lane - grp * {p1}) % {p2} AS INT) AS target FROM bucketed{i}))",
+        ]
+        p1 = p2
+    return "WITH " + ",\n".join(ctes) + "\n"
+
+
 def _state(spark, d, name):
     return cut(ms.place_blocks(string_set(spark, d, name), P).select(F.lit(0).alias("grp"), "lane", "src_id", "pos", "s"))
 
@@ -131,7 +187,7 @@ for _by in ("strings", "chars"):
         add(f"splitters_{_by}_l1_{_n}", lambda spark, d, one=one: one(spark, d)[2].select(F.col("j").cast("int").alias("j"), "s"), sql + "SELECT j, s FROM f")
         add(f"bucket_sizes_{_by}_l1_{_n}", lambda spark, d, one=one: ms.bucket_counts(one(spark, d)[3]).select("lane", "bucket", "n", "chars"), sql + "SELECT lane, bucket, n, chars FROM pieces")
 _one, _sql = _level_one("lines", 4), level_one_sql("lines", 4)
-add("sample_count_by_k", lambda spark, d: spark.createDataFrame([(k, sum(p1 * (V + 1) for p1 in PLANS[k].group_sizes)) for k in (1, 2, 3)], "k int, samples bigint"), "SELECT CAST(k AS INT) AS k, CAST(n AS BIGINT) AS samples FROM (VALUES (1, 24), (2, 36), (3, 42)) t(k, n)")
+add("sample_count_by_k", lambda spark, d: spark.createDataFrame([(k, sum(p1 * (V + 1) for p1 in PLANS[k].group_sizes)) for k in (1, 2, 3)], "k int, samples bigint"), f"SELECT CAST(k AS INT) AS k, CAST(sum(lanes * ({V} + 1)) AS BIGINT) AS samples FROM (SELECT k, unnest(CASE k WHEN 1 THEN [{P}] WHEN 2 THEN [{P}, {P} // 2] ELSE [{P}, {P} // 2, {P} // 4] END) AS lanes FROM range(1, 4) t(k)) GROUP BY k")
 add("sorted_samples_l1", lambda spark, d: _one(spark, d)[1].select(F.row_number().over(W.orderBy("s", "src_id", "pos")).cast("bigint").alias("at"), "s", "src_id", "pos"), _sql + "SELECT row_number() OVER (ORDER BY s, src_id, pos) AS at, s, src_id, pos FROM v")
 add("bucket_join_variant", lambda spark, d: (lambda x: ms.bucket_counts(ms.bucketize_by_join(x[0], x[2])).select("lane", "bucket", "n", "chars"))(_one(spark, d)), _sql + "SELECT lane, bucket, n, chars FROM pieces")
 _prefix_len = "(SELECT max(i) FROM (SELECT unnest(range(0, 400)) AS i) WHERE left(s, i) = left({0}, i) AND i <= least(length(s), length({0})))"
@@ -175,8 +231,29 @@ def _cost_sql(name: str, r: int) -> str:
         CAST(sum(chars) AS BIGINT) AS chars_total, CAST((SELECT max(c) FROM (SELECT sum(chars) AS c FROM grid GROUP BY target)) AS BIGINT) AS chars_max_lane FROM grid"""
 
 
+def _placed_run(spark, d, name: str, k: int, **options) -> ms.Sorted:
+    return ms.level_merge_sort(ms.place_blocks(string_set(spark, d, name), P), PLANS[k], **options)
+
+
+def messages_sql(name: str, k: int) -> str:
+    one = """SELECT CAST({0} AS INT) AS level, count(*) AS messages, (SELECT max(c) FROM (SELECT count(DISTINCT target) AS c FROM grid{0} GROUP BY lane)) AS max_messages_per_lane,
+        CAST(sum(chars) AS BIGINT) AS chars_total, CAST((SELECT max(c) FROM (SELECT sum(chars) AS c FROM grid{0} GROUP BY target)) AS BIGINT) AS chars_max_lane FROM (SELECT lane, target, sum(chars) AS chars FROM grid{0} GROUP BY ALL)"""
+    return levels_sql(name, PLANS[k].factors) + " UNION ALL ".join(one.format(i) for i in range(1, k + 1))
+
+
+def imbalance_sql(name: str, k: int) -> str:
+    one = "SELECT CAST({0} AS INT) AS level, round(max(n) * {1} / sum(n), 6) AS strings, round(max(c) * {1} / sum(c), 6) AS chars FROM (SELECT sum(n) AS n, sum(chars) AS c FROM grid{0} GROUP BY target)"
+    return levels_sql(name, PLANS[k].factors) + " UNION ALL ".join(one.format(i, P) for i in range(1, k + 1))
+
+
 for _k in (1, 2, 3):
-    add(f"cost_messages_k{_k}", lambda spark, d, k=_k: cost.messages(ms.level_merge_sort(ms.place_blocks(string_set(spark, d, "lines"), P), PLANS[k]).moves).where("level = 1"), _cost_sql("lines", PLANS[_k].factors[0]))
+    add(f"cost_messages_k{_k}", lambda spark, d, k=_k: cost.messages(_placed_run(spark, d, "lines", k).moves), messages_sql("lines", _k))
+    add(f"imbalance_by_level_k{_k}", lambda spark, d, k=_k: cost.imbalance_by_level(_placed_run(spark, d, "lines", k).moves, P), imbalance_sql("lines", _k))
+for _n, _k, _level in (("lines", 2, 2), ("lines", 3, 3), ("url", 3, 2)):
+    _q = levels_sql(_n, PLANS[_k].factors)
+    add(f"sample_strings_l{_level}_{_n}", lambda spark, d, n=_n, k=_k, i=_level: _placed_run(spark, d, n, k).samples[i - 1].select("grp", "lane", "src_id", "pos", "s", F.col("mult").cast("bigint").alias("mult")), _q + f"SELECT CAST(grp AS INT) AS grp, lane, src_id, pos, s, mult FROM v{_level}")
+    add(f"splitters_l{_level}_{_n}", lambda spark, d, n=_n, k=_k, i=_level: _placed_run(spark, d, n, k).cuts[i - 1].select("grp", F.col("j").cast("int").alias("j"), "s"), _q + f"SELECT CAST(grp AS INT) AS grp, j, s FROM f{_level}")
+    add(f"bucket_sizes_l{_level}_{_n}", lambda spark, d, n=_n, k=_k, i=_level: _placed_run(spark, d, n, k).moves[i - 1], _q + f"SELECT CAST(grp AS INT) AS grp, lane, bucket, target, n, chars FROM grid{_level}")
 add("imbalance_lms1_lines", lambda spark, d: cost.imbalance(ms.level_merge_sort(ms.place_blocks(string_set(spark, d, "lines"), P), PLANS[1]).rows, P), level_one_sql("lines", 8) + f"SELECT round(max(n) * {P} / sum(n), 6) AS strings, round(max(c) * {P} / sum(c), 6) AS chars FROM (SELECT count(*) AS n, sum(length(s)) AS c FROM bucketed GROUP BY bucket)")
 add("overloaded_lanes", lambda spark, d: cost.overloaded(ms.level_merge_sort(ms.place_blocks(string_set(spark, d, "lines"), P), PLANS[1]).rows, P), level_one_sql("lines", 8) + f"SELECT bucket AS lane, CAST(sum(length(s)) AS BIGINT) AS chars FROM bucketed GROUP BY bucket HAVING sum(length(s)) > 1.5 * (SELECT sum(length(s)) FROM bucketed) / {P}")
 add("cost_sample_volume", lambda spark, d: _one(spark, d)[1].agg(F.count("*").alias("strings"), F.sum(F.length("s")).alias("chars")), _sql + "SELECT count(*) AS strings, CAST(sum(length(s)) AS BIGINT) AS chars FROM v")
@@ -184,7 +261,7 @@ add("cost_bytes_per_string", lambda spark, d: ms.level_merge_sort(ms.place_block
 add("bucket_bound_strings", lambda spark, d: (lambda b: b.groupBy("bucket").agg(F.count("*").alias("n")).agg(F.max("n").alias("largest"), F.sum("n").alias("n")).select("largest", (F.col("largest") <= (1 + 4 / V) * F.col("n") / 4).alias("holds")))(_level_one("url", 4)(spark, d)[3]), level_one_sql("url", 4) + f"SELECT max(n) AS largest, max(n) <= (1 + 4 / {V}) * sum(n) / 4 AS holds FROM (SELECT count(*) AS n FROM bucketed GROUP BY bucket)")
 add("bucket_bound_chars", lambda spark, d: _level_one("url", 4, "chars")(spark, d)[3].groupBy("bucket").agg(F.sum(F.length("s")).alias("c")).agg(F.max("c").alias("largest")), level_one_sql("url", 4, "chars") + "SELECT CAST(max(c) AS BIGINT) AS largest FROM (SELECT sum(length(s)) AS c FROM bucketed GROUP BY bucket)")
 _hops = [(p, k, *cost.grid_hops(p, k)) for p in (8, 64, 256) for k in (1, 2, 3)]
-add("grid_hops", lambda spark, d: spark.createDataFrame(_hops, "p int, k int, messages int, moves int"), f"SELECT * FROM (VALUES {', '.join(map(str, _hops))}) t(p, k, messages, moves)")
+add("grid_hops", lambda spark, d: spark.createDataFrame(_hops, "p int, k int, messages int, moves int"), "SELECT CAST(p AS INT) AS p, CAST(k AS INT) AS k, CAST(k * (side - 1) AS INT) AS messages, CAST(k AS INT) AS moves FROM (SELECT p, k, (SELECT min(s) FROM range(1, 300) x(s) WHERE s ** k >= p) AS side FROM (VALUES (8), (64), (256)) t(p) CROSS JOIN range(1, 4) u(k))")
 add("fp_bits", lambda spark, d: string_set(spark, d, "lines").agg(F.round(F.log2(F.lit(float(1 << 40)) * P / F.count("*")), 6).alias("bits")), f"SELECT round(log2({float(1 << 40)} * {P} / count(*)), 6) AS bits FROM ({SETS['lines'][1]})")
 
 # --- common prefixes ----------------------------------------------------------------------------------------------

@@ -12,20 +12,21 @@ from pyspark.sql import types as T
 FINGERPRINT_SPACE = 1 << 40
 
 
-def lcp(a: Column, b: Column, max_len: int = 1 << 17) -> Column:
-    """Characters that a and b share at their start; null if either is null. Halving steps: equal prefixes are monotone."""
-    steps = []
-    step = 1 << max(0, (max_len - 1).bit_length())
-    while step:
-        steps.append(F.lit(step))
-        step //= 2
+def lcp(a: Column, b: Column) -> Column:
+    """Characters that a and b share at their start; null if either is null.
+
+    Equal prefixes are monotone, so their length is found by halving steps from the largest power of two within the
+    shorter string: no bound on the length, and few steps for short strings.
+    """
     shorter = F.least(F.length(a), F.length(b))
+    top = F.floor(F.log2(F.greatest(shorter, F.lit(1)))).cast("int")
+    steps = F.transform(F.sequence(top, F.lit(0), F.lit(-1)), lambda i: F.pow(F.lit(2), i).cast("int"))
     grow = lambda acc, t: acc + F.when((acc + t <= shorter) & (F.left(a, acc + t) == F.left(b, acc + t)), t).otherwise(F.lit(0))
-    return F.when(a.isNull() | b.isNull(), F.lit(None).cast("int")).otherwise(F.aggregate(F.array(*steps), F.lit(0), grow))
+    return F.when(a.isNull() | b.isNull(), F.lit(None).cast("int")).otherwise(F.aggregate(steps, F.lit(0), grow))
 
 
-def lcp_sql(inner: str, a: str = "s", b: str = "t", out: str = "h", max_len: int = 1 << 17) -> str:
-    """The same search as nested DuckDB selects around ``inner``."""
+def lcp_sql(inner: str, a: str = "s", b: str = "t", out: str = "h", max_len: int = 1 << 24) -> str:
+    """The same search as nested DuckDB selects around ``inner``; strings of up to 2 ``max_len`` characters."""
     q = f"SELECT *, 0 AS {out} FROM ({inner})"
     step = 1 << max(0, (max_len - 1).bit_length())
     while step:
@@ -54,12 +55,9 @@ def fingerprint_sql(s: str, d: str, m: int = FINGERPRINT_SPACE) -> str:
     return f"(('0x' || substr(md5(CAST(least(length({s}) + 1, {d}) AS VARCHAR) || ':' || left({s}, {d})), 1, 15))::BIGINT % {m})"
 
 
-@F.pandas_udf(T.StringType())
-def common_prefix(s: pd.Series) -> str:
-    """Aggregate: the longest common prefix of a group."""
-    import os
-
-    return os.path.commonprefix(list(s))
+def common_prefix(s: Column) -> Column:
+    """Aggregate: the longest common prefix of a group, which its least and greatest string share."""
+    return F.left(F.min(s), lcp(F.min(s), F.max(s)))
 
 
 @F.udtf(returnType="d int, prefix string")
@@ -76,7 +74,10 @@ class DoublingPrefixes:
 
 
 def register(spark: SparkSession) -> None:
-    """SQL names: lcp_bytes(a, b), common_prefix(s), doubling_prefixes(s)."""
+    """SQL names: lcp_bytes(a, b), doubling_prefixes(s), and lcp(a, b) as a SQL function over the built-in ones."""
     spark.udf.register("lcp_bytes", lcp_bytes)
-    spark.udf.register("common_prefix", common_prefix)
+    spark.sql("""CREATE OR REPLACE TEMPORARY FUNCTION lcp(a STRING, b STRING) RETURNS INT RETURN
+        CASE WHEN a IS NOT NULL AND b IS NOT NULL THEN aggregate(
+            transform(sequence(CAST(floor(log2(greatest(least(length(a), length(b)), 1))) AS INT), 0, -1), i -> CAST(pow(2, i) AS INT)), 0,
+            (acc, t) -> acc + IF(acc + t <= least(length(a), length(b)) AND left(a, acc + t) = left(b, acc + t), t, 0)) END""")
     spark.udtf.register("doubling_prefixes", DoublingPrefixes)

@@ -9,7 +9,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from levelsort.operators.merge import merge_lanes
-from levelsort.operators.mergesort import ORDER, dense_index, global_rank
+from levelsort.operators.mergesort import ORDER, dense_index, global_rank, lane_bases, numbered
 from levelsort.staging import cut
 
 
@@ -69,10 +69,17 @@ def hypercube_merge_work(s: DataFrame, p: int) -> DataFrame:
 
 
 def single_node_sort(s: DataFrame) -> DataFrame:
-    """The whole input in one task."""
+    """The whole input in one task: the sequential baseline."""
     return s.coalesce(1).select(F.row_number().over(W.orderBy(*ORDER)).cast("bigint").alias("rank"), "src_id", "pos", "s")
 
 
+def single_box_sort(s: DataFrame, cores: int | None = None) -> DataFrame:
+    """One machine with shared memory: as many tasks as it has cores, splitters from a sample of all of them."""
+    cores = cores or s.sparkSession.sparkContext.defaultParallelism
+    rows = cut(numbered(s.select("src_id", "pos", "s").repartitionByRange(cores, *ORDER)))
+    return rows.join(F.broadcast(lane_bases(rows)), "lane").select((F.col("base") + F.col("lpos")).cast("bigint").alias("rank"), "src_id", "pos", "s")
+
+
 def spark_sort(s: DataFrame) -> DataFrame:
     """Range partitions by sampled keys, local sort, dense numbers."""
     return dense_index(s.select("src_id", "pos", "s"), list(ORDER)).select((F.col("idx") + 1).cast("bigint").alias("rank"), "src_id", "pos", "s")

@@ -26,6 +26,16 @@ def imbalance(rows: DataFrame, lanes: int) -> DataFrame:
     return per.agg(F.round(F.max("n") * lanes / F.sum("n"), 6).alias("strings"), F.round(F.max("c") * lanes / F.sum("c"), 6).alias("chars"))
 
 
+def imbalance_by_level(moves: list[DataFrame], lanes: int) -> DataFrame:
+    """level, strings, chars: max over mean of what a lane holds after each level, empty lanes included."""
+    rows = None
+    for i, m in enumerate(moves, 1):
+        per = m.groupBy("target").agg(F.sum("n").alias("n"), F.sum("chars").alias("c"))
+        one = per.agg(F.round(F.max("n") * lanes / F.sum("n"), 6).alias("strings"), F.round(F.max("c") * lanes / F.sum("c"), 6).alias("chars")).select(F.lit(i).alias("level"), "strings", "chars")
+        rows = one if rows is None else rows.unionByName(one)
+    return rows
+
+
 def overloaded(rows: DataFrame, lanes: int, budget: float = 1.5) -> DataFrame:
     """Lanes whose characters exceed ``budget`` times the mean: where a machine without spilling would fail."""
     per = rows.groupBy("lane").agg(F.sum(F.length("s")).alias("chars"))

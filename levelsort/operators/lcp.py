@@ -10,17 +10,25 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from levelsort.functions.text import lcp
-from levelsort.operators.mergesort import ORDER, dense_index
+from levelsort.operators.mergesort import ORDER, numbered
+from levelsort.staging import cut
 
 
 def lcp_array(s: DataFrame) -> DataFrame:
-    """rank, src_id, pos, s, h (null for the first) and h2, the next one's; neighbours across partitions included."""
-    idx = dense_index(s.select("src_id", "pos", "s"), list(ORDER))
-    # neighbours by joining on the dense place: no window over the whole set
-    prev = idx.select((F.col("idx") + 1).alias("idx"), F.col("s").alias("before"))
-    both = idx.join(prev, "idx", "left").select("idx", "src_id", "pos", "s", lcp(F.col("s"), F.col("before")).alias("h"))
-    nxt = both.select((F.col("idx") - 1).alias("idx"), F.col("h").alias("h2"))
-    return both.join(nxt, "idx", "left").select((F.col("idx") + 1).cast("bigint").alias("rank"), "src_id", "pos", "s", "h", "h2")
+    """rank, src_id, pos, s, h (null for the first) and h2, the next one's; neighbours across partitions included.
+
+    Strings move twice: to their range, and with their lane number for the windows. Neighbours over the border of two
+    lanes come from a table of one row per lane.
+    """
+    rows = cut(numbered(s.select("src_id", "pos", "s").repartitionByRange(*ORDER)))
+    across = W.orderBy("lane")  # one row per lane
+    ends = rows.groupBy("lane").agg(F.count("*").alias("n"), F.min_by("s", "lpos").alias("first"), F.max_by("s", "lpos").alias("last"))
+    base = F.coalesce(F.sum("n").over(across.rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    edges = ends.select("lane", base.alias("base"), F.lag("last").over(across).alias("before"), F.lead("first").over(across).alias("after"))
+    lane = W.partitionBy("lane").orderBy("lpos")
+    near = rows.join(F.broadcast(edges), "lane").withColumn("before", F.coalesce(F.lag("s").over(lane), F.col("before")))
+    both = near.withColumn("h", lcp(F.col("s"), F.col("before"))).withColumn("h2", F.coalesce(F.lead("h").over(lane), lcp(F.col("s"), F.col("after"))))
+    return both.select((F.col("base") + F.col("lpos")).cast("bigint").alias("rank"), "src_id", "pos", "s", "h", "h2")
 
 
 def dist_prefix(table: DataFrame) -> DataFrame:

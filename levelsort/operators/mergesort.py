@@ -1,7 +1,10 @@
 """Multi-level merge sort of strings: local sort, then per level sample, split, assign, exchange, merge.
 
-State: (grp, lane, src_id, pos, s). All groups of a level run in one job, ``grp`` being a key. What the driver holds is
-the plan; what is broadcast is p rows of lane sizes and (r-1) splitters per group, both set by the plan, not the data.
+State: (grp, lane, lpos, src_id, pos, s), one partition per lane, sorted inside it; ``lpos`` is the 1-based place there,
+numbered while the sorted partition streams by, so no window moves strings. A level reads the state to sample, reads it
+again to route, and moves each string once (``repartitionById`` to the target lane); sizes, samples, splitters and
+assignments are tables of p rows, or p r, set by the plan and not the data. The first level reads the input where it
+lies: its lanes are the input's partitions, unless rows come placed (with a ``lane``).
 Ties are broken by (src_id, pos); equal strings share a bucket unless ``tie_break`` splits them by locator too.
 """
 
@@ -19,13 +22,26 @@ from levelsort.staging import cut
 ORDER = ("s", "src_id", "pos")
 
 
+_LOW = (1 << 33) - 1
+
+
+def numbered(df: DataFrame, keys: list[str] | tuple[str, ...] = ORDER) -> DataFrame:
+    """Each partition sorted by ``keys``; adds lane (its number) and lpos (1-based place), without moving a row."""
+    at = df.sortWithinPartitions(*keys).withColumn("_at", F.monotonically_increasing_id())
+    return at.withColumn("lane", F.shiftrightunsigned("_at", 33).cast("int")).withColumn("lpos", F.col("_at").bitwiseAND(F.lit(_LOW)) + 1).drop("_at")
+
+
+def lane_bases(rows: DataFrame) -> DataFrame:
+    """lane, base: rows of the lanes before it; one row per lane."""
+    before = F.coalesce(F.sum("n").over(W.orderBy("lane").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    return rows.groupBy("lane").agg(F.count("*").alias("n")).select("lane", before.alias("base"))
+
+
 def dense_index(df: DataFrame, keys: list[str]) -> DataFrame:
     """Adds idx = 0-based place by ``keys`` without one global window: range partitions, their counts, local numbers."""
-    dealt = cut(df.repartitionByRange(*keys).withColumn("_part", F.spark_partition_id()))
-    before = F.coalesce(F.sum("n").over(W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
-    bases = dealt.groupBy("_part").agg(F.count("*").alias("n")).select("_part", before.alias("_base"))  # one row per partition
-    local = F.row_number().over(W.partitionBy("_part").orderBy(*keys)) - 1
-    return dealt.withColumn("_local", local).join(F.broadcast(bases), "_part").withColumn("idx", F.col("_base") + F.col("_local")).drop("_part", "_base", "_local")
+    dealt = cut(numbered(df.repartitionByRange(*keys).withColumnsRenamed({"lane": "_lane", "lpos": "_lpos"}), keys))
+    placed = dealt.join(F.broadcast(lane_bases(dealt)), "lane").withColumn("idx", F.col("base") + F.col("lpos") - 1)
+    return placed.drop("lane", "base", "lpos").withColumnsRenamed({"_lane": "lane", "_lpos": "lpos"})
 
 
 def place_blocks(s: DataFrame, p: int) -> DataFrame:
@@ -48,30 +64,36 @@ def lane_sizes(state: DataFrame) -> DataFrame:
     return state.groupBy("grp", "lane").agg(F.count("*").alias("n"), F.sum(F.length("s")).alias("chars"))
 
 
-def sample_counts(sizes: DataFrame, p1: int, v: int, by: str) -> DataFrame:
-    """grp, lane, n, w, m: samples each lane draws so that a group has p1 (v + 1) of them, integers throughout."""
+def sample_counts(sizes: DataFrame, p1: int, v: int, by: str, placed: bool = True) -> DataFrame:
+    """grp, lane, n, w, m: samples each lane draws so that a group has p1 (v + 1) of them, integers throughout.
+
+    ``placed``: the group's lanes are numbered from grp * p1, empty ones included; otherwise they are those in ``sizes``.
+    """
     total = p1 * (v + 1)
     w = F.col("n") if by == "strings" else F.col("chars")
-    spark = sizes.sparkSession
-    grps = sizes.select("grp").distinct()
-    lanes = grps.join(spark.range(p1).select(F.col("id").cast("int").alias("i"))).select("grp", (F.col("grp") * p1 + F.col("i")).cast("int").alias("lane"))
-    full = lanes.join(sizes.select("grp", "lane", "n", w.alias("w")), ["grp", "lane"], "left").fillna(0, ["n", "w"])
     g = W.partitionBy("grp")
+    if placed:
+        spark = sizes.sparkSession
+        lanes = sizes.select("grp").distinct().join(spark.range(p1).select(F.col("id").cast("int").alias("at")))
+        lanes = lanes.select("grp", (F.col("grp") * p1 + F.col("at")).cast("int").alias("lane"), "at")
+        full = lanes.join(sizes.select("grp", "lane", "n", w.alias("w")), ["grp", "lane"], "left").fillna(0, ["n", "w"])
+    else:
+        full = sizes.select("grp", "lane", "n", w.alias("w"), (F.row_number().over(g.orderBy("lane")) - 1).alias("at"))
     m = F.greatest(F.lit(0), F.floor((F.col("w") * total + F.sum("w").over(g) - 1) / F.sum("w").over(g)) - 1)
     drawn = full.withColumn("m", m)
     missing = F.lit(total) - F.sum("m").over(g)
-    drawn = drawn.withColumn("m", F.col("m") + F.when(F.col("lane") - F.col("grp") * p1 < missing, 1).otherwise(0))
+    drawn = drawn.withColumn("m", F.col("m") + F.when(F.col("at") < missing, 1).otherwise(0)).drop("at")
     return drawn.withColumn("m", F.least("m", "n")) if by == "strings" else drawn.withColumn("m", F.when(F.col("n") == 0, 0).otherwise(F.col("m")))
 
 
-def draw_samples(state: DataFrame, p1: int, v: int, by: str = "strings") -> DataFrame:
+def draw_samples(state: DataFrame, p1: int, v: int, by: str = "strings", placed: bool = True) -> DataFrame:
     """grp, lane, s, src_id, pos, mult: evenly spaced strings of sorted lanes, or those at evenly spaced characters."""
-    counts = F.broadcast(sample_counts(lane_sizes(state), p1, v, by).where("m > 0"))
+    counts = F.broadcast(sample_counts(lane_sizes(state), p1, v, by, placed).where("m > 0"))
     lane = W.partitionBy("lane").orderBy(*ORDER)
-    ranked = state.withColumn("lpos", F.row_number().over(lane))
-    t = F.explode(F.sequence(F.lit(1), F.col("m").cast("int")))
+    ranked = state if "lpos" in state.columns else state.withColumn("lpos", F.row_number().over(lane))
     if by == "strings":
-        want = counts.select("grp", "lane", t.alias("t"), "n", "m").select("grp", "lane", F.greatest(F.lit(1), F.floor(F.col("t") * F.col("n") / (F.col("m") + 1))).cast("int").alias("lpos"))
+        t = F.explode(F.sequence(F.lit(1), F.col("m").cast("int")))
+        want = counts.select("grp", "lane", t.alias("t"), "n", "m").select("grp", "lane", F.greatest(F.lit(1), F.floor(F.col("t") * F.col("n") / (F.col("m") + 1))).cast("bigint").alias("lpos"))
         want = want.groupBy("grp", "lane", "lpos").agg(F.count("*").alias("mult"))
         return ranked.join(F.broadcast(want), ["grp", "lane", "lpos"]).select("grp", "lane", "s", "src_id", "pos", "mult")
     end = F.sum(F.length("s")).over(lane.rowsBetween(W.unboundedPreceding, 0))
@@ -83,12 +105,13 @@ def draw_samples(state: DataFrame, p1: int, v: int, by: str = "strings") -> Data
 
 
 def splitters(samples: DataFrame, r: int) -> DataFrame:
-    """grp, j, s: r-1 splitters per group, by index arithmetic over multiplicities."""
+    """grp, j, s, src_id, pos: r-1 splitters per group, by index arithmetic over multiplicities."""
     g = W.partitionBy("grp").orderBy(*ORDER)
     v = samples.withColumn("stop", F.sum("mult").over(g)).withColumn("start", F.col("stop") - F.col("mult")).withColumn("size", F.sum("mult").over(W.partitionBy("grp")))
-    j = v.select("grp", "s", "start", "stop", "size", F.explode(F.sequence(F.lit(1), F.lit(r - 1))).alias("j")) if r > 1 else v.select("grp", "s", "start", "stop", "size", F.lit(1).alias("j")).where("false")
+    js = F.explode(F.sequence(F.lit(1), F.lit(r - 1))) if r > 1 else F.explode(F.array().cast("array<int>"))
+    j = v.select("grp", *ORDER, "start", "stop", "size", js.alias("j"))
     at = F.greatest(F.lit(0), F.floor(F.col("j") * F.col("size") / r) - 1)
-    return j.where((at >= F.col("start")) & (at < F.col("stop"))).select("grp", "j", "s")
+    return j.where((at >= F.col("start")) & (at < F.col("stop"))).select("grp", "j", *ORDER)
 
 
 def truncate_splitters(f: DataFrame) -> DataFrame:
@@ -101,10 +124,28 @@ def truncate_splitters(f: DataFrame) -> DataFrame:
     return near.select("grp", "j", F.left("s", keep).alias("s"))
 
 
-def bucketize(state: DataFrame, f: DataFrame) -> DataFrame:
-    """Adds bucket = number of the group's splitters below the string; equal goes left."""
-    arrays = f.groupBy("grp").agg(F.array_sort(F.collect_list("s")).alias("fs"))  # r-1 strings per group
-    return state.join(F.broadcast(arrays), "grp", "left").withColumn("bucket", F.coalesce(F.size(F.filter("fs", lambda x: x < F.col("s"))), F.lit(0)).cast("int")).drop("fs")
+UNROLLED = 32
+SPLITTER_CHARS = 64_000_000
+
+
+def bucketize(state: DataFrame, f: DataFrame, r: int | None = None, tie_break: bool = False) -> DataFrame:
+    """Adds bucket = number of the group's splitters below the string; equal goes left.
+
+    With few parts (``r``) the comparisons are one expression in the generated code; otherwise a bisection. With
+    ``tie_break`` strings and splitters are compared with their locators.
+    """
+    key = F.struct(*ORDER) if tie_break else F.col("s")
+    arrays = f.groupBy("grp").agg(F.array_sort(F.collect_list(key)).alias("fs"))  # r-1 strings per group
+    below = lambda i: F.coalesce(F.get("fs", i) < key, F.lit(False))
+    if r is not None and r <= UNROLLED:
+        bucket = F.lit(0)
+        for i in range(r - 1):
+            bucket = bucket + below(F.lit(i)).cast("int")
+    else:
+        steps = F.array(*[F.lit(1 << i) for i in reversed(range(31 if r is None else r.bit_length()))])
+        grow = lambda at, t: at + F.when((at + t <= F.size("fs")) & below(at + t - 1), t).otherwise(F.lit(0))
+        bucket = F.coalesce(F.aggregate(steps, F.lit(0), grow), F.lit(0))
+    return state.join(F.broadcast(arrays), "grp", "left").withColumn("bucket", bucket.cast("int")).drop("fs")
 
 
 def bucketize_by_join(state: DataFrame, f: DataFrame) -> DataFrame:
@@ -162,62 +203,91 @@ def assign_bounded(counts: DataFrame, p1: int, r: int, by: str = "strings") -> D
     return small.select("grp", "lane", "bucket", F.lit(0).cast("long").alias("lo"), F.col("w").cast("long").alias("hi"), target).union(met.select("grp", "lane", "bucket", (F.col("a") - F.col("o0")).cast("long"), (F.col("z") - F.col("o0")).cast("long"), target))
 
 
-def route(bucketed: DataFrame, ranges: DataFrame, by: str = "strings") -> DataFrame:
-    """Adds target: the range of its (lane, bucket) piece that holds the string's first offset."""
-    w = F.lit(1) if by == "strings" else F.length("s")
-    order = W.partitionBy("grp", "lane", "bucket").orderBy(*ORDER)
-    first = F.coalesce(F.sum(w).over(order.rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+RANGE_ROWS = 1_000_000
+
+
+def route(bucketed: DataFrame, ranges: DataFrame, by: str = "strings", rows: int | None = None) -> DataFrame:
+    """Adds target: the range of its (lane, bucket) piece that holds the string's first offset.
+
+    ``rows``: how many ranges there are at most; they are broadcast up to ``RANGE_ROWS`` of them, joined by piece beyond.
+    """
     r = ranges.select(F.col("grp").alias("_g"), F.col("lane").alias("_l"), F.col("bucket").alias("_b"), "lo", "hi", "target")
-    placed = bucketed.withColumn("_o", first)
-    on = (F.col("grp") == F.col("_g")) & (F.col("lane") == F.col("_l")) & (F.col("bucket") == F.col("_b")) & (F.col("_o") >= F.col("lo")) & (F.col("_o") < F.col("hi"))
-    return placed.join(F.broadcast(r), on).drop("_g", "_l", "_b", "lo", "hi", "_o")
+    if by == "strings" and "lpos" in bucketed.columns:  # a sorted lane holds its buckets one after the other
+        starts = bucketed.groupBy("grp", "lane", "bucket").agg(F.min("lpos").alias("_first"))
+        r = r.join(starts.select(F.col("grp").alias("_g"), F.col("lane").alias("_l"), F.col("bucket").alias("_b"), "_first"), ["_g", "_l", "_b"])
+        placed, offset = bucketed, F.col("lpos") - F.col("_first")
+    else:
+        w = F.lit(1) if by == "strings" else F.length("s")
+        order = W.partitionBy("grp", "lane", "bucket").orderBy(*ORDER)
+        placed = bucketed.withColumn("_o", F.coalesce(F.sum(w).over(order.rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
+        offset = F.col("_o")
+    on = (F.col("grp") == F.col("_g")) & (F.col("lane") == F.col("_l")) & (F.col("bucket") == F.col("_b")) & (offset >= F.col("lo")) & (offset < F.col("hi"))
+    return placed.join(F.broadcast(r) if rows is None or rows <= RANGE_ROWS else r.hint("merge"), on).drop("_g", "_l", "_b", "lo", "hi", "_o", "_first")
 
 
 @dataclass
 class Sorted:
-    """``rows``: (lane, src_id, pos, s), lanes in order; ``moves``: per level (grp, lane, bucket, target, n, chars)."""
+    """``rows``: (lane, lpos, src_id, pos, s), lanes in order; ``moves``: per level (grp, lane, bucket, target, n, chars);
+    ``states``: what each level started from."""
 
     rows: DataFrame
     moves: list[DataFrame] = field(default_factory=list)
     samples: list[DataFrame] = field(default_factory=list)
     cuts: list[DataFrame] = field(default_factory=list)
+    states: list[DataFrame] = field(default_factory=list)
 
     def ranked(self) -> DataFrame:
-        return global_rank(self.rows)
+        """rank (1-based), src_id, pos, s: rows of the lanes before, plus the place in the lane."""
+        return self.rows.join(F.broadcast(lane_bases(self.rows)), "lane").select((F.col("base") + F.col("lpos")).cast("bigint").alias("rank"), "src_id", "pos", "s")
 
 
-def level_merge_sort(placed: DataFrame, plan: LevelPlan, sampling: str = DEFAULTS["sampling"], v: int = DEFAULTS["v"], assign: str = DEFAULTS["assign"], tie_break: bool = False) -> Sorted:
-    """Sort (lane, src_id, pos, s) over the plan's levels; one full exchange per level."""
-    state = placed.select(F.lit(0).alias("grp"), "lane", "src_id", "pos", "s")
+def to_lanes(rows: DataFrame, lanes: int, target: str) -> DataFrame:
+    """The one exchange: every row to the partition named by ``target``, sorted there; adds lane (= target) and lpos."""
+    return numbered(rows.repartitionById(lanes, F.col(target)))
+
+
+def level_merge_sort(rows: DataFrame, plan: LevelPlan, sampling: str = DEFAULTS["sampling"], v: int = DEFAULTS["v"], assign: str = DEFAULTS["assign"], tie_break: bool = False) -> Sorted:
+    """Sort (src_id, pos, s) over the plan's levels, one full exchange per level.
+
+    Rows with a ``lane`` are first brought to that lane; rows without are sampled and routed from where they lie.
+    """
+    placed = "lane" in rows.columns
+    if placed:
+        state = cut(to_lanes(rows.select(F.col("lane").alias("_to"), "src_id", "pos", "s"), plan.lanes, "_to").drop("_to"))
+    else:
+        state = numbered(rows.select("src_id", "pos", "s"))
+    state = state.select(F.lit(0).alias("grp"), "lane", "lpos", "src_id", "pos", "s")
+    if not placed and (sampling != "strings" or assign != "grid"):  # their windows and offsets need the numbers to stand
+        state = cut(state)
     out = Sorted(state)
-    for p1, r in zip(plan.group_sizes, plan.factors, strict=True):
+    for level, (p1, r) in enumerate(zip(plan.group_sizes, plan.factors, strict=True)):
         p2 = p1 // r
-        keyed = state
-        if tie_break:  # the locator is part of the key, so heavy duplicates can be split
-            keyed = state.withColumn("_raw", F.col("s")).withColumn("s", F.concat("s", F.lit("\x01"), F.lpad(F.col("src_id").cast("string"), 19, "0"), F.lpad(F.col("pos").cast("string"), 10, "0")))
-        samples = draw_samples(keyed, p1, v, sampling)
+        samples = draw_samples(state, p1, v, sampling, placed or level > 0)
         cuts = cut(splitters(samples, r))
-        bucketed = bucketize(keyed, cuts)
-        if tie_break:
-            bucketed = bucketed.withColumn("s", F.col("_raw")).drop("_raw")
+        fs = cuts
+        if not tie_break and (cuts.agg(F.sum(F.length("s"))).first()[0] or 0) > SPLITTER_CHARS:
+            fs = truncate_splitters(cuts)
+        if not placed and level == 0 and assign == "grid":  # unsorted: only the partition's number is needed to route
+            state = rows.select(F.lit(0).alias("grp"), F.spark_partition_id().alias("lane"), "src_id", "pos", "s")
+        bucketed = bucketize(state, fs, r, tie_break)
         if assign == "grid" or p2 == 1:
             routed = bucketed.withColumn("target", grid_target(p1, r))
         else:
             by = "chars" if assign.endswith("chars") else "strings"
             pieces = cut(bucket_counts(bucketed))
             ranges = assign_prefix(pieces, p1, r, "n" if by == "strings" else "chars") if assign.startswith("prefix") else assign_bounded(pieces, p1, r, by)
-            routed = route(bucketed, ranges, by)
-        moved = cut(routed.repartitionById(plan.lanes, F.col("target")))
-        out.moves.append(moved.groupBy("grp", "lane", "bucket", "target").agg(F.count("*").alias("n"), F.sum(F.length("s")).alias("chars")))
+            routed = route(bucketed, ranges, by, plan.lanes * (r + p2))
+        sent = routed.select("grp", F.col("lane").alias("sender"), "bucket", "target", "src_id", "pos", "s")
+        moved = cut(to_lanes(sent, plan.lanes, "target"))
+        out.moves.append(moved.groupBy("grp", F.col("sender").alias("lane"), "bucket", "target").agg(F.count("*").alias("n"), F.sum(F.length("s")).alias("chars")))
         out.samples.append(samples)
         out.cuts.append(cuts)
-        state = moved.select(F.floor(F.col("target") / p2).cast("int").alias("grp"), F.col("target").alias("lane"), "src_id", "pos", "s")
-    out.rows = state.select("lane", "src_id", "pos", "s").repartitionById(plan.lanes, F.col("lane")).sortWithinPartitions(*ORDER)
+        out.states.append(state)
+        state = moved.select(F.floor(F.col("target") / p2).cast("int").alias("grp"), F.col("target").alias("lane"), "lpos", "src_id", "pos", "s")
+    out.rows = state.select("lane", "lpos", "src_id", "pos", "s")
     return out
 
 
 def global_rank(rows: DataFrame) -> DataFrame:
-    """rank (1-based), src_id, pos, s: offset of the lane plus place inside it."""
-    before = F.coalesce(F.sum("n").over(W.orderBy("lane").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
-    offsets = rows.groupBy("lane").agg(F.count("*").alias("n")).select("lane", before.alias("base"))  # one row per lane
-    return local_sort(rows).join(F.broadcast(offsets), "lane").select((F.col("base") + F.col("lpos")).cast("bigint").alias("rank"), "src_id", "pos", "s")
+    """rank (1-based), src_id, pos, s of rows whose lanes are in order: offset of the lane plus place inside it."""
+    return local_sort(rows).join(F.broadcast(lane_bases(rows)), "lane").select((F.col("base") + F.col("lpos")).cast("bigint").alias("rank"), "src_id", "pos", "s")

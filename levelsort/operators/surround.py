@@ -63,9 +63,27 @@ def running(df: DataFrame, by: str, order: str, value: str) -> DataFrame:
     return df.withColumn("total", F.sum(value).over(W.partitionBy(by).orderBy(order)))
 
 
-def ith_string(s: DataFrame, i: int) -> DataFrame:
-    """The string of 0-based rank i: counts per range partition lead to the one partition that holds it."""
-    return dense_index(s.select("src_id", "pos", "s"), list(ORDER)).where(F.col("idx") == i).select("src_id", "pos", "s")
+def ith_string(s: DataFrame, i: int, parts: int = 64) -> DataFrame:
+    """The string of 0-based rank i, without sorting the others: sampled splitters, counts per bucket, one bucket sorted.
+
+    Equal strings share a bucket; a bucket is sorted by its own numbered rows, so it may take more than one task.
+    """
+    rows = s.select("src_id", "pos", "s")
+    lanes = rows.sample(0.02, 7).select("s").union(rows.select("s").limit(parts))  # the sample only balances: any splitters are right
+    at = [k / parts for k in range(1, parts)]
+    cuts = lanes.select(F.ntile(parts).over(W.orderBy("s")).alias("tile"), "s").groupBy("tile").agg(F.max("s").alias("s"))
+    arrays = F.broadcast(cuts.where(F.col("tile") <= len(at)).agg(F.array_sort(F.collect_set("s")).alias("fs")))  # parts strings
+    below = lambda acc, x: acc + (x < F.col("s")).cast("int")
+    dealt = rows.crossJoin(arrays).select("src_id", "pos", "s", F.aggregate("fs", F.lit(0), below).alias("bucket"))
+    sizes = dealt.groupBy("bucket").agg(F.count("*").alias("n")).withColumn("stop", F.sum("n").over(W.orderBy("bucket")))
+    mine = F.broadcast(sizes.where((F.col("stop") > i) & (F.col("stop") - F.col("n") <= i)).select("bucket", (F.lit(i) - F.col("stop") + F.col("n")).alias("rest")))
+    inside = dense_index(dealt.join(mine, "bucket").select("src_id", "pos", "s", "rest"), list(ORDER))
+    return inside.where(F.col("idx") == F.col("rest")).select("src_id", "pos", "s")
+
+
+def median_string(s: DataFrame) -> DataFrame:
+    """The lower median of the order by (s, src_id, pos)."""
+    return ith_string(s, (s.count() - 1) // 2)
 
 
 def lines_of(spark: SparkSession, sf_dir: str, lang: str) -> DataFrame:

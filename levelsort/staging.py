@@ -1,15 +1,50 @@
-"""Cutting lineage between levels and rounds: reliable checkpoints in the cluster's shared folder."""
+"""Cutting lineage between levels and rounds: reliable checkpoints, and tables bucketed by key, in the cluster's shared folder."""
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """``df`` computed once, with short lineage; the folder is the session's, a temporary one only where none is set."""
-    sc = df.sparkSession.sparkContext
+def shared_dir(spark: SparkSession) -> str:
+    """The folder of ``spark.checkpoint.dir``, or the one set on the context; without either there is no safe default."""
+    sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="levelsort-"))
+        named = sc.getConf().get("spark.checkpoint.dir")
+        if not named:
+            if not sc.master.startswith("local"):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+            import tempfile
+
+            named = tempfile.mkdtemp(prefix="levelsort-")  # one machine: its folder is shared by all tasks
+        sc.setCheckpointDir(named)
+    return sc._jsc.sc().getCheckpointDir().get()
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """``df`` computed once, with short lineage."""
+    shared_dir(df.sparkSession)
     return df.checkpoint()
+
+
+class Bucketed:
+    """``df`` as a table bucketed by ``keys``: joins and aggregates on them do not move its rows again."""
+
+    def __init__(self, df: DataFrame, keys: list[str], buckets: int):
+        self.spark, self.name = df.sparkSession, f"levelsort_{uuid.uuid4().hex}"
+        path = f"{shared_dir(self.spark)}/{self.name}"
+        dealt = df.repartition(buckets, *keys)
+        dealt.write.format("parquet").bucketBy(buckets, *keys).sortBy(*keys).option("path", path).saveAsTable(self.name)
+        jvm = self.spark._jvm
+        self._path = jvm.org.apache.hadoop.fs.Path(path)
+        self._fs = self._path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
+        self._fs.deleteOnExit(self._path)
+
+    @property
+    def df(self) -> DataFrame:
+        return self.spark.table(self.name)
+
+    def drop(self) -> None:
+        self.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
+        self._fs.delete(self._path, True)

@@ -4,7 +4,9 @@ import pytest
 
 from levelsort.operators import baselines, cost, doubling, lcp, merge
 from levelsort.operators import mergesort as ms
+from levelsort.functions import text
 from levelsort.plans.levels import LevelPlan, plan_equal, plan_node_aligned
+from levelsort.sources import strings as sources
 
 TOY = ["barn", "cat", "bar", "base", "cab"]
 EDGE = ["", "a", "aa", "aaa", "é", "z", "a", "same", "same", "same"]
@@ -92,3 +94,84 @@ def test_cost_forms():
     assert abs(cost.slope([1, 2, 4], [2, 4, 8]) - 1) < 1e-9
     one, two = (cost.merge_sort_time(10**6, 10**8, 10**7, 4096, k, 1000)["partition"] for k in (1, 2))
     assert two < one  # more levels make partitioning cheaper
+
+
+def exchanged(df):
+    """The columns of each shuffle in the plan."""
+
+    def listed(seq):
+        return [seq.apply(i) for i in range(seq.size())]
+
+    def moved(node):
+        own = [[a.name() for a in listed(node.output())]] if node.nodeName() == "Exchange" else []
+        return own + [x for c in listed(node.children()) for x in moved(c)]
+
+    plan = df._jdf.queryExecution().executedPlan()
+    return moved(plan.initialPlan() if plan.nodeName() == "AdaptiveSparkPlan" else plan)
+
+
+def test_a_doubling_round_moves_no_strings(spark):
+    s = strings(spark, [f"{'x' * (i % 40)}{i % 90}" for i in range(2000)])
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        run = doubling.Doubling(s, threshold=0, buckets=4)
+        fps = doubling.prints(run.strings.df, 16)
+        active = doubling.marked(fps, k=2, lanes=8).where("dup").select("src_id", "pos")
+        nxt = doubling.prints(run.strings.df.join(active, doubling.LOCATOR, "left_semi"), 32)
+        sent = exchanged(nxt)
+        # the strings are read in their buckets; fingerprints, counts and locators are all that is exchanged
+        assert sent and not any("s" in columns for columns in sent), sent
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    run.strings.drop()
+
+
+def test_a_level_exchanges_the_strings_once(spark):
+    s = strings(spark, [str(i * 7919 % 1000) for i in range(1000)])
+    rows = s.repartition(4).cache()
+    sample = ms.draw_samples(ms.numbered(rows).select(ms.F.lit(0).alias("grp"), "lane", "lpos", "src_id", "pos", "s"), 8, 2, placed=False)
+    assert not any("src_id" in columns for columns in exchanged(sample))  # sampling reads the strings where they lie
+    out = ms.level_merge_sort(rows, LevelPlan(8, (2, 4)))
+    assert ranks(out.ranked()) == expected([str(i * 7919 % 1000) for i in range(1000)])
+    for i, (state, splits, r) in enumerate(zip(out.states, out.cuts, (2, 4), strict=True)):
+        routed = ms.bucketize(state, splits, r).withColumn("target", ms.grid_target(8 if i == 0 else 4, r))
+        moved = ms.to_lanes(routed.select("target", "src_id", "pos", "s"), 8, "target")
+        assert sum("src_id" in columns for columns in exchanged(moved)) == 1
+
+
+def test_long_common_prefixes_have_no_cap(spark):
+    long = "a" * 300_000
+    t = lcp.lcp_array(strings(spark, [long + "b", long + "c", "z"])).orderBy("rank").collect()
+    assert [r["h"] for r in t] == [None, 300_000, 0]
+    two = strings(spark, ["abcx", "abcyy", "abc"]).agg(text.common_prefix(ms.F.col("s")).alias("p")).first()["p"]
+    assert two == "abc"
+
+
+@pytest.mark.parametrize(("n", "length", "ratio"), [(7919, 60, 0.5), (300, 2000, 0.25), (50, 40, 1.0)])
+def test_generated_strings(spark, n, length, ratio):
+    rows = sources.dn_strings(spark.range(n).withColumnRenamed("id", "i"), n, length, ratio)
+    assert rows.select("s").distinct().count() == n
+    assert {r["len"] for r in rows.select(ms.F.length("s").alias("len")).distinct().collect()} == {length}
+    got = lcp.string_stats(lcp.lcp_array(rows)).first()["dn_ratio"]
+    assert abs(got - max(ratio, sources.DN_DIGITS / length)) < 0.15
+
+
+def test_negative_locators_and_ties(spark):
+    values = ["dup", "dup\x00", "du"] * 40
+    rows = spark.createDataFrame([(-i * 37, -i % 5, v) for i, v in enumerate(values)], "src_id bigint, pos int, s string")
+    want = [(r, x) for r, (_, x, _) in enumerate(sorted((v.encode(), -i * 37, -i % 5) for i, v in enumerate(values)), 1)]
+    assert ranks(ms.level_merge_sort(rows, LevelPlan(8, (2, 4)), tie_break=True).ranked()) == want
+
+
+def test_read_lines_and_keys(spark, tmp_path):
+    (tmp_path / "a.txt").write_text("one\ntwo\n")
+    (tmp_path / "b.txt").write_text("three\n")
+    got = sources.read_lines(spark, str(tmp_path))
+    assert dict(got.dtypes) == {"src_id": "bigint", "pos": "int", "s": "string"}
+    rows = got.collect()
+    assert sorted(r["s"] for r in rows) == ["one", "three", "two"] and all(r["src_id"] >= 0 and r["pos"] >= 0 for r in rows)
+    assert len({(r["src_id"], r["pos"]) for r in rows}) == 3
+    numbers = [-(1 << 63), -5, -1, 0, 7, (1 << 63) - 1]
+    df = spark.createDataFrame([(x,) for x in numbers], "x bigint")
+    keys = [r["k"] for r in df.select("x", sources.as_key(df, ["x"]).alias("k")).orderBy("k").collect()]
+    assert [r["x"] for r in df.select("x", sources.as_key(df, ["x"]).alias("k")).orderBy("k").collect()] == numbers and keys == sorted(keys)
