@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 import gc
-import tempfile
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from levelsort.staging import shared_dir
+
 #: ASCII white space as the contracts name it: blank and code points 9 to 13.
 SPACE_CLASS = r"[\x20\x09-\x0D]"
 SPACE_CHARS = " \t\n\x0b\x0c\r"
@@ -19,21 +20,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder named by ``spark.checkpoint.dir``; a temporary one only where that is unset (tests)."""
-    sc = spark.sparkContext
-    named = sc.getConf().get("spark.checkpoint.dir")
-    if named:
-        if sc._jsc.sc().getCheckpointDir().isEmpty():
-            sc.setCheckpointDir(named)
-        return named
-    current = sc._jsc.sc().getCheckpointDir()
-    if current.isEmpty():
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="levelsort-"))
-        current = sc._jsc.sc().getCheckpointDir()
-    return current.get()
-
-
 class Stage:
     """A written intermediate table: cuts lineage, survives lost executors, can be dropped early."""
 
@@ -65,6 +51,24 @@ def small(df: DataFrame, rows: int, bound: int) -> DataFrame:
     return F.broadcast(df) if rows <= bound else df
 
 
+HOT_ROWS = 2000
+
+
+def spread_join(left: DataFrame, right: DataFrame, keys: list[str], by: str, sizes: DataFrame, how: str = "left", hot_rows: int = HOT_ROWS, bound: int = 500_000) -> DataFrame:
+    """Join on ``keys``, unique in ``right``; ``sizes`` (keys, m) counts their rows in ``left``.
+
+    Keys of more than ``hot_rows`` rows are dealt by ``by`` over one salt per ``hot_rows`` rows, the right row being repeated.
+    """
+    hot = Stage(sizes.where(F.col("m") > hot_rows).select(*keys, F.ceil(F.col("m") / hot_rows).cast("int").alias("salts")), "hot-keys")
+    n_hot = hot.df.count()
+    if n_hot == 0:
+        return left.join(right, keys, how)
+    salts = small(hot.df, n_hot, bound)
+    dealt = left.join(salts, keys, "left").withColumn("salt", F.coalesce(F.pmod(F.xxhash64(by), F.col("salts")).cast("int"), F.lit(0))).drop("salts")
+    spread = right.join(salts, keys, "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce(F.col("salts") - 1, F.lit(0))))).drop("salts")
+    return dealt.join(spread, [*keys, "salt"], how).drop("salt")
+
+
 def ascii_lower(c: Column) -> Column:
     return F.translate(c, UPPER, LOWER)
 

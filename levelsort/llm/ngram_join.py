@@ -19,7 +19,7 @@ their whole overlap, if that is less). That is used four times:
 
 Links join clusters by rounds of minimum-label contraction, until no edge is left. No step has a cap that drops
 work: large key groups are cut into blocks and every pair of blocks is visited. Joins back from clusters and sets
-to their members salt the keys that have more than ``HOT_ROWS`` of them.
+to their members salt the keys that have many of them (``spread_join``).
 
 Defined results: null or empty text has an empty set, n_shingles 0, and is linked with nothing; a null
 doc_id is never linked and has a null component; repeated rows get equal results; other columns are ignored.
@@ -38,12 +38,11 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from levelsort.llm.common import Stage, release, small
+from levelsort.llm.common import Stage, release, small, spread_join
 
 BLOCK = 256
 RARE = 64
 ROUNDS = 4
-HOT_ROWS = 2000
 BROADCAST_ROWS = 500_000
 _FACTOR, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
 
@@ -353,21 +352,6 @@ def _links(index: Stage, sets: Stage, percent: int) -> DataFrame:
     return found.union(boxed.groupBy("key", "lo", "hi").applyInArrow(_compare(percent), "a long, b long")).distinct()
 
 
-def _spread_join(left: DataFrame, right: DataFrame, key: str, by: str, sizes: DataFrame) -> DataFrame:
-    """Left join on ``key``, unique in ``right``; ``sizes`` (key, m) counts its rows in ``left``.
-
-    Keys of more than ``HOT_ROWS`` rows are dealt by ``by`` over one salt per ``HOT_ROWS`` rows, the right row being repeated.
-    """
-    hot = Stage(sizes.where(F.col("m") > HOT_ROWS).select(key, F.ceil(F.col("m") / HOT_ROWS).cast("int").alias("salts")), "hot-keys")
-    n_hot = hot.df.count()
-    if n_hot == 0:
-        return left.join(right, key, "left")
-    salts = small(hot.df, n_hot, BROADCAST_ROWS)
-    dealt = left.join(salts, key, "left").withColumn("salt", F.coalesce(F.pmod(F.xxhash64(by), F.col("salts")).cast("int"), F.lit(0))).drop("salts")
-    spread = right.join(salts, key, "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce(F.col("salts") - 1, F.lit(0))))).drop("salts")
-    return dealt.join(spread, [key, "salt"], "left").drop("salt")
-
-
 def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75, width: int = 5) -> DataFrame:
     """One row per input row: doc_id, n_shingles, component_id (smallest doc_id reachable by links)."""
     spark = docs.sparkSession
@@ -404,10 +388,10 @@ def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     lows = labels.df.join(classes.df.select("sid", "rep"), "sid").groupBy("label").agg(F.min("rep").alias("low"), F.count("*").alias("m"))
     rooted = Stage(lows.join(contract(links.df).withColumnRenamed("node", "label"), "label", "left").withColumn("root", F.coalesce("root", "label")), "rooted")
     tops = rooted.df.groupBy("root").agg(F.min("low").alias("component_id"), F.count("*").alias("m"))
-    of_label = _spread_join(rooted.df.select("label", "root"), tops.select("root", "component_id"), "root", "label", tops.select("root", "m"))
-    of_set = _spread_join(labels.df.select("sid", "label"), of_label.select("label", "component_id"), "label", "sid", rooted.df.select("label", "m"))
+    of_label = spread_join(rooted.df.select("label", "root"), tops.select("root", "component_id"), ["root"], "label", tops.select("root", "m"))
+    of_set = spread_join(labels.df.select("sid", "label"), of_label.select("label", "component_id"), ["label"], "sid", rooted.df.select("label", "m"))
     known = Stage(classes.df.select("sid", "rep", "m").join(of_set.select("sid", "component_id"), "sid", "left").select("sid", "m", F.coalesce("component_id", "rep").alias("component_id")), "members")
-    out = _spread_join(base.df.select("doc_id", "sid", F.col("n").alias("n_shingles")), known.df.select("sid", "component_id"), "sid", "doc_id", known.df.select("sid", "m"))
+    out = spread_join(base.df.select("doc_id", "sid", F.col("n").alias("n_shingles")), known.df.select("sid", "component_id"), ["sid"], "doc_id", known.df.select("sid", "m"))
     alone = (F.col("n_shingles") == 0) | F.col("doc_id").isNull()
     return out.select("doc_id", "n_shingles", F.when(alone, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
