@@ -84,7 +84,11 @@ class Classifier:
 
 
 def train(families: dict[str, list[str]] | None = None, ordinary: list[str] | None = None, max_features: int = 4000, rounds: int = 200, rate: float = 0.5, decay: float = 1e-3) -> Classifier:
-    """Full-batch gradient steps on the labelled paragraphs; the unknown class is what ordinary ones are labelled."""
+    """Gradient steps, one labelled paragraph at a time; the unknown class is what ordinary ones are labelled.
+
+    The bias is set, not trained: without evidence a paragraph is unknown. The threshold lies between the least sure
+    licence paragraphs and the surest ordinary one of the same labelled rows.
+    """
     families, ordinary = families or FAMILIES, ordinary or ORDINARY
     rows = [(set(grams(words(t))), k) for k, ts in sorted(families.items()) for t in ts] + [(set(grams(words(t))), UNKNOWN) for t in ordinary]
     plain = set().union(*(g for g, k in rows if k == UNKNOWN))
@@ -156,9 +160,12 @@ def paragraph_scan(docs: DataFrame, model: Classifier | None = None, id_col: str
 
     # every feature holds a licence word, so only n-grams around one are looked up
     at = F.array_compact(F.transform("t", lambda x, i: F.when(F.array_contains(anchors, x), i + 1)))
-    gram_rows = toks.select(*key, F.explode(F.array_distinct(F.array_compact(F.flatten(F.transform(at, grams_at))))).alias("g"))
-    table = spark.createDataFrame([(g, [float(x.get(k, 0.0)) for k in classes]) for g, x in sorted(model.weights.items())], "g string, w array<double>")
-    sums = gram_rows.join(F.broadcast(table), "g").groupBy(*key).agg(*[F.sum(F.get("w", F.lit(i))).alias(f"s{i}") for i in range(len(classes))])
+    # rows that repeat a document's text sum up the same n-grams again: the empty one, in each row once, counts them
+    gram_rows = toks.select(*key, F.explode(F.array_append(F.array_distinct(F.array_compact(F.flatten(F.transform(at, grams_at)))), F.lit(""))).alias("g"))
+    weighted = [("", [0.0] * len(classes)), *((g, [float(x.get(k, 0.0)) for k in classes]) for g, x in sorted(model.weights.items()))]
+    table = spark.createDataFrame(weighted, "g string, w array<double>")
+    rows = F.sum((F.col("g") == "").cast("int"))
+    sums = gram_rows.join(F.broadcast(table), "g").groupBy(*key).agg(*[(F.sum(F.get("w", F.lit(i))) / rows).alias(f"s{i}") for i in range(len(classes))], F.count("*").alias("terms"), rows.alias("times")).where("terms > times")
     score = [F.col(f"s{i}") + F.lit(float(model.bias[k])) for i, k in enumerate(classes)]
     top = F.greatest(*score)
     scored = sums.select(*key, top.alias("top"), F.array(*score).alias("s"))

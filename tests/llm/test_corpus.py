@@ -4,7 +4,7 @@ import zlib
 
 import pytest
 
-from levelsort.llm import chat, exact_dedup, licences, line_dedup, media, ngram_join, packing, queries, secrets, subword, toxicity
+from levelsort.llm import chat, exact_dedup, licences, line_dedup, media, ngram_join, packing, queries, secrets, subword
 
 ODD = [(1, "a  b"), (2, "a b"), (3, None), (4, ""), (5, "x\ny\nx"), (5, "x\ny\nx"), (None, "a\tb"), (6, "word " * 3000), (7, "é € 😀")]
 
@@ -257,11 +257,53 @@ def test_wrapped_licences(spark):
     assert got == {1: ("mit", 1), 2: ("bsd", 1), 3: ("bsd,mit", 2), 4: ("gpl-3.0", 1), 5: ("", 0), 6: ("mit", 1), 7: ("bsd", 1)}
 
 
-def test_toxicity_channels():
-    lex, g = toxicity.Lexicon({}, {}), toxicity.Grammar()
-    score = lambda t: dict(zip((*toxicity.CHANNELS, "clauses"), toxicity.channels(t, lex, g), strict=True))
-    assert score("you idiot.")["targeted"] > 0 and score("you are not an idiot")["negated"] > 0
-    assert score("he said idiot")["reported"] > 0 and score("I will kill you")["threat"] > 0
-    assert score(None)["clauses"] == 0
-    model = toxicity.Model({}, {}, *toxicity.UNFITTED)
-    assert model.scores([toxicity.channels("you idiot, you moron!", lex, g)])[0] > 0.5 > model.scores([toxicity.channels("fine weather", lex, g)])[0]
+def test_repeated_rows_do_not_lift_a_licence(spark):
+    text = "The license and permission of the driver.\nLicensed under the Apache License, Version 2.0."
+    one = {(r["line"], r["family"], r["probability"], r["copies"]) for r in licences.paragraph_scan(frame(spark, [(1, text)])).collect()}
+    two = {(r["line"], r["family"], r["probability"], r["copies"]) for r in licences.paragraph_scan(frame(spark, [(1, text), (1, text)])).collect()}
+    assert {x[:3] for x in one} == {x[:3] for x in two} and {x[3] for x in two} == {2}
+    assert licences.document_licences(frame(spark, [])).count() == 0
+
+
+def test_sparse_scores_are_the_classifier_s(spark):
+    model = licences.train()
+    texts = [t for ts in licences.FAMILIES.values() for t in ts] + licences.ORDINARY
+    got = {r["doc_id"]: r for r in licences.paragraph_scan(frame(spark, list(enumerate(texts))), model).where("line = 0 and lines = 1").collect()}
+    assert got
+    for i, r in got.items():
+        p = model.probabilities(texts[i])
+        assert abs(max(p.values()) - r["probability"]) < 1e-5
+    right = sum(got[i]["family"] == k for i, k in enumerate(k for k, ts in licences.FAMILIES.items() for _ in ts) if i in got)
+    assert right >= 0.9 * sum(map(len, licences.FAMILIES.values()))
+
+
+def test_common_lines_count_documents_not_rows(spark):
+    rows = [(1, f"shared\nown {i}") for i in range(10)] + [(i, "other\nx") for i in range(2, 12)] + [(None, "shared"), (None, "shared")]
+    out = line_dedup.common_line_dedup(frame(spark, rows), batches=3, fanout=2).collect()
+    by = {}
+    for r in out:
+        by.setdefault(r["doc_id"], []).append((r["n_lines"], r["n_dropped"], r["kept_text"]))
+    assert all(x[1] == 0 for x in by[1]) and len(by[1]) == 10 and by[None] == [(1, 0, "shared")] * 2
+    assert all(x == [(2, 2, "")] for k, x in by.items() if k not in (1, None))
+    long = [(i, "\n".join(["same"] * 5000 + [f"line {i}"])) for i in range(12)]
+    assert {(r["n_dropped"], r["kept_text"]) for r in line_dedup.common_line_dedup(frame(spark, long)).collect()} == {(5000, f"line {i}") for i in range(12)}
+    assert line_dedup.common_line_dedup(frame(spark, [])).count() == 0
+
+
+def test_common_lines_without_broadcast(spark, monkeypatch):
+    from levelsort.llm import common
+
+    rows = [(i, f"hot\nwarm {i % 3}\nown {i}") for i in range(60)]
+    want = sorted(map(tuple, line_dedup.common_line_dedup(frame(spark, rows)).collect()))
+    monkeypatch.setattr(line_dedup, "HOT_BROADCAST", 0)
+    monkeypatch.setattr(common.spread_join, "__defaults__", ("left", 7, 500_000))
+    assert sorted(map(tuple, line_dedup.common_line_dedup(frame(spark, rows)).collect())) == want
+
+
+def test_later_batches_leave_out_settled_lines(spark):
+    runs = line_dedup.LevelledRuns(fanout=2, least=3)
+    for b in range(5):
+        lines = line_dedup.line_table(frame(spark, [(10 * b + i, f"hot\nown {b} {i}") for i in range(4)]))
+        assert runs.unseen(lines).count() == (8 if b == 0 else 4)
+        runs.add(lines)
+    assert runs.compactions >= 3 and [r["n"] for r in runs.settled().df.collect()] == [4]
