@@ -140,18 +140,30 @@ def paragraph_scan(docs: DataFrame, model: Classifier | None = None, id_col: str
     # paragraphs of one document keep their number; rows that repeat a doc_id are told apart by their text
     paras = hits.select("doc_id", F.xxhash64("text").alias("row"), F.posexplode(F.split("text", paragraph_break)).alias("para", "body")).where(F.col("body").rlike(anchor))
     lined = paras.select("doc_id", "row", "para", F.transform(F.split("body", "\n"), lambda x: F.regexp_extract_all(ascii_lower(x), F.lit(WORD), F.lit(0))).alias("lt"))
-    # a line with licence words, and the lines around it that a span of it can reach
+    # Overlap only grows with a span, and only template words count in it: where the lines around a licence word hold too few
+    # of every template, no longer span is confirmed; and none is looked for around a line that is itself a notice, as a
+    # confirmed span has no confirmed one inside.
+    vocabulary = F.array(*[F.lit(w) for w in sorted({w for ts in FAMILIES.values() for t in ts for w in words(t)})])
+    sure = sorted({" ".join(words(t)) for k, ts in FAMILIES.items() for t in ts if k in model.bias and model.probabilities(t)[k] >= model.threshold and "\n" not in t})
+    lined = lined.withColumn("lv", F.transform("lt", lambda x: F.array_intersect(x, vocabulary)))
     first = lambda i: F.greatest(i - (span_lines - 1), F.lit(0))
-    near = F.transform("lt", lambda x, i: F.when(F.arrays_overlap(x, anchors), F.struct(i.alias("at"), F.slice("lt", first(i) + 1, i - first(i) + span_lines).alias("ctx"))))
-    around = lined.select("doc_id", "row", "para", F.explode(F.array_compact(near)).alias("x")).select("doc_id", "row", "para", "x.*").withColumn("off", F.col("at") - first(F.col("at")))
-    # overlap only grows with a span: where all lines around hold too few words of every template, no longer span is confirmed
-    around = around.withColumn("flat", F.array_distinct(F.flatten("ctx")))
-    reach = F.exists(wordings, lambda t: F.size(F.array_intersect(t, F.col("flat"))) >= confirm * F.size(t))
+
+    def entry(x: Column, i: Column) -> Column:
+        held = F.flatten(F.slice("lv", first(i) + 1, i - first(i) + span_lines))
+        wide = ~F.array_join(x, " ").isin(sure) & F.exists(wordings, lambda t: F.size(F.array_intersect(t, held)) >= confirm * F.size(t))
+        around = F.struct(i.alias("at"), (i - first(i)).alias("off"), F.slice("lt", first(i) + 1, i - first(i) + span_lines).alias("ctx"), F.slice("lv", first(i) + 1, i - first(i) + span_lines).alias("ctv"), F.lit(True).alias("wide"))
+        return F.when(wide, around).otherwise(F.struct(i.alias("at"), F.lit(0).alias("off"), F.array(x).alias("ctx"), F.slice("lv", i + 1, 1).alias("ctv"), F.lit(False).alias("wide")))
+
+    near = F.transform("lt", lambda x, i: F.when(F.arrays_overlap(x, anchors), entry(x, i)))
+    around = lined.select("doc_id", "row", "para", F.explode(F.array_compact(near)).alias("x")).select("doc_id", "row", "para", "x.*")
     line = F.array(F.struct(F.col("off").alias("a"), F.col("off").alias("z")))
     starts = F.filter(F.sequence(F.lit(0), "off"), lambda a: ~F.arrays_overlap(F.flatten(F.slice("ctx", a + 1, F.col("off") - a)), anchors))  # a span is named by its first such line
     spans = F.flatten(F.transform(starts, lambda a: F.transform(F.sequence(F.col("off"), F.least(a + (span_lines - 1), F.size("ctx") - 1)), lambda z: F.struct(a.alias("a"), z.alias("z")))))
-    cut = around.select("doc_id", "row", "para", "at", "off", "ctx", F.explode(F.when(reach, spans).otherwise(line)).alias("p"))
-    toks = cut.select("doc_id", "row", "para", (F.col("at") - F.col("off") + F.col("p.a")).alias("lo"), (F.col("at") - F.col("off") + F.col("p.z")).alias("hi"), F.flatten(F.slice("ctx", F.col("p.a") + 1, F.col("p.z") - F.col("p.a") + 1)).alias("t"))
+    cut = around.select("doc_id", "row", "para", "at", "off", "ctx", "ctv", F.explode(F.when(F.col("wide"), spans).otherwise(line)).alias("p"))
+    of_span = lambda c: F.flatten(F.slice(c, F.col("p.a") + 1, F.col("p.z") - F.col("p.a") + 1))
+    families = F.array(*[F.array(*[F.array(*[F.lit(w) for w in sorted(set(words(t)))]) for t in ts]) for _, ts in sorted(FAMILIES.items())])
+    fits = F.transform(families, lambda ts: F.array_max(F.transform(ts, lambda t: F.size(F.array_intersect(t, of_span("ctv"))) / F.size(t))))
+    toks = cut.select("doc_id", "row", "para", (F.col("at") - F.col("off") + F.col("p.a")).alias("lo"), (F.col("at") - F.col("off") + F.col("p.z")).alias("hi"), of_span("ctx").alias("t"), fits.alias("fits"))
     key = ["doc_id", "row", "para", "lo", "hi"]
 
     def grams_at(i: Column) -> Column:
@@ -161,22 +173,21 @@ def paragraph_scan(docs: DataFrame, model: Classifier | None = None, id_col: str
     # every feature holds a licence word, so only n-grams around one are looked up
     at = F.array_compact(F.transform("t", lambda x, i: F.when(F.array_contains(anchors, x), i + 1)))
     # rows that repeat a document's text sum up the same n-grams again: the empty one, in each row once, counts them
-    gram_rows = toks.select(*key, F.explode(F.array_append(F.array_distinct(F.array_compact(F.flatten(F.transform(at, grams_at)))), F.lit(""))).alias("g"))
+    gram_rows = toks.select(*key, "fits", F.explode(F.array_append(F.array_distinct(F.array_compact(F.flatten(F.transform(at, grams_at)))), F.lit(""))).alias("g"))
+    gram_rows = gram_rows.withColumn("fits", F.when(F.col("g") == "", F.col("fits")))
     weighted = [("", [0.0] * len(classes)), *((g, [float(x.get(k, 0.0)) for k in classes]) for g, x in sorted(model.weights.items()))]
     table = spark.createDataFrame(weighted, "g string, w array<double>")
     rows = F.sum((F.col("g") == "").cast("int"))
-    sums = gram_rows.join(F.broadcast(table), "g").groupBy(*key).agg(*[(F.sum(F.get("w", F.lit(i))) / rows).alias(f"s{i}") for i in range(len(classes))], F.count("*").alias("terms"), rows.alias("times")).where("terms > times")
+    sums = gram_rows.join(F.broadcast(table), "g").groupBy(*key).agg(*[(F.sum(F.get("w", F.lit(i))) / rows).alias(f"s{i}") for i in range(len(classes))], F.max("fits").alias("fits"), F.count("*").alias("terms"), rows.alias("times")).where("terms > times")
     score = [F.col(f"s{i}") + F.lit(float(model.bias[k])) for i, k in enumerate(classes)]
     top = F.greatest(*score)
-    scored = sums.select(*key, top.alias("top"), F.array(*score).alias("s"))
+    scored = sums.select(*key, "fits", "times", top.alias("top"), F.array(*score).alias("s"))
     scored = scored.withColumn("probability", 1 / F.aggregate("s", F.lit(0.0), lambda a, x: a + F.exp(x - F.col("top"))))
     scored = scored.withColumn("label", F.get(F.array(*[F.lit(k) for k in classes]), F.array_position("s", F.col("top")).cast("int") - 1))
     named = scored.withColumn("family", F.when((F.col("label") == UNKNOWN) | (F.col("probability") < model.threshold), F.lit(UNKNOWN)).otherwise(F.col("label")))
-    templates = spark.createDataFrame([(k, sorted(set(words(t)))) for k, ts in sorted(FAMILIES.items()) for t in ts], "family string, tw array<string>").groupBy("family").agg(F.collect_list("tw").alias("templates"))
-    both = named.join(toks, key).join(F.broadcast(templates), "family", "left")
-    overlap = F.coalesce(F.array_max(F.transform("templates", lambda t: F.size(F.array_intersect(t, "t")) / F.size(t))), F.lit(0.0))
-    found = both.select(*key, "family", F.round("probability", 6).alias("probability"), F.round(overlap, 6).alias("overlap"), ((F.col("family") != UNKNOWN) & (overlap >= confirm)).alias("confirmed"))
-    found = found.where("confirmed or lo = hi").groupBy(*key).agg(*[F.max(c).alias(c) for c in ("family", "probability", "overlap", "confirmed")], F.count("*").alias("copies"))
+    overlap = F.coalesce(F.get("fits", F.array_position(F.array(*[F.lit(k) for k in sorted(FAMILIES)]), F.col("family")).cast("int") - 1), F.lit(0.0))
+    found = named.select(*key, "family", F.round("probability", 6).alias("probability"), F.round(overlap, 6).alias("overlap"), ((F.col("family") != UNKNOWN) & (overlap >= confirm)).alias("confirmed"), F.col("times").alias("copies"))
+    found = found.where("confirmed or lo = hi")
     # a notice is a confirmed span with none inside it; overlapping ones of a family are one, and cover their lines
     place = W.partitionBy("doc_id", "row", "para")
     end = F.when(F.col("confirmed"), F.col("hi"))
