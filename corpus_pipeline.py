@@ -42,7 +42,15 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    """All stages in turn. A stage's table is dropped once the next one is written, but for the last.
+
+    Nulls are what each operator defines: a null text is empty, counts as clean, and stays as one of the empty texts;
+    a row without doc_id takes part in every stage. Empty documents give an empty result.
+    """
+    docs, before = table(spark, sf_dir, "documents"), None
     for name, stage in STAGES:
-        docs = Stage(stage(spark, docs, sf_dir), f"pipeline-{name}").df
+        done = Stage(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        if before is not None:
+            before.drop()
+        docs, before = done.df, done
     return docs
