@@ -46,6 +46,14 @@ def release(spark: SparkSession) -> None:
     spark._jvm.System.gc()
 
 
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that ``df`` does not have, in any case."""
+    taken = {c.lower() for c in df.columns}
+    while (name := "_" + name).lower() in taken:
+        pass
+    return name
+
+
 def small(df: DataFrame, rows: int, bound: int) -> DataFrame:
     """Broadcast hint only when the counted rows are within the bound; a shuffled join serves beyond it."""
     return F.broadcast(df) if rows <= bound else df

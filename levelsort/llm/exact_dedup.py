@@ -17,7 +17,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from levelsort.llm.common import SPACE_CLASS, Stage, small
+from levelsort.llm.common import SPACE_CLASS, Stage, fresh, small
 
 BROADCAST_ROWS = 200_000
 
@@ -70,10 +70,11 @@ def copy_classes(
 
 def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of ``docs`` that stay, all columns unchanged; repeated rows leave one."""
-    stay = Stage(copy_classes(docs, id_col, text_col).where("kept").select(F.col("doc_id").alias("_stay_id"), F.unhex("text_sha256").alias("_stay_sha")), "stay")
-    tagged = docs.withColumn("_sha", F.unhex(F.sha2(normalised(F.col(text_col)), 256)))
-    kept = tagged.join(stay.df, F.col(id_col).eqNullSafe(F.col("_stay_id")) & (F.col("_sha") == F.col("_stay_sha")), "left_semi")
+    sha_col, id_tmp, sha_tmp = (fresh(docs, n) for n in ("sha", "stay_id", "stay_sha"))
+    stay = Stage(copy_classes(docs, id_col, text_col).where("kept").select(F.col("doc_id").alias(id_tmp), F.unhex("text_sha256").alias(sha_tmp)), "stay")
+    tagged = docs.withColumn(sha_col, F.unhex(F.sha2(normalised(F.col(text_col)), 256)))
+    kept = tagged.join(stay.df, F.col(id_col).eqNullSafe(F.col(id_tmp)) & (F.col(sha_col) == F.col(sha_tmp)), "left_semi")
     n_stay = stay.df.count()
     if kept.select(id_col).count() > n_stay:  # repeated ids with one text: only then one more pass is needed
-        kept = kept.dropDuplicates([id_col, "_sha"])
-    return kept.drop("_sha")
+        kept = kept.dropDuplicates([id_col, sha_col])
+    return kept.drop(sha_col)

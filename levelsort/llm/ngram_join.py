@@ -38,7 +38,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from levelsort.llm.common import Stage, release, small, spread_join
+from levelsort.llm.common import Stage, fresh, release, small, spread_join
 
 BLOCK = 256
 RARE = 64
@@ -398,6 +398,6 @@ def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 def keep_one_per_component(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Rows whose document represents its component; documents without words all stay."""
-    comps = near_components(docs, id_col, text_col)
-    stay = Stage(comps.where(F.col("component_id").eqNullSafe(F.col("doc_id"))).select(F.col("doc_id").alias("_stay")).distinct(), "stay-near")
-    return docs.join(stay.df, F.col(id_col).cast("long").eqNullSafe(F.col("_stay")), "left_semi")
+    comps, id_tmp = near_components(docs, id_col, text_col), fresh(docs, "stay")
+    stay = Stage(comps.where(F.col("component_id").eqNullSafe(F.col("doc_id"))).select(F.col("doc_id").alias(id_tmp)).distinct(), "stay-near")
+    return docs.join(stay.df, F.col(id_col).cast("long").eqNullSafe(F.col(id_tmp)), "left_semi")

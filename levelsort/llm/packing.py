@@ -275,5 +275,7 @@ def padding(packed: DataFrame, window: int = WINDOW) -> DataFrame:
     return used.agg(F.count("*").alias("sequences"), F.sum("used").alias("tokens"), F.sum(pad).alias("padding"))
 
 
-def packed_documents(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, end_id: int = END_ID) -> DataFrame:
-    return pack(pieces(docs, tokenizer_path, window, end_id).drop("ids"), window)
+def packed_documents(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, end_id: int = END_ID, with_ids: bool = False) -> DataFrame:
+    """Pieces with their place; ``with_ids`` keeps their ids (little-endian), which then move with the pieces."""
+    cut = pieces(docs, tokenizer_path, window, end_id, with_ids=with_ids)
+    return pack(cut if with_ids else cut.drop("ids"), window)

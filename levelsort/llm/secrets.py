@@ -112,6 +112,20 @@ def _ratio(token: Column, model: Column) -> Column:
     return F.aggregate(F.sequence(F.lit(2), F.length(token)), F.lit(0.0), lambda acc, i: acc + F.get(model, symbol(i) * SYMBOLS + symbol(i - 1)))
 
 
+def _before(values: str, i: Column, heads: Column, fold) -> Column:
+    """``fold`` of the values before place i: what the blocks before its block come to, and the rest one by one."""
+    b = F.floor(i / _BLOCK).cast("int")
+    return F.aggregate(F.slice(values, b * _BLOCK + 1, i - b * _BLOCK), F.get(heads, b), fold)
+
+
+def _heads(values: str, fold) -> Column:
+    """Per block of ``values``, ``fold`` of all blocks before it; each value is read once."""
+    n = F.floor((F.size(values) + _BLOCK - 1) / _BLOCK).cast("int")
+    own = F.transform(F.sequence(F.lit(1), n), lambda b: F.aggregate(F.slice(values, (b - 1) * _BLOCK + 1, F.lit(_BLOCK)), F.lit(0), fold))
+    zero = F.array(F.lit(0))
+    return F.when(F.size(values) == 0, zero).otherwise(F.aggregate(own, zero, lambda acc, x: F.concat(acc, F.array(fold(F.element_at(acc, -1), x)))))
+
+
 def _find(df: DataFrame, pattern: str, name: str, least: int, group: int = 0) -> DataFrame:
     """Adds array column ``name`` of struct(start, stop, token) of the matches whose group has ``least`` characters."""
     lit = F.lit(pattern)
@@ -125,16 +139,14 @@ def _find(df: DataFrame, pattern: str, name: str, least: int, group: int = 0) ->
         found = found.withColumn("_grp", F.col("_hit"))
     found = found.withColumn("_len", F.zip_with("_gap", "_hit", lambda g, h: F.coalesce(F.length(g), F.lit(0)) + F.coalesce(F.length(h), F.lit(0))))
     add = lambda a, x: a + x
-    blocks = F.sequence(F.lit(0), F.floor((F.size("_hit") - 1) / _BLOCK).cast("int"))
-    found = found.withColumn("_base", F.when(some, F.transform(blocks, lambda b: F.aggregate(F.slice("_len", 1, b * _BLOCK), F.lit(0), add))).otherwise(F.array().cast("array<int>")))
+    found = found.withColumn("_heads", _heads("_len", add))
 
     def span(h: Column, i: Column) -> Column:
-        b = F.floor(i / _BLOCK).cast("int")
-        start = F.get("_base", b) + F.aggregate(F.slice("_len", b * _BLOCK + 1, i - b * _BLOCK), F.lit(0), add) + F.length(F.get("_gap", i))
+        start = _before("_len", i, F.col("_heads"), add) + F.length(F.get("_gap", i))
         return F.struct(start.alias("start"), (start + F.length(h)).alias("stop"), F.get("_grp", i).alias("token"))
 
     spans = F.filter(F.transform("_hit", span), lambda s: F.length(s["token"]) >= least)
-    return found.withColumn(name, spans).drop("_hit", "_gap", "_grp", "_len", "_base")
+    return found.withColumn(name, spans).drop("_hit", "_gap", "_grp", "_len", "_heads")
 
 
 def _quick(pattern: str) -> str:
@@ -175,15 +187,15 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", model:
 
 def redact(docs: DataFrame, text_col: str = "text", mark: str = "[SECRET]", model: list[float] | None = None, threshold: float = THRESHOLD) -> DataFrame:
     """``docs`` with every span replaced by ``mark``; overlapping spans become one mark; other columns unchanged."""
-    found = spans(docs, F.col(text_col), model, threshold)
-
-    def merge(acc: Column, s: Column) -> Column:
-        last = F.element_at(acc, -1)
-        joined = F.concat(F.slice(acc, 1, F.size(acc) - 1), F.array(F.struct(last["start"].alias("start"), F.greatest(last["stop"], s["stop"]).alias("stop"))))
-        return F.when((F.size(acc) > 0) & (F.get(acc, F.size(acc) - 1)["stop"] > s["start"]), joined).otherwise(F.concat(acc, F.array(F.struct(s["start"].alias("start"), s["stop"].alias("stop")))))
-
-    merged = found.withColumn("_cuts", F.aggregate("_spans", F.array().cast("array<struct<start:int,stop:int>>"), merge))
-    piece = lambda s, i: F.concat(F.substring("_text", F.when(i == 0, F.lit(0)).otherwise(F.get("_cuts", i - 1)["stop"]) + 1, s["start"] - F.when(i == 0, F.lit(0)).otherwise(F.get("_cuts", i - 1)["stop"])), F.lit(mark))
-    tail = F.expr("substring(_text, element_at(_cuts, -1).stop + 1)")
-    clean = F.when(F.size("_cuts") == 0, F.col(text_col)).otherwise(F.concat(F.array_join(F.transform("_cuts", piece), ""), tail))
-    return merged.withColumn("_clean", clean).select(*[F.col("_clean").alias(c) if c == text_col else F.col(c) for c in docs.columns])
+    whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns])  # under one name: whatever the columns are called
+    found = spans(docs.select(whole.alias("_row"), F.col(text_col).alias("_given")), F.col("_given"), model, threshold)
+    later = lambda a, x: F.greatest(a, x)
+    found = found.withColumn("_stops", F.transform("_spans", lambda s: s["stop"])).withColumn("_heads", _heads("_stops", later))
+
+    def piece(s: Column, i: Column) -> Column:
+        at = _before("_stops", i, F.col("_heads"), later)
+        return F.when(s["start"] >= at, F.concat(F.substring("_text", at + 1, s["start"] - at), F.lit(mark))).otherwise(F.lit(""))
+
+    tail = F.expr("substring(_text, array_max(_stops) + 1)")
+    clean = F.when(F.size("_spans") == 0, F.col("_given")).otherwise(F.concat(F.array_join(F.transform("_spans", piece), ""), tail))
+    return found.select(*[(clean if c == text_col else F.col("_row")[c]).alias(c) for c in docs.columns])
