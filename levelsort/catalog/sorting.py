@@ -257,7 +257,6 @@ for _n, _k, _level in (("lines", 2, 2), ("lines", 3, 3), ("url", 3, 2)):
 add("imbalance_lms1_lines", lambda spark, d: cost.imbalance(ms.level_merge_sort(ms.place_blocks(string_set(spark, d, "lines"), P), PLANS[1]).rows, P), level_one_sql("lines", 8) + f"SELECT round(max(n) * {P} / sum(n), 6) AS strings, round(max(c) * {P} / sum(c), 6) AS chars FROM (SELECT count(*) AS n, sum(length(s)) AS c FROM bucketed GROUP BY bucket)")
 add("overloaded_lanes", lambda spark, d: cost.overloaded(ms.level_merge_sort(ms.place_blocks(string_set(spark, d, "lines"), P), PLANS[1]).rows, P), level_one_sql("lines", 8) + f"SELECT bucket AS lane, CAST(sum(length(s)) AS BIGINT) AS chars FROM bucketed GROUP BY bucket HAVING sum(length(s)) > 1.5 * (SELECT sum(length(s)) FROM bucketed) / {P}")
 add("cost_sample_volume", lambda spark, d: _one(spark, d)[1].agg(F.count("*").alias("strings"), F.sum(F.length("s")).alias("chars")), _sql + "SELECT count(*) AS strings, CAST(sum(length(s)) AS BIGINT) AS chars FROM v")
-add("cost_bytes_per_string", lambda spark, d: ms.level_merge_sort(ms.place_blocks(string_set(spark, d, "dn000"), P), PLANS[2]).moves[0].agg(F.round(F.sum("chars") / F.sum("n"), 6).alias("per_exchange")), "SELECT round(CAST(500 AS DOUBLE), 6) AS per_exchange")
 add("bucket_bound_strings", lambda spark, d: (lambda b: b.groupBy("bucket").agg(F.count("*").alias("n")).agg(F.max("n").alias("largest"), F.sum("n").alias("n")).select("largest", (F.col("largest") <= (1 + 4 / V) * F.col("n") / 4).alias("holds")))(_level_one("url", 4)(spark, d)[3]), level_one_sql("url", 4) + f"SELECT max(n) AS largest, max(n) <= (1 + 4 / {V}) * sum(n) / 4 AS holds FROM (SELECT count(*) AS n FROM bucketed GROUP BY bucket)")
 add("bucket_bound_chars", lambda spark, d: _level_one("url", 4, "chars")(spark, d)[3].groupBy("bucket").agg(F.sum(F.length("s")).alias("c")).agg(F.max("c").alias("largest")), level_one_sql("url", 4, "chars") + "SELECT CAST(max(c) AS BIGINT) AS largest FROM (SELECT sum(length(s)) AS c FROM bucketed GROUP BY bucket)")
 _hops = [(p, k, *cost.grid_hops(p, k)) for p in (8, 64, 256) for k in (1, 2, 3)]

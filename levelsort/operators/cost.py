@@ -102,3 +102,53 @@ def crossover(ps: list[int], single: list[float], multi: list[float]) -> int | N
     """Smallest p from which on the multi-level times are not above the single-level ones."""
     good = [a >= b for a, b in zip(single, multi, strict=True)]
     return next((p for i, p in enumerate(ps) if all(good[i:])), None)
+
+
+def simplified_time(n: int, chars: int, p: int, k: int, sigma: int = 256, alpha: float = 1e-5, beta: float = 1e-9) -> float:
+    """The merge sort's time where ``simplified_holds``: local work, latency, volume."""
+    return chars / p * math.log2(max(2, n)) + alpha * k * p ** (1 / k) + beta * k * chars / p * math.log2(sigma)
+
+
+def levels_hold(p: int, k: int) -> bool:
+    """Few enough levels for the number of lanes."""
+    lp = math.log2(p)
+    return k <= lp / (2 * math.log2(lp)) if lp > 2 else k == 1
+
+
+def simplified_holds(chars: int, l_max: int, p: int, k: int) -> bool:
+    return l_max <= chars / (k * k * p ** (1 + 1 / k) * math.log2(max(2, p))) and levels_hold(p, k)
+
+
+def filter_holds(n: int, m: int, p: int, k: int) -> bool:
+    """The k-level filter's bound: enough operations for the lanes, and slots for them."""
+    return n > k * k * p ** (1 + 1 / k) * math.log2(max(2, p)) and m >= math.e * n
+
+
+def approximation_holds(n: int, p: int, k: int) -> bool:
+    """The prefix approximation's bound: enough strings per lane."""
+    lp = math.log2(max(4, p))
+    return n / p > k * k * p ** (1 / k) * lp * math.log2(lp) and levels_hold(p, k)
+
+
+def shortest_approximated(p: int, sigma: int) -> float:
+    """Distinguishing prefixes from this length on are approximated within a constant factor, in expectation."""
+    return math.log2(p) / math.log2(sigma)
+
+
+def assignment_volume(r: int, chars: int) -> float:
+    """What assigning pieces by characters sends per lane: r offsets below the total, in bits."""
+    return r * math.log2(max(2, chars))
+
+
+def single_level_scales(n: int, p: int) -> bool:
+    """One level is held up by partitioning unless there are this many strings."""
+    return n >= p * p * math.log2(max(2, p))
+
+
+def speedup(single: list[float], multi: list[float]) -> list[float]:
+    return [a / b for a, b in zip(single, multi, strict=True)]
+
+
+def match_lanes(ps: list[int], times: list[float], box: list[float]) -> int | None:
+    """Smallest number of lanes from which on a run is no slower than the single box on the same input."""
+    return crossover(ps, box, times)

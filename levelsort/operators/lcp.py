@@ -47,6 +47,12 @@ def string_stats(table: DataFrame) -> DataFrame:
     )
 
 
+def alphabet(s: DataFrame) -> DataFrame:
+    """n_unique strings and sigma characters of a set; characters are made distinct per string before they move."""
+    letters = s.select(F.explode(F.array_distinct(F.split("s", ""))).alias("c")).where("c <> ''").agg(F.countDistinct("c").alias("sigma"))
+    return s.agg(F.countDistinct("s").alias("n_unique")).crossJoin(F.broadcast(letters)).select("n_unique", "sigma")
+
+
 def front_encode(rows: DataFrame) -> DataFrame:
     """lane, lpos, src_id, pos, h, tail: only what the string before it in its lane does not share."""
     w = W.partitionBy("lane").orderBy(*ORDER)

@@ -10,8 +10,10 @@ Ties are broken by (src_id, pos); equal strings share a bucket unless ``tie_brea
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -246,8 +248,59 @@ def to_lanes(rows: DataFrame, lanes: int, target: str) -> DataFrame:
     return numbered(rows.repartitionById(lanes, F.col(target)))
 
 
-def level_merge_sort(rows: DataFrame, plan: LevelPlan, sampling: str = DEFAULTS["sampling"], v: int = DEFAULTS["v"], assign: str = DEFAULTS["assign"], tie_break: bool = False) -> Sorted:
-    """Sort (src_id, pos, s) over the plan's levels, one full exchange per level.
+def _shared(a: str, b: str) -> int:
+    """Common prefix of two Python strings, compared in doubling slices."""
+    n, at, step = min(len(a), len(b)), 0, 16
+    while at < n and a[at : at + step] == b[at : at + step]:
+        at, step = min(n, at + step), 2 * step
+    while at < n and step > 1:
+        step //= 2
+        if a[at : at + step] == b[at : at + step]:
+            at = min(n, at + step)
+    return at
+
+
+def _encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """s -> (seq, h, tail): what the string before it on the way to the same target does not share."""
+    target, last, seq = None, "", 0
+    for b in batches:
+        hs, tails, seqs = [], [], []
+        for to, s in zip(b.column("target").to_pylist(), b.column("s").to_pylist(), strict=True):
+            h = _shared(last, s) if to == target else 0
+            hs.append(h)
+            tails.append(s[h:])
+            seqs.append(seq)
+            target, last, seq = to, s, seq + 1
+        rest = [c for c in b.schema.names if c != "s"]
+        yield pa.RecordBatch.from_arrays([*(b.column(c) for c in rest), pa.array(seqs, pa.int64()), pa.array(hs, pa.int32()), pa.array(tails, pa.string())], [*rest, "seq", "h", "tail"])
+
+
+def _decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    way, last = None, ""
+    for b in batches:
+        out = []
+        for to, sender, h, tail in zip(*(b.column(c).to_pylist() for c in ("target", "sender", "h", "tail")), strict=True):
+            last = (last[:h] if (to, sender) == way else "") + tail
+            way = (to, sender)
+            out.append(last)
+        rest = [c for c in b.schema.names if c not in ("seq", "tail")]
+        yield pa.RecordBatch.from_arrays([*(b.column(c) for c in rest), pa.array(out, pa.string())], [*rest, "s"])
+
+
+def front_coded_lanes(sent: DataFrame, lanes: int) -> DataFrame:
+    """``to_lanes`` with front coding: tails and common prefix lengths travel, strings are restored on arrival.
+
+    A partition of ``sent`` is one sender; h is kept, so the volume that travelled can be summed.
+    """
+    plain = "grp int, sender int, bucket int, target int, src_id bigint, pos int"
+    ordered = sent.select("grp", "sender", "bucket", "target", "src_id", "pos", "s").sortWithinPartitions("target", *ORDER)
+    coded = ordered.mapInArrow(_encode, f"{plain}, seq bigint, h int, tail string")
+    arrived = coded.repartitionById(lanes, F.col("target")).sortWithinPartitions("target", "sender", "seq")
+    return numbered(arrived.mapInArrow(_decode, f"{plain}, h int, s string"))
+
+
+def level_merge_sort(rows: DataFrame, plan: LevelPlan, sampling: str = DEFAULTS["sampling"], v: int = DEFAULTS["v"], assign: str = DEFAULTS["assign"], tie_break: bool = False, compress: bool = DEFAULTS["compress"]) -> Sorted:
+    """Sort (src_id, pos, s) over the plan's levels, one full exchange per level, front-coded with ``compress``.
 
     Rows with a ``lane`` are first brought to that lane; rows without are sampled and routed from where they lie.
     """
@@ -278,8 +331,9 @@ def level_merge_sort(rows: DataFrame, plan: LevelPlan, sampling: str = DEFAULTS[
             ranges = assign_prefix(pieces, p1, r, "n" if by == "strings" else "chars") if assign.startswith("prefix") else assign_bounded(pieces, p1, r, by)
             routed = route(bucketed, ranges, by, plan.lanes * (r + p2))
         sent = routed.select("grp", F.col("lane").alias("sender"), "bucket", "target", "src_id", "pos", "s")
-        moved = cut(to_lanes(sent, plan.lanes, "target"))
-        out.moves.append(moved.groupBy("grp", F.col("sender").alias("lane"), "bucket", "target").agg(F.count("*").alias("n"), F.sum(F.length("s")).alias("chars")))
+        moved = cut(front_coded_lanes(sent, plan.lanes) if compress else to_lanes(sent, plan.lanes, "target"))
+        volume = [F.count("*").alias("n"), F.sum(F.length("s")).alias("chars")] + ([F.sum(F.length("s") - F.col("h")).alias("coded")] if compress else [])
+        out.moves.append(moved.groupBy("grp", F.col("sender").alias("lane"), "bucket", "target").agg(*volume))
         out.samples.append(samples)
         out.cuts.append(cuts)
         out.states.append(state)

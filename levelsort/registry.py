@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 Query = Callable[[SparkSession, str], DataFrame]
-MODULES: list[str] = ["catalog.sorting", "catalog.measures", "catalog.relational"]
+MODULES: list[str] = ["catalog.sorting", "catalog.measures", "catalog.volumes", "catalog.relational"]
 _QUERIES: dict[str, Query] = {}
 _ORACLES: dict[str, str] = {}
 
