@@ -35,7 +35,7 @@ class Bucketed:
         self.spark, self.name = df.sparkSession, f"levelsort_{uuid.uuid4().hex}"
         path = f"{shared_dir(self.spark)}/{self.name}"
         dealt = df.repartition(buckets, *keys)
-        dealt.write.format("parquet").bucketBy(buckets, *keys).sortBy(*keys).option("path", path).saveAsTable(self.name)
+        dealt.write.format("parquet").bucketBy(buckets, *keys).option("path", path).saveAsTable(self.name)
         jvm = self.spark._jvm
         self._path = jvm.org.apache.hadoop.fs.Path(path)
         self._fs = self._path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
