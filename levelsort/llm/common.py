@@ -59,6 +59,16 @@ def small(df: DataFrame, rows: int, bound: int) -> DataFrame:
     return F.broadcast(df) if rows <= bound else df
 
 
+def largest(hot: DataFrame, size: str, bound: int) -> DataFrame:
+    """Rows of a written table ``hot`` with the largest ``size``, fewer than ``bound``, broadcast.
+
+    Where it holds more, those above the total over ``bound`` stay (there cannot be ``bound`` of them); a key left out has
+    less than that share of all rows and needs no splitting.
+    """
+    n, total = hot.agg(F.count("*"), F.sum(size)).first()
+    return F.broadcast(hot if n < bound else hot.where(F.col(size) > F.lit(total) / bound))
+
+
 HOT_ROWS = 2000
 
 
@@ -67,11 +77,10 @@ def spread_join(left: DataFrame, right: DataFrame, keys: list[str], by: str, siz
 
     Keys of more than ``hot_rows`` rows are dealt by ``by`` over one salt per ``hot_rows`` rows, the right row being repeated.
     """
-    hot = Stage(sizes.where(F.col("m") > hot_rows).select(*keys, F.ceil(F.col("m") / hot_rows).cast("int").alias("salts")), "hot-keys")
-    n_hot = hot.df.count()
-    if n_hot == 0:
+    hot = Stage(sizes.where(F.col("m") > hot_rows).select(*keys, "m", F.ceil(F.col("m") / hot_rows).cast("int").alias("salts")), "hot-keys")
+    if hot.df.isEmpty():
         return left.join(right, keys, how)
-    salts = small(hot.df, n_hot, bound)
+    salts = largest(hot.df, "m", bound).drop("m")
     dealt = left.join(salts, keys, "left").withColumn("salt", F.coalesce(F.pmod(F.xxhash64(by), F.col("salts")).cast("int"), F.lit(0))).drop("salts")
     spread = right.join(salts, keys, "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce(F.col("salts") - 1, F.lit(0))))).drop("salts")
     return dealt.join(spread, [*keys, "salt"], how).drop("salt")

@@ -2,8 +2,8 @@
 
 Copies are merged inside each task first (map-side combine), then per (digest, salt), then across the salts
 of a digest. Every merge groups by the full normalised content, so equal digests alone never merge two texts.
-Only digests with more rows than ``hot_rows`` are salted, with one salt per ``hot_rows`` rows; their number is
-at most rows / hot_rows and is checked before it is broadcast.
+Only digests with more rows than ``hot_rows`` are salted, with one salt per ``hot_rows`` rows; the table of them that
+is broadcast stays under ``BROADCAST_ROWS`` rows: of more, those with the largest groups are salted.
 
 Defined results: null text counts as empty; a null doc_id is a row like any other and loses ties; repeated
 rows (same doc_id and text) are all listed, exactly one of them is kept; an empty table gives no rows; other
@@ -17,7 +17,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from levelsort.llm.common import SPACE_CLASS, Stage, fresh, small
+from levelsort.llm.common import SPACE_CLASS, Stage, fresh, largest
 
 BROADCAST_ROWS = 200_000
 
@@ -41,11 +41,11 @@ def copy_classes(
     rows = docs.select(F.col(id_col).alias("doc_id"), normalised(F.col(text_col)).alias("norm"))
     ids = Stage(rows.select("doc_id", digest(F.col("norm")).alias("digest"), F.unhex(F.sha2("norm", 256)).alias("sha")), "digests")
     counts = ids.df.groupBy("digest").agg(F.count("*").alias("n")).where(F.col("n") > hot_rows)
-    hot = Stage(counts.select("digest", F.ceil(F.col("n") / hot_rows).cast("int").alias("salts")), "hot-digests")
-    n_hot = hot.df.count()
+    hot = Stage(counts.select("digest", "n", F.ceil(F.col("n") / hot_rows).cast("int").alias("salts")), "hot-digests")
+    salts = largest(hot.df, "n", BROADCAST_ROWS).drop("n")
 
     def salted(df: DataFrame) -> DataFrame:
-        with_hot = df.join(small(hot.df, n_hot, BROADCAST_ROWS), "digest", "left")
+        with_hot = df.join(salts, "digest", "left")
         salt = F.when(F.col("salts").isNull(), F.lit(0)).otherwise(F.pmod(F.xxhash64("doc_id"), F.col("salts")).cast("int"))
         return with_hot.withColumn("salt", salt)
 

@@ -30,6 +30,16 @@ def test_equal_digests_do_not_merge_texts(spark):
         assert {(r["doc_id"], r["keep_id"]) for r in out.collect()} == {(1, 1), (2, 1), (None, 1), (3, 3), (4, 3), (5, 5), (6, 6), (7, 7)}
 
 
+def test_broadcast_of_hot_digests_is_bounded(spark, monkeypatch):
+    monkeypatch.setattr(exact_dedup, "BROADCAST_ROWS", 2)
+    rows = [(i, f"copy {i % 7 if i < 40 else 0}") for i in range(90)]
+    out = {r["doc_id"]: (r["keep_id"], r["group_size"]) for r in exact_dedup.copy_classes(frame(spark, rows), hot_rows=2).collect()}
+    groups = {}
+    for i, text in rows:
+        groups.setdefault(text, []).append(i)
+    assert out == {i: (min(groups[t]), len(groups[t])) for i, t in rows}
+
+
 def near_brute(rows):
     sets = {i: set(ngram_join.shingle_hashes(t).tolist()) for i, t in rows}
     up = {i: i for i in sets}
