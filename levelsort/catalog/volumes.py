@@ -2,16 +2,21 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from levelsort.catalog.sorting import _DIST, PLANS, P, _placed_run, lcp_table_sql, level_one_sql, levels_sql, ranked_sql
+from levelsort.catalog.sorting import _DIST, PLANS, P, _docs, _placed_run, _suffix_sql, lcp_table_sql, level_one_sql, levels_sql, ranked_sql
 from levelsort.functions.text import lcp_sql, register
-from levelsort.operators import cost, lcp
+from levelsort.operators import cost, doubling, gridexchange, lcp
 from levelsort.operators import mergesort as ms
+from levelsort.plans.levels import plan_equal, plan_node_aligned
 from levelsort.registry import add
 from levelsort.sources.sinks import manifest
 from levelsort.sources.strings import SETS, string_set
+from levelsort.staging import cut, shared_dir
+from levelsort.streaming import events
 
 DN = ("dn000", "dn025", "dn050", "dn075", "dn100")
 
@@ -113,3 +118,72 @@ def map_counts(spark, d):
 
 
 add("fn_map_counts", map_counts, "SELECT user_id, count(*) FILTER (event_type = 'view') AS views, count(*) FILTER (event_type = 'click') AS clicks FROM events GROUP BY user_id")
+
+
+# --- other ways through a level: samples sorted by hypercube, exchange over a grid, node-aligned levels --------------
+add("lms2_lines_hypercube_samples", lambda spark, d: ms.level_merge_sort(string_set(spark, d, "lines"), PLANS[2], sample_sort="hypercube").ranked(), ranked_sql("lines"))
+for _i in (1, 2):
+    add(f"splitters_hypercube_l{_i}_lines", lambda spark, d, i=_i: _placed_run(spark, d, "lines", 2, sample_sort="hypercube").cuts[i - 1].select("grp", F.col("j").cast("int").alias("j"), "s"),
+        levels_sql("lines", PLANS[2].factors) + f"SELECT CAST(grp AS INT) AS grp, j, s FROM f{_i}")
+for _h in (2, 3):
+    add(f"lms1_lines_grid_{_h}_hops", lambda spark, d, h=_h: ms.level_merge_sort(string_set(spark, d, "lines"), PLANS[1], hops=h).ranked(), ranked_sql("lines"))
+
+
+def hop_volumes_sql(name: str, factors: tuple[int, ...]) -> str:
+    """Volumes per hop and line of the grid: before hop i the first digits are the target's, the rest the sender's."""
+    parts = []
+    for i in range(len(factors)):
+        at = []
+        for done in (i, i + 1):
+            tail = 1
+            for f in factors[done:]:
+                tail *= f
+            at.append(f"CAST(target // {tail} * {tail} + lane % {tail} AS INT)")
+        parts.append(f"SELECT CAST({i + 1} AS INT) AS hop, {at[0]} AS src, {at[1]} AS dst, CAST(sum(n) AS BIGINT) AS n, CAST(sum(chars) AS BIGINT) AS chars FROM grid GROUP BY ALL")
+    return level_one_sql(name, P) + " UNION ALL ".join(parts)
+
+
+for _h in (2, 3):
+    add(f"grid_exchange_volume_{_h}", lambda spark, d, h=_h: gridexchange.hop_volumes(_placed_run(spark, d, "lines", 1, hops=h).hops[0]), hop_volumes_sql("lines", plan_equal(P, _h).factors))
+for _name, _plan in {"12_lanes": plan_node_aligned(12, 2, 2), "192_lanes": plan_node_aligned(192, 3, 48)}.items():
+    add(f"lms_node_aligned_{_name}", lambda spark, d, p=_plan: ms.level_merge_sort(string_set(spark, d, "url"), p).ranked(), ranked_sql("url"))
+
+# --- strong scaling: one set, more lanes ----------------------------------------------------------------------------
+SCALING = [(p, k) for p in (4, 8, 16, 32) for k in (1, 2)]
+
+
+def strong_scaling(spark, d, name: str):
+    """p, k, level, messages, max_messages_per_lane, chars_total, chars_max_lane of level sorts of one set on more and more lanes."""
+    rows, parts = cut(string_set(spark, d, name)), []
+    for p, k in SCALING:
+        run = ms.level_merge_sort(ms.place_blocks(rows, p), plan_equal(p, k))
+        parts.append(cost.messages(run.moves).select(F.lit(p).alias("p"), F.lit(k).alias("k"), "level", "messages", "max_messages_per_lane", "chars_total", "chars_max_lane"))
+    return stacked(parts)
+
+
+def strong_scaling_sql(name: str) -> str:
+    parts = []
+    for p, k in SCALING:
+        level = """SELECT CAST({1} AS INT) AS p, CAST({2} AS INT) AS k, CAST({0} AS INT) AS level, count(*) AS messages, (SELECT max(c) FROM (SELECT count(DISTINCT target) AS c FROM grid{0} GROUP BY lane)) AS max_messages_per_lane,
+            CAST(sum(chars) AS BIGINT) AS chars_total, CAST((SELECT max(c) FROM (SELECT sum(chars) AS c FROM grid{0} GROUP BY target)) AS BIGINT) AS chars_max_lane FROM (SELECT lane, target, sum(chars) AS chars FROM grid{0} GROUP BY ALL)"""
+        parts.append("SELECT * FROM (" + levels_sql(name, plan_equal(p, k).factors, p) + " UNION ALL ".join(level.format(i, p, k) for i in range(1, k + 1)) + ")")
+    return " UNION ALL ".join(parts)
+
+
+for _n in ("url", "plain"):
+    add(f"strong_scaling_{_n}", lambda spark, d, n=_n: strong_scaling(spark, d, n), strong_scaling_sql(_n))
+
+# --- suffixes ordered without making them, runs of a stream ---------------------------------------------------------
+add("suffix_ranks_benchmark", lambda spark, d: doubling.suffix_ranks(_docs(spark, d)), f"SELECT row_number() OVER (ORDER BY s, src_id, pos) AS rank, src_id, pos FROM ({_suffix_sql})")
+
+
+def stream_runs(spark, d):
+    """URLs read as a stream, sorted run by run, the runs merged."""
+    where = f"{shared_dir(spark)}/runs-{uuid.uuid4().hex}"
+    pages = spark.read.parquet(f"{d}/pages.parquet").schema
+    urls = spark.readStream.schema(pages).parquet(f"{d}/pages.parque[t]").select(F.col("page_id").alias("src_id"), F.lit(0).alias("pos"), F.col("url").alias("s"))
+    events.sorted_runs(urls, f"{where}/runs", f"{where}/progress").awaitTermination()
+    return events.merged_runs(spark, f"{where}/runs")
+
+
+add("stream_runs_twin", stream_runs, ranked_sql("url"))

@@ -20,26 +20,26 @@ def fold_hash(lanes: int) -> Column:
     return F.pmod(h, F.lit(1 << d)).cast("int")
 
 
-def hypercube_round(state: DataFrame, bit: int, lanes: int) -> DataFrame:
+def hypercube_round(state: DataFrame, bit: int, lanes: int, keys: tuple[str, ...] = ORDER) -> DataFrame:
     """One split across a dimension: the pivot of a sub-cube is the lower median of its lanes' lower medians."""
     cube = F.shiftright("lane", bit + 1).alias("cube")
-    lane = W.partitionBy("lane").orderBy(*ORDER)
+    lane = W.partitionBy("lane").orderBy(*keys)
     mid = state.withColumn("r", F.row_number().over(lane)).withColumn("n", F.count("*").over(W.partitionBy("lane"))).where(F.col("r") == F.floor((F.col("n") + 1) / 2))
     c = W.partitionBy("cube")
-    medians = mid.select(cube, *ORDER)
-    pivots = medians.withColumn("r", F.row_number().over(c.orderBy(*ORDER))).withColumn("n", F.count("*").over(c)).where(F.col("r") == F.floor((F.col("n") + 1) / 2)).select("cube", F.struct(*ORDER).alias("pivot"))
-    above = (F.struct(*ORDER) > F.col("pivot")).cast("int")
+    medians = mid.select(cube, *keys)
+    pivots = medians.withColumn("r", F.row_number().over(c.orderBy(*keys))).withColumn("n", F.count("*").over(c)).where(F.col("r") == F.floor((F.col("n") + 1) / 2)).select("cube", F.struct(*keys).alias("pivot"))
+    above = (F.struct(*keys) > F.col("pivot")).cast("int")
     base = F.col("lane").bitwiseAND(F.lit((lanes - 1) ^ (1 << bit)))
     return state.withColumn("cube", F.shiftright("lane", bit + 1)).join(F.broadcast(pivots), "cube").withColumn("lane", (base + above * (1 << bit)).cast("int")).drop("cube", "pivot")
 
 
-def hypercube_moves(s: DataFrame, p: int) -> Iterator[DataFrame]:
-    """State after each of the d rounds: run (the lane a string came from), lane, src_id, pos, s."""
+def hypercube_moves(s: DataFrame, p: int, keys: tuple[str, ...] = ORDER) -> Iterator[DataFrame]:
+    """State after each of the d rounds: run (the lane a row came from), lane, and the columns of ``s``."""
     d = p.bit_length() - 1
-    state = s.select(fold_hash(p).alias("lane"), "src_id", "pos", "s")
+    state = s.select(fold_hash(p).alias("lane"), *s.columns)
     for bit in reversed(range(d)):
-        split = hypercube_round(state.withColumn("run", F.col("lane")), bit, 1 << d)
-        moved = cut(split.select("run", "lane", "src_id", "pos", "s").repartitionById(1 << d, F.col("lane")))
+        split = hypercube_round(state.withColumn("run", F.col("lane")), bit, 1 << d, keys)
+        moved = cut(split.select("run", "lane", *s.columns).repartitionById(1 << d, F.col("lane")))
         yield moved
         state = moved.drop("run")
 
@@ -49,7 +49,7 @@ def hypercube_sort(s: DataFrame, p: int, with_lcp: bool = False) -> DataFrame:
     runs that meet in a lane, otherwise lanes are sorted."""
     if p < 2:
         return global_rank(s.select(F.lit(0).alias("lane"), "src_id", "pos", "s"))
-    *_, last = hypercube_moves(s, p)
+    *_, last = hypercube_moves(s.select("src_id", "pos", "s"), p)
     if not with_lcp:
         return global_rank(last.drop("run"))
     before = F.coalesce(F.sum("n").over(W.orderBy("lane").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
@@ -61,7 +61,7 @@ def hypercube_sort(s: DataFrame, p: int, with_lcp: bool = False) -> DataFrame:
 def hypercube_merge_work(s: DataFrame, p: int) -> DataFrame:
     """round, with_lcp, plain: characters that merging looks at in each round, summed over the lanes."""
     out = None
-    for i, moved in enumerate(hypercube_moves(s, p), 1):
+    for i, moved in enumerate(hypercube_moves(s.select("src_id", "pos", "s"), p), 1):
         total = lambda kind: merge_lanes(moved, kind).groupBy("lane").agg(F.max("looked").alias("x")).agg(F.sum("x").alias("with_lcp" if kind else "plain"))  # noqa: E731, B023
         one = total(True).crossJoin(total(False)).select(F.lit(i).alias("round"), "with_lcp", "plain")
         out = one if out is None else out.unionByName(one)

@@ -10,7 +10,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from levelsort.functions.text import FINGERPRINT_SPACE, fingerprint, lcp
-from levelsort.operators.mergesort import Sorted, level_merge_sort
+from levelsort.operators.mergesort import Sorted, dense_index, level_merge_sort
 from levelsort.plans.levels import LevelPlan
 from levelsort.staging import Bucketed, cut
 
@@ -194,3 +194,28 @@ def windows(docs: DataFrame, width: int, key: str = "text", id_col: str = "item_
     """All substrings of one width."""
     long = docs.where(F.length(key) >= width)
     return long.select(F.col(id_col).cast("bigint").alias("src_id"), F.posexplode(F.sequence(F.lit(1), F.length(key) - (width - 1))).alias("pos", "at"), F.col(key).alias("_t")).select("src_id", "pos", F.expr(f"substring(_t, at, {width})").alias("s"))
+
+
+def suffix_ranks(docs: DataFrame, key: str = "text", id_col: str = "item_id") -> DataFrame:
+    """rank, src_id, pos of all suffixes in order, without making any: places are ordered by 1, 2, 4, ... characters.
+
+    Every place carries the class of its next ``step`` characters; with the class ``step`` places further on it makes that
+    of twice as many, numbered over the distinct pairs. A round moves places and numbers, never text. It ends when
+    every place is a class of its own or no class was split (equal suffixes: ties go by locator).
+    """
+    text = docs.select(F.col(id_col).cast("bigint").alias("src_id"), F.posexplode(F.regexp_extract_all(key, F.lit("(?s)."), F.lit(0))).alias("pos", "c"))
+    state = cut(text.select("src_id", "pos", F.ascii("c").cast("bigint").alias("cls")))
+    n, classes, step = state.count(), 0, 1
+    while n:
+        after = state.select("src_id", (F.col("pos") - step).alias("pos"), F.col("cls").alias("nxt")).where("pos >= 0")
+        pairs = cut(state.join(after, ["src_id", "pos"], "left").select("src_id", "pos", "cls", F.coalesce("nxt", F.lit(-1)).alias("nxt")))
+        numbers = cut(dense_index(pairs.select("cls", "nxt").distinct(), ["cls", "nxt"]))
+        found = numbers.count()
+        if found == classes:
+            break
+        state = cut(pairs.join(numbers, ["cls", "nxt"]).select("src_id", "pos", F.col("idx").cast("bigint").alias("cls")))
+        classes, step = found, 2 * step
+        if classes == n:
+            break
+    placed = dense_index(state, ["cls", "src_id", "pos"])
+    return placed.select((F.col("idx") + 1).cast("bigint").alias("rank"), "src_id", "pos")

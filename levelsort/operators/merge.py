@@ -7,6 +7,8 @@ the measure of the merging work itself.
 from __future__ import annotations
 
 import heapq
+from collections.abc import Iterator
+from itertools import pairwise
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -21,41 +23,68 @@ def _compare(a: str, b: str, skip: int) -> tuple[int, int]:
     return i, i - skip + 1
 
 
-def merge_with_lcp(runs: list[list[tuple]]) -> tuple[list[tuple], list[int], int]:
-    """Merge runs of (s, src_id, pos): rows, LCP with the row before, characters looked at.
+class LoserTree:
+    """Tournament over sorted runs of (s, src_id, pos): inner nodes keep the loser of their game and its LCP.
 
-    Every head keeps its LCP with the last output; a head with a longer one is smaller, so characters are compared
-    only between heads with equal LCPs, and only beyond it.
+    The LCP of a waiting head is the one with the row put out last, so a game is decided by the longer LCP, and
+    characters are compared only between heads with equal ones, and only beyond it. A row costs one game per tree level.
     """
-    heads = [[r[0], 0, i, 0] for i, r in enumerate(runs) if r]
-    out, lcps, looked = [], [], 0
-    while heads:
-        best, beaten = heads[0], []  # beaten: head, its LCP with the best one so far
-        for h in heads[1:]:
-            if h[1] != best[1]:
-                n, wins = min(h[1], best[1]), h[1] > best[1]
-            else:
-                n, k = _compare(h[0][0], best[0][0], h[1])
-                looked += k
-                wins = (h[0][0][n:], *h[0][1:]) < (best[0][0][n:], *best[0][1:])
-            if wins:
-                for x in beaten:
-                    x[1] = min(x[1], n)
-                beaten.append([best, n])
-                best = h
-            else:
-                beaten.append([h, n])
-        out.append(best[0])
-        lcps.append(best[1])
-        for h, n in beaten:
-            h[1] = n
-        run, at = runs[best[2]], best[3] + 1
-        if at < len(run):
-            n, _ = _compare(run[at][0], best[0][0], 0)  # stands for the run's own LCP array: not counted
-            best[0], best[1], best[3] = run[at], n, at
-        else:
-            heads.remove(best)
-    return out, lcps, looked
+
+    def __init__(self, runs: list[list[tuple]]):
+        self.runs = runs
+        self.shared = [run_lcps(r) for r in runs]
+        self.at = [0] * len(runs)
+        self.leaves = 1 << max(0, len(runs) - 1).bit_length()
+        self.lost: list[tuple[int, int]] = [(-1, 0)] * self.leaves
+        self.looked = 0
+        self.best = self._play(1)
+
+    def _play(self, node: int) -> tuple[int, int]:
+        """(run, LCP) that wins the subtree; a run number beyond the last, or -1, stands for one that is used up."""
+        if node >= self.leaves:
+            run = node - self.leaves
+            return (run if run < len(self.runs) and self.runs[run] else -1), 0
+        win, self.lost[node] = self._game(self._play(2 * node), self._play(2 * node + 1))
+        return win
+
+    def _game(self, x: tuple[int, int], y: tuple[int, int]) -> tuple[tuple[int, int], tuple[int, int]]:
+        """Winner, and loser with its LCP with the winner."""
+        if x[0] < 0 or y[0] < 0:
+            return (y, x) if x[0] < 0 else (x, y)
+        if x[1] != y[1]:
+            return (x, y) if x[1] > y[1] else (y, x)
+        a, b = self.runs[x[0]][self.at[x[0]]], self.runs[y[0]][self.at[y[0]]]
+        h, seen = _compare(a[0], b[0], x[1])
+        self.looked += seen
+        if (a[0][h : h + 1], *a[1:]) <= (b[0][h : h + 1], *b[1:]):
+            return x, (y[0], h)
+        return y, (x[0], h)
+
+    def __iter__(self) -> Iterator[tuple[tuple, int]]:
+        while self.best[0] >= 0:
+            run, h = self.best
+            yield self.runs[run][self.at[run]], h
+            self.at[run] += 1
+            rest = self.at[run] < len(self.runs[run])
+            now = (run, self.shared[run][self.at[run]]) if rest else (-1, 0)
+            node = (run + self.leaves) // 2
+            while node:
+                now, self.lost[node] = self._game(now, self.lost[node])
+                node //= 2
+            self.best = now
+
+
+def run_lcps(run: list[tuple]) -> list[int]:
+    """LCP of every row of a sorted run with the row before it, 0 for the first."""
+    return [0] + [_compare(a[0], b[0], 0)[0] for a, b in pairwise(run)]
+
+
+def merge_with_lcp(runs: list[list[tuple]]) -> tuple[list[tuple], list[int], int]:
+    """Merge runs of (s, src_id, pos): rows, LCP with the row before, characters looked at (those of the runs' own LCPs,
+    which a sorter hands over with its run, are not counted)."""
+    tree = LoserTree([r for r in runs if r])
+    rows = list(tree)
+    return [r for r, _ in rows], [h for _, h in rows], tree.looked
 
 
 def merge_plain(runs: list[list[tuple]]) -> tuple[list[tuple], int]:

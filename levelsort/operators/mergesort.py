@@ -18,7 +18,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from levelsort.plans.levels import DEFAULTS, LevelPlan
+from levelsort.operators.gridexchange import grid_exchange
+from levelsort.plans.levels import DEFAULTS, LevelPlan, plan_equal
 from levelsort.staging import cut
 
 ORDER = ("s", "src_id", "pos")
@@ -108,14 +109,36 @@ def draw_samples(state: DataFrame, p1: int, v: int, by: str = "strings", placed:
 
 def splitters(samples: DataFrame, r: int) -> DataFrame:
     """grp, j, s, src_id, pos: r-1 splitters per group, by index arithmetic over multiplicities."""
-    g = W.partitionBy("grp").orderBy(*ORDER)
-    v = samples.withColumn("stop", F.sum("mult").over(g)).withColumn("start", F.col("stop") - F.col("mult")).withColumn("size", F.sum("mult").over(W.partitionBy("grp")))
+    g = W.partitionBy("grp")
+    return splitters_at(samples.withColumn("stop", F.sum("mult").over(g.orderBy(*ORDER))).withColumn("size", F.sum("mult").over(g)), r)
+
+
+def splitters_at(v: DataFrame, r: int) -> DataFrame:
+    """Splitters of samples that carry ``size``, the samples of their group, and ``stop``, those up to and with them in order."""
+    v = v.withColumn("start", F.col("stop") - F.col("mult"))
     js = F.explode(F.sequence(F.lit(1), F.lit(r - 1))) if r > 1 else F.explode(F.array().cast("array<int>"))
     j = v.select("grp", *ORDER, "start", "stop", "size", js.alias("j"))
     at = F.greatest(F.lit(0), F.floor(F.col("j") * F.col("size") / r) - 1)
     return j.where((at >= F.col("start")) & (at < F.col("stop"))).select("grp", "j", *ORDER)
 
 
+def splitters_by_hypercube(samples: DataFrame, r: int, lanes: int) -> DataFrame:
+    """The same with samples sorted by hypercube quicksort: no task holds more than a lane's share of them."""
+    from levelsort.operators.baselines import hypercube_moves
+
+    keys = ("grp", *ORDER)
+    last = samples.select(*keys, "mult")
+    for moved in hypercube_moves(last, lanes, keys):
+        last = moved
+    rows = (last if "lane" in last.columns else last.withColumn("lane", F.lit(0))).select("lane", *keys, "mult")
+    sums = rows.groupBy("grp", "lane").agg(F.sum("mult").alias("m"))  # a row per group and lane that it reaches into
+    g = W.partitionBy("grp")
+    before = F.coalesce(F.sum("m").over(g.orderBy("lane").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    placed = rows.join(F.broadcast(sums.select("grp", "lane", before.alias("before"), F.sum("m").over(g).alias("size"))), ["grp", "lane"])
+    own = F.sum("mult").over(W.partitionBy("lane", "grp").orderBy(*ORDER))
+    return splitters_at(placed.withColumn("stop", F.col("before") + own), r)
+
+
 def truncate_splitters(f: DataFrame) -> DataFrame:
     """Splitters cut to what tells them apart from their neighbours (equal ones stay whole)."""
     from levelsort.functions.text import lcp
@@ -230,13 +253,14 @@ def route(bucketed: DataFrame, ranges: DataFrame, by: str = "strings", rows: int
 @dataclass
 class Sorted:
     """``rows``: (lane, lpos, src_id, pos, s), lanes in order; ``moves``: per level (grp, lane, bucket, target, n, chars);
-    ``states``: what each level started from."""
+    ``states``: what each level started from; ``hops``: per level and hop (src, dst, n, chars) of exchanges over a grid."""
 
     rows: DataFrame
     moves: list[DataFrame] = field(default_factory=list)
     samples: list[DataFrame] = field(default_factory=list)
     cuts: list[DataFrame] = field(default_factory=list)
     states: list[DataFrame] = field(default_factory=list)
+    hops: list[list[DataFrame]] = field(default_factory=list)
 
     def ranked(self) -> DataFrame:
         """rank (1-based), src_id, pos, s: rows of the lanes before, plus the place in the lane."""
@@ -299,9 +323,12 @@ def front_coded_lanes(sent: DataFrame, lanes: int) -> DataFrame:
     return numbered(arrived.mapInArrow(_decode, f"{plain}, h int, s string"))
 
 
-def level_merge_sort(rows: DataFrame, plan: LevelPlan, sampling: str = DEFAULTS["sampling"], v: int = DEFAULTS["v"], assign: str = DEFAULTS["assign"], tie_break: bool = False, compress: bool = DEFAULTS["compress"]) -> Sorted:
+def level_merge_sort(rows: DataFrame, plan: LevelPlan, sampling: str = DEFAULTS["sampling"], v: int = DEFAULTS["v"], assign: str = DEFAULTS["assign"], tie_break: bool = False, compress: bool = DEFAULTS["compress"], sample_sort: str = DEFAULTS["sample_sort"], hops: int = DEFAULTS["hops"]) -> Sorted:
     """Sort (src_id, pos, s) over the plan's levels, one full exchange per level, front-coded with ``compress``.
 
+    Samples are sorted by one window, or by hypercube quicksort over the lanes (``sample_sort="hypercube"``). With
+    ``hops`` > 1 an exchange goes over a grid of so many dimensions, each string moving once per dimension.
+
     Rows with a ``lane`` are first brought to that lane; rows without are sampled and routed from where they lie.
     """
     placed = "lane" in rows.columns
@@ -316,7 +343,7 @@ def level_merge_sort(rows: DataFrame, plan: LevelPlan, sampling: str = DEFAULTS[
     for level, (p1, r) in enumerate(zip(plan.group_sizes, plan.factors, strict=True)):
         p2 = p1 // r
         samples = draw_samples(state, p1, v, sampling, placed or level > 0)
-        cuts = cut(splitters(samples, r))
+        cuts = cut(splitters_by_hypercube(samples, r, plan.lanes) if sample_sort == "hypercube" else splitters(samples, r))
         fs = cuts
         if not tie_break and (cuts.agg(F.sum(F.length("s"))).first()[0] or 0) > SPLITTER_CHARS:
             fs = truncate_splitters(cuts)
@@ -331,6 +358,9 @@ def level_merge_sort(rows: DataFrame, plan: LevelPlan, sampling: str = DEFAULTS[
             ranges = assign_prefix(pieces, p1, r, "n" if by == "strings" else "chars") if assign.startswith("prefix") else assign_bounded(pieces, p1, r, by)
             routed = route(bucketed, ranges, by, plan.lanes * (r + p2))
         sent = routed.select("grp", F.col("lane").alias("sender"), "bucket", "target", "src_id", "pos", "s")
+        if hops > 1:
+            sent, way = grid_exchange(sent, plan_equal(plan.lanes, hops).factors)
+            out.hops.append(way)
         moved = cut(front_coded_lanes(sent, plan.lanes) if compress else to_lanes(sent, plan.lanes, "target"))
         volume = [F.count("*").alias("n"), F.sum(F.length("s")).alias("chars")] + ([F.sum(F.length("s") - F.col("h")).alias("coded")] if compress else [])
         out.moves.append(moved.groupBy("grp", F.col("sender").alias("lane"), "bucket", "target").agg(*volume))

@@ -62,5 +62,6 @@ def choose_levels(p: int, max_blocks: float = 5e8) -> int:
     return 4
 
 
-#: Defaults of every workload run: sampling by strings, oversampling v, splitter sort, assignment, front coding off.
-DEFAULTS = {"sampling": "strings", "v": 2, "assign": "grid", "compress": False}
+#: Defaults of every workload run: sampling by strings, oversampling v, assignment, front coding off, samples sorted by one
+#: window (p (v + 1) rows), one hop per exchange.
+DEFAULTS = {"sampling": "strings", "v": 2, "assign": "grid", "compress": False, "sample_sort": "window", "hops": 1}

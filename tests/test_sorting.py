@@ -2,7 +2,7 @@ import random
 
 import pytest
 
-from levelsort.operators import baselines, cost, doubling, lcp, merge
+from levelsort.operators import baselines, cost, doubling, gridexchange, lcp, merge
 from levelsort.operators import mergesort as ms
 from levelsort.functions import text
 from levelsort.plans.levels import LevelPlan, plan_equal, plan_node_aligned
@@ -44,7 +44,7 @@ def test_all_sorters_agree(spark, values, factors):
     assert ranks(baselines.hypercube_sort(s, plan.lanes)) == want
 
 
-@pytest.mark.parametrize("options", [{"sampling": "chars"}, {"assign": "bounded_chars"}, {"assign": "prefix_strings"}, {"tie_break": True}, {"v": 16}])
+@pytest.mark.parametrize("options", [{"sampling": "chars"}, {"assign": "bounded_chars"}, {"assign": "prefix_strings"}, {"tie_break": True}, {"v": 16}, {"sample_sort": "hypercube"}, {"hops": 3}])
 def test_options_do_not_change_the_order(spark, options):
     rnd = random.Random(3)
     values = ["".join(rnd.choice("ab") for _ in range(rnd.randint(1, 12))) for _ in range(300)]
@@ -82,6 +82,31 @@ def test_merge_kernels():
     assert looked < looked_plain
 
 
+def test_loser_tree_on_odd_numbers_of_runs():
+    for seed in range(60):
+        rnd = random.Random(seed)
+        k = rnd.randint(1, 9)
+        rows = [("".join(rnd.choice("ab") for _ in range(rnd.randint(0, 7))), i, 0) for i in range(rnd.randint(0, 60))]
+        runs = [sorted(rows[j::k]) for j in range(k)]
+        assert merge.merge_with_lcp(runs)[0] == merge.merge_plain(runs)[0] == sorted(rows)
+
+
+@pytest.mark.parametrize("texts", [["banana", "é😀a\né", "banana", "", None, "aaaaaaaaa"], ["x"], [None, ""]])
+def test_suffix_ranks_equal_sorted_suffixes(spark, texts):
+    docs = spark.createDataFrame(list(enumerate(texts)), "item_id bigint, text string")
+    want = sorted((t[i:].encode(), d, i) for d, t in enumerate(texts) if t for i in range(len(t)))
+    got = sorted(map(tuple, doubling.suffix_ranks(docs).collect()))
+    assert got == [(r, d, i) for r, (_, d, i) in enumerate(want, 1)]
+
+
+def test_grid_exchange_arrives_and_stays_on_lines(spark):
+    rows = spark.range(600).selectExpr("cast(id % 12 AS int) AS sender", "cast(id * 7 % 12 AS int) AS target", "cast(id AS string) AS s")
+    out, hops = gridexchange.grid_exchange(rows, (3, 4))
+    assert out.where(ms.F.spark_partition_id() != ms.F.col("target")).isEmpty() and out.count() == 600
+    for h, same in zip(hops, (lambda x: x % 4, lambda x: x // 4), strict=True):
+        assert all(same(r["src"]) == same(r["dst"]) for r in h.collect())
+
+
 def test_front_coding_round_trip(spark):
     placed = ms.place_hash(strings(spark, EDGE + TOY), 3)
     back = lcp.front_decode(lcp.front_encode(placed))
