@@ -5,7 +5,7 @@ import duckdb
 import pytest
 
 SF = "/root/testdata/sf0.001"
-NAMES = ["cross_plan_grid", "fn_math_plan", "grid_hops", "plan_equal_grid"]
+NAMES = ["cross_plan_grid", "fn_math_plan", "grid_hops", "plan_equal_grid", "plan_node_aligned_grid"]
 
 
 @pytest.mark.parametrize("name", NAMES)
