@@ -5,7 +5,7 @@ import duckdb
 import pytest
 
 SF = "/root/testdata/sf0.001"
-NAMES = ["cross_plan_grid", "fn_math_plan", "grid_hops", "plan_equal_grid", "plan_node_aligned_grid", "sample_count_by_k"]
+NAMES = ["cross_plan_grid", "fn_math_plan", "grid_hops", "plan_equal_grid", "plan_node_aligned_grid", "sample_count_by_k", "sql_recursive_doubling"]
 
 
 @pytest.mark.parametrize("name", NAMES)
