@@ -306,11 +306,25 @@ def _labels(sets: Stage, percent: int) -> DataFrame:
     return once.join(second.df, "l1", "left").select("sid", F.coalesce("l2", "l1").alias("label"))
 
 
+def _alive(sets: DataFrame, labels: DataFrame, rounds: int) -> DataFrame:
+    """sid, h, df, kin: the tokens that sets of two clusters have, with document frequency and min-hash document.
+
+    Counted in disjoint rounds of tokens like the support: only the few that are alive outlast a round on the disks.
+    """
+    rows, found = sets.select("sid", "hashes").join(labels, "sid"), []
+    for part in range(rounds):
+        mine = F.filter("hashes", lambda h: F.pmod(h, F.lit(rounds)) == part) if rounds > 1 else F.col("hashes")  # noqa: B023
+        grams = rows.select("sid", "label", F.explode(mine).alias("h"))
+        seen = grams.groupBy("h").agg(F.count("*").alias("df"), F.min("label").alias("l0"), F.max("label").alias("l1"), F.min(F.xxhash64("sid")).alias("kin")).where("l0 < l1").select("h", "df", "kin")
+        found.append(Stage(grams.select("sid", "h").join(seen.hint("merge"), "h").select("sid", "h", "df", "kin"), "alive"))
+        del grams, seen
+        release(found[-1].spark)
+    return reduce(DataFrame.unionByName, [f.df for f in found])
+
+
 def _index(sets: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
     """sid, label, n, key, rare: live prefix tokens alone (rare ones) or in twos (frequent ones)."""
-    grams = sets.select("sid", "hashes").join(labels, "sid").select("sid", "label", F.explode("hashes").alias("h"))
-    seen = grams.groupBy("h").agg(F.count("*").alias("df"), F.min("label").alias("l0"), F.max("label").alias("l1"), F.min(F.xxhash64("sid")).alias("kin")).where("l0 < l1").select("h", "df", "kin")
-    alive = grams.select("sid", "h").join(seen.hint("merge"), "h").groupBy("sid").agg(F.array_sort(F.collect_list(F.struct("df", "h", "kin"))).alias("alive"))
+    alive = _alive(sets, labels, ROUNDS).groupBy("sid").agg(F.array_sort(F.collect_list(F.struct("df", "h", "kin"))).alias("alive"))
     sized = alive.join(sets.select("sid", F.size("hashes").alias("n")), "sid").join(labels, "sid")
     budget = F.col("n") - F.ceil(F.col("n") * percent / 100) + 2 - (F.col("n") - F.size("alive"))
     prefix = sized.withColumn("take", F.greatest(F.lit(0), F.least(budget, F.size("alive"))).cast("int")).where("take > 0").withColumn("alive", F.slice("alive", 1, F.col("take")))

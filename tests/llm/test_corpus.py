@@ -342,3 +342,14 @@ def test_random_strings_are_found_and_names_left(spark):
     recall = sum(found[i] > 0 for i in range(200)) / 200
     alarms = sum(found[1000 + i] > 0 for i in range(200)) / 200
     assert recall >= 0.95 and alarms <= 0.02, (recall, alarms)
+
+
+def test_index_tokens_counted_in_rounds_are_the_same(spark):
+    rng = random.Random(5)
+    rows = [(i, sorted({rng.randrange(300) for _ in range(40)})) for i in range(60)]
+    sets = spark.createDataFrame(rows, "sid long, hashes array<long>")
+    labels = spark.createDataFrame([(i, i // 2 * 2) for i, _ in rows], "sid long, label long")
+    got = [sorted(map(tuple, ngram_join._alive(sets, labels, r).select("sid", "h", "df").collect())) for r in (1, 3)]
+    docs = {h: [i for i, hs in rows if h in hs] for _, hs in rows for h in hs}
+    want = sorted((i, h, len(docs[h])) for i, hs in rows for h in hs if len({x // 2 for x in docs[h]}) > 1)
+    assert got == [want, want]
