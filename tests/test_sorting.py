@@ -200,3 +200,22 @@ def test_read_lines_and_keys(spark, tmp_path):
     df = spark.createDataFrame([(x,) for x in numbers], "x bigint")
     keys = [r["k"] for r in df.select("x", sources.as_key(df, ["x"]).alias("k")).orderBy("k").collect()]
     assert [r["x"] for r in df.select("x", sources.as_key(df, ["x"]).alias("k")).orderBy("k").collect()] == numbers and keys == sorted(keys)
+
+
+def _bytes(path) -> int:
+    return sum(f.stat().st_size for f in path.rglob("part-*"))
+
+
+def test_moves_alone_equal_those_of_the_sort_and_leave_no_strings(spark, tmp_path):
+    from pyspark.sql import functions as F
+
+    rows = spark.range(4000).select("id", F.lit(0).alias("pos"), F.concat(F.lit("same start "), F.md5(F.col("id").cast("string")).substr(1, 9)).alias("s")).withColumnRenamed("id", "src_id")
+    placed, plan = ms.place_blocks(rows, 8), LevelPlan(8, (2, 4))
+    for compress in (False, True):
+        whole = ms.level_merge_sort(placed, plan, compress=compress).moves
+        spark.sparkContext.setCheckpointDir(str(tmp_path / str(compress)))
+        alone = ms.level_moves(placed, plan, compress=compress)
+        for a, b in zip(whole, alone, strict=True):
+            assert sorted(map(tuple, a.select(*b.columns).collect())) == sorted(map(tuple, b.collect()))
+        assert 0 < _bytes(tmp_path / str(compress)) < 40_000  # one copy of the strings has over 80,000 characters
+    assert len(ms.level_moves(placed, plan, levels=1)) == 1
