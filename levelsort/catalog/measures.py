@@ -11,7 +11,7 @@ from levelsort.operators import mergesort as ms
 from levelsort.plans.levels import LevelPlan, plan_equal
 from levelsort.registry import add
 from levelsort.sources.strings import SETS, string_set
-from levelsort.staging import cut
+from levelsort.staging import cut, forget, scratch
 
 ALPHA, BETA = 1e-5, 1e-9
 
@@ -79,17 +79,19 @@ add("hc_merge_looked", lambda spark, d: baselines.hypercube_merge_work(string_se
 # --- grid of counters: how messages, volume and balance move with p, k and the method ------------------------------------
 def counters(spark, d, name: str = "lines", lanes: tuple[int, ...] = (16, 64)):
     """method, p, k, level, messages, max_messages_per_lane, chars_total, chars_max_lane, sample_strings."""
-    out = None
+    out, s = None, string_set(spark, d, name)
+    with scratch(spark):
+        prefixes = cut(doubling.prefixes(s), keep=True)
     for p in lanes:
-        s = cut(string_set(spark, d, name))
-        prefixes = cut(doubling.prefixes(s))
         for method, rows in (("lms", s), ("pds", prefixes)):
-            placed = cut(ms.place_blocks(rows, p))
+            with scratch(spark):
+                placed = cut(ms.place_blocks(rows, p), keep=True)
             for k in (1, 2, 3):
-                done = ms.level_merge_sort(placed, plan_equal(p, k))
                 drawn = sum(p1 * (V + 1) for p1 in plan_equal(p, k).group_sizes)
-                one = cost.messages(done.moves).select(F.lit(method).alias("method"), F.lit(p).alias("p"), F.lit(k).alias("k"), "level", "messages", "max_messages_per_lane", "chars_total", "chars_max_lane", F.lit(drawn).alias("sample_strings"))
+                one = cost.messages(ms.level_moves(placed, plan_equal(p, k))).select(F.lit(method).alias("method"), F.lit(p).alias("p"), F.lit(k).alias("k"), "level", "messages", "max_messages_per_lane", "chars_total", "chars_max_lane", F.lit(drawn).alias("sample_strings"))
                 out = one if out is None else out.unionByName(one)
+            forget(placed)
+    forget(prefixes)
     return out
 
 
