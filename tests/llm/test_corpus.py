@@ -353,3 +353,31 @@ def test_index_tokens_counted_in_rounds_are_the_same(spark):
     docs = {h: [i for i, hs in rows if h in hs] for _, hs in rows for h in hs}
     want = sorted((i, h, len(docs[h])) for i, hs in rows for h in hs if len({x // 2 for x in docs[h]}) > 1)
     assert got == [want, want]
+
+
+def test_tokens_move_once_and_are_judged_where_they_arrive(spark, tmp_path, monkeypatch):
+    """Counts against brute force; no round joins its tokens back, and one exchange carries them."""
+    from collections import Counter
+
+    rows = [(s, s if s % 3 else s - s % 2, h) for s in range(1, 40) for h in range(s % 5, 60, 1 + s % 7)]
+    plans, written = [], ngram_join.Stage
+    monkeypatch.setattr(ngram_join, "Stage", lambda df, label: plans.append(df._jdf.queryExecution().executedPlan().toString()) or written(df, label))
+    label = dict((s, m) for s, m, _ in rows)
+    under, freq = {}, Counter(h for _, _, h in rows)
+    for _, m, h in rows:
+        under.setdefault(h, set()).add(m)
+    tokens = spark.createDataFrame(rows, "sid long, mark long, h long")
+    got = {r.sid: r.hits for r in ngram_join._shared_hits(tokens, "sid", "t", 2).collect()}
+    assert got == Counter(s for s, _, h in rows if len(under[h]) > 1)
+
+    hashes = {}
+    for s, _, h in rows:
+        hashes.setdefault(s, []).append(h)
+    sets = spark.createDataFrame(list(hashes.items()), "sid long, hashes array<long>")
+    labels = spark.createDataFrame(list(label.items()), "sid long, label long")
+    alive = ngram_join._alive(sets, labels, 2).collect()
+    assert sorted((r.sid, r.h, r.df) for r in alive) == sorted((s, h, freq[h]) for s, _, h in rows if len(under[h]) > 1)
+    assert all(len({r.kin for r in alive if r.h == h}) == 1 for h in {r.h for r in alive})
+    assert len(plans) == 4
+    for p in plans:
+        assert p.count("hashpartitioning(h") == 1 and "Join" not in p.split("Window")[0], p
