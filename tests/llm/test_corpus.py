@@ -4,7 +4,7 @@ import zlib
 
 import pytest
 
-from levelsort.llm import chat, exact_dedup, licences, line_dedup, media, ngram_join, packing, queries, secrets, subword
+from levelsort.llm import chat, common, exact_dedup, licences, line_dedup, media, ngram_join, packing, queries, secrets, subword
 
 ODD = [(1, "a  b"), (2, "a b"), (3, None), (4, ""), (5, "x\ny\nx"), (5, "x\ny\nx"), (None, "a\tb"), (6, "word " * 3000), (7, "é € 😀")]
 
@@ -381,3 +381,61 @@ def test_tokens_move_once_and_are_judged_where_they_arrive(spark, tmp_path, monk
     assert len(plans) == 4
     for p in plans:
         assert p.count("hashpartitioning(h") == 1 and "Join" not in p.split("Window")[0], p
+
+
+def near_rows():
+    rnd, rows = random.Random(7), []
+    for g in range(12):
+        base = [f"g{g}w{i}" for i in range(60)]
+        for k in range(4):
+            w = list(base)
+            w[rnd.randrange(60)] = f"x{k}"
+            rows.append((len(rows), " ".join(w + [f"all{i}" for i in range(12)])))
+    return rows
+
+
+def test_sets_do_not_move_to_meet_their_labels_and_tables_are_dropped(spark, monkeypatch):
+    """Also without broadcasts: the rounds of index tokens read the label beside the set; little outlasts the call."""
+    import os
+
+    plans, paths = [], []
+
+    class Watched(common.Stage):
+        def __init__(self, df, label):
+            plans.append((label, df._jdf.queryExecution().executedPlan().toString()))
+            super().__init__(df, label)
+            paths.append((label, self.path.removeprefix("file:")))
+
+    for module in (common, ngram_join):
+        monkeypatch.setattr(module, "Stage", Watched)
+    monkeypatch.setattr(ngram_join, "BROADCAST_ROWS", 0)
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        rows = near_rows()
+        got = {(r["doc_id"], r["n_shingles"], r["component_id"]) for r in ngram_join.near_components(frame(spark, rows)).collect()}
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+    assert got == near_brute(rows)
+    rounds = [p for label, p in plans if label == "alive"]
+    assert len(rounds) == ngram_join.ROUNDS and not any("Join" in p for p in rounds), rounds
+    assert {label for label, p in paths if os.path.exists(p)} <= {"set-ids", "members", "hot-keys"}
+
+
+def test_settled_drops_what_was_written_on_the_way(spark):
+    import os
+
+    inner, outer = [], []
+
+    def make():
+        inner.append(common.Stage(spark.range(5), "t-in"))
+        return inner[0].df.selectExpr("id + 1 AS id")
+
+    def around():
+        outer.append(common.settled(make, "t-mid"))
+        return outer[0].df
+
+    out = common.settled(around, "t-out")
+    there = lambda s: os.path.exists(s.path.removeprefix("file:"))
+    assert sorted(r.id for r in out.df.collect()) == [1, 2, 3, 4, 5] and there(out)
+    assert not there(inner[0]) and not there(outer[0])
