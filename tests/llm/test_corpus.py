@@ -386,10 +386,10 @@ def test_tokens_move_once_and_are_judged_where_they_arrive(spark, tmp_path, monk
 def near_rows():
     rnd, rows = random.Random(7), []
     for g in range(12):
-        base = [f"g{g}w{i}" for i in range(60)]
+        base = [f"g{g}w{i}" for i in range(120)]
         for k in range(4):
             w = list(base)
-            w[rnd.randrange(60)] = f"x{k}"
+            w[rnd.randrange(120)] = f"x{k}"
             rows.append((len(rows), " ".join(w + [f"all{i}" for i in range(12)])))
     return rows
 
@@ -439,3 +439,20 @@ def test_settled_drops_what_was_written_on_the_way(spark):
     there = lambda s: os.path.exists(s.path.removeprefix("file:"))
     assert sorted(r.id for r in out.df.collect()) == [1, 2, 3, 4, 5] and there(out)
     assert not there(inner[0]) and not there(outer[0])
+
+
+def test_texts_do_not_move_to_lose_near_copies(spark, monkeypatch):
+    """Nulls, empty texts and an id with two texts stay as defined; up to the bound the texts are not shuffled."""
+    rows = [*near_rows()[:8], (None, "no id " * 9), (50, None), (51, ""), (60, "a b c d e f"), (61, "a b c d e f"), (61, "quite another text of more than five words")]
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        for bound in (500_000, 0):
+            monkeypatch.setattr(ngram_join, "BROADCAST_ROWS", bound)
+            out = ngram_join.keep_one_per_component(frame(spark, rows))
+            assert out.columns == ["doc_id", "text", "norm", "sid"]
+            assert bound == 0 or "SortMergeJoin" not in out._jdf.queryExecution().executedPlan().toString()
+            got = sorted(((r["doc_id"], r["text"]) for r in out.collect()), key=str)
+            assert got == sorted((r for r in rows if r[0] not in (1, 2, 3, 5, 6, 7)), key=str)
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
