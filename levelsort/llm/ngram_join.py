@@ -38,7 +38,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from levelsort.llm.common import Stage, fresh, release, settled, small, spread_join
+from levelsort.llm.common import Stage, fresh, lean, release, settled, small, spread_join
 
 BLOCK = 256
 RARE = 64
@@ -359,7 +359,7 @@ def _links(index: Stage, sets: Stage, percent: int) -> DataFrame:
     members = Stage(pairs.df.select(F.col("x").alias("sid")).union(pairs.df.select("y")).distinct(), "pair-members")
     used = Stage(sets.df.select("sid", "hashes").join(small(members.df, members.df.count(), BROADCAST_ROWS), "sid"), "pair-sets")
     both = pairs.df.join(used.df.select(F.col("sid").alias("x"), "hashes"), "x").join(used.df.select(F.col("sid").alias("y"), F.col("hashes").alias("other_hashes")), "y")
-    found = both.select("a", "b", "hashes", "other_hashes").mapInArrow(_check_pairs(percent), "a long, b long")
+    found = both.select("a", "b", "hashes", "other_hashes").mapInArrow(lean(_check_pairs(percent)), "a long, b long")
 
     dealt = listed.where("not rare").withColumn("blocks", F.ceil(F.col("m") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("sid", "key"), F.col("blocks")).cast("int"))
     tasks = Stage(dealt.select("key", "sid", "label", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")).select(
@@ -373,7 +373,7 @@ def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """One row per input row: doc_id, n_shingles, component_id (smallest doc_id reachable by links)."""
     spark = docs.sparkSession
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    sketch = Stage(texts.mapInArrow(_sketch(percent, width), "doc_id long, sid long, n long, prefix array<long>"), "sketch")
+    sketch = Stage(texts.mapInArrow(lean(_sketch(percent, width)), "doc_id long, sid long, n long, prefix array<long>"), "sketch")
     base = Stage(sketch.df.select("doc_id", "sid", "n"), "set-ids")
     classes = Stage(base.df.where("n > 0 and doc_id is not null").groupBy("sid").agg(F.min("doc_id").alias("rep"), F.count("*").alias("m"), F.min("n").alias("n")), "classes")
     chosen = settled(lambda: _supported(sketch.df, classes.df, percent), "survivors")
@@ -381,7 +381,7 @@ def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     n_chosen = chosen.df.count()
 
     wanted = small(chosen.df.withColumnRenamed("rep", "doc_id"), n_chosen, BROADCAST_ROWS)
-    full = texts.join(wanted, "doc_id").select("sid", "text").mapInArrow(_full_sets(percent, width), "sid long, reach int, same boolean, low1 long, low2 long, hashes array<long>")
+    full = texts.join(wanted, "doc_id").select("sid", "text").mapInArrow(lean(_full_sets(percent, width)), "sid long, reach int, same boolean, low1 long, low2 long, hashes array<long>")
     sets = Stage(full.where("same").drop("same"), "sets")
     chosen.drop()
     if (n_sets := sets.df.count()) > n_chosen:  # repeated rows of a representative

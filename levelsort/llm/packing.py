@@ -26,7 +26,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from levelsort.llm.common import Stage
+from levelsort.llm.common import Stage, lean
 
 WINDOW, END_ID, SALTS = 4096, 2, 256
 MEMO_ENTRIES, SLICE = 300_000, 1024
@@ -161,7 +161,6 @@ def _pieces(path: str, window: int, end_id: int, with_ids: bool):
                         for c, v in zip(cols, (doc, lo, len(cut) // 4, zlib.crc32(cut), n, cut if with_ids else None), strict=True):
                             c.append(v)
                 yield pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in cols[:5]), pa.array(cols[5], pa.binary())], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "ids"])
-            pa.default_memory_pool().release_unused()
 
     return run
 
@@ -169,7 +168,7 @@ def _pieces(path: str, window: int, end_id: int, with_ids: bool):
 def pieces(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, end_id: int = END_ID, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
     """doc_id, start, length, ids_crc32, doc_tokens, ids (the ids as bytes where asked for)."""
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    return texts.mapInArrow(_pieces(tokenizer_path, window, end_id, with_ids), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, ids binary")
+    return texts.mapInArrow(lean(_pieces(tokenizer_path, window, end_id, with_ids)), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, ids binary")
 
 
 class TightestFit:

@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from levelsort.llm.common import Stage
+from levelsort.llm.common import Stage, lean
 
 MAX_TOXIC, MAX_CLEAN = 3000, 6000
 # Seed words of each class.
@@ -344,4 +344,4 @@ def drop_toxic(docs: DataFrame, model: Model, text_col: str = "text") -> DataFra
                 keep = model.scores([channels(t, lexicon, grammar) for t in part.column(text_col).to_pylist()]) < 0.5
                 yield part.filter(pa.array(keep))
 
-    return docs.mapInArrow(run, docs.schema).select(*names)
+    return docs.mapInArrow(lean(run), docs.schema).select(*names)
