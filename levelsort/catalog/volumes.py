@@ -34,12 +34,12 @@ for _n in ("url", "lines"):
 
 
 def bytes_per_string(spark, d):
-    """Only the first level is asked for; it is counted at the senders, one set at a time."""
+    """Each set goes through the whole front-coded sort, one set at a time; the volume of its first exchange is given."""
     runs = []
     for n in DN:
         with scratch(spark):
-            placed = cut(ms.place_blocks(string_set(spark, d, n), P))
-            runs.append((n, ms.level_moves(placed, PLANS[2], levels=1, compress=True)[0]))
+            run = _placed_run(spark, d, n, 2, compress=True)
+            runs.append((n, cut(run.moves[0], keep=True)))
     return stacked([m.agg(F.round(F.sum("chars") / F.sum("n"), 6).alias("raw"), F.round(F.sum("coded") / F.sum("n"), 6).alias("coded")).select(F.lit(n).alias("name"), "raw", "coded") for n, m in runs])
 
 
