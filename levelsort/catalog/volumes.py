@@ -38,7 +38,7 @@ def bytes_per_string(spark, d):
     runs = []
     for n in DN:
         with scratch(spark):
-            run = _placed_run(spark, d, n, 2, compress=True)
+            run = _placed_run(spark, d, n, 2, compress=True, spend=True)
             runs.append((n, cut(run.moves[0], keep=True)))
     return stacked([m.agg(F.round(F.sum("chars") / F.sum("n"), 6).alias("raw"), F.round(F.sum("coded") / F.sum("n"), 6).alias("coded")).select(F.lit(n).alias("name"), "raw", "coded") for n, m in runs])
 

@@ -219,3 +219,20 @@ def test_moves_alone_equal_those_of_the_sort_and_leave_no_strings(spark, tmp_pat
             assert sorted(map(tuple, a.select(*b.columns).collect())) == sorted(map(tuple, b.collect()))
         assert 0 < _bytes(tmp_path / str(compress)) < 40_000  # one copy of the strings has over 80,000 characters
     assert len(ms.level_moves(placed, plan, levels=1)) == 1
+
+
+def test_spent_sort_equals_the_sort_and_keeps_the_last_strings_only(spark, tmp_path):
+    from pyspark.sql import functions as F
+
+    rows = spark.range(4000).select("id", F.lit(0).alias("pos"), F.concat(F.lit("same start "), F.md5(F.col("id").cast("string"))).alias("s")).withColumnRenamed("id", "src_id")
+    placed, plan = ms.place_blocks(rows, 8).localCheckpoint(), LevelPlan(8, (2, 4))
+    left, runs = [], []
+    for spend in (False, True):
+        spark.sparkContext.setCheckpointDir(str(tmp_path / str(spend)))
+        runs.append(ms.level_merge_sort(placed, plan, compress=True, spend=spend))
+        left.append(_bytes(tmp_path / str(spend)))
+    whole, spent = runs
+    assert left[1] < left[0] / 2  # one table of strings of three
+    assert sorted(map(tuple, whole.rows.collect())) == sorted(map(tuple, spent.rows.collect()))
+    for a, b in zip(whole.moves, spent.moves, strict=True):
+        assert sorted(map(tuple, a.collect())) == sorted(map(tuple, b.collect()))
